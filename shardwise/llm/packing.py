@@ -17,18 +17,23 @@ from __future__ import annotations
 
 import os
 import re
+import unicodedata
 import zlib
+from array import array
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Pieces that wait for a place in a task, words kept in the memo, longest word (characters) kept there.
-BUFFER, MEMO, WORD = 256, 400_000, 64
+#: Pieces that wait for a place in a task, pre-tokens kept in the memo, longest one (characters) kept there.
+BUFFER, MEMO, WORD = 256, 1_200_000, 64
+# The pre-token pattern of word vocabularies.
+PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 SCHEMA = "`{0}` {1}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, loss_tokens long"
 
 
@@ -42,10 +47,11 @@ class Limits:
 
 
 class WordEncoder:
-    """Ids of a text by the tokenizers library, word by word: white space is dropped by this kind of vocabulary, so words are independent and are memoised.
+    """Ids of a text by the tokenizers library, pre-token by pre-token with a memo of two generations.
 
-    Only for vocabularies whose normaliser and pre-tokenizer look at one white-space-free run at a time;
-    texts with the separators U+001C to U+001F, on whose class engines differ, go to the library whole.
+    Only for vocabularies that compose (NFC), lower the case, drop white space and split as PRETOKEN does:
+    their pre-tokens are independent of each other. Texts with special tokens, or with characters on
+    which engines differ (separators U+001C to U+001F, the capital sigma), go to the library whole.
     """
 
     def __init__(self, path: str):
@@ -55,32 +61,34 @@ class WordEncoder:
         self.library = Tokenizer.from_file(path)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
-        self.odd = re.compile(r"[\x1c-\x1f]").search
+        special = [re.escape(t.content) for t in self.library.get_added_tokens_decoder().values()]
+        self.odd = re.compile("|".join([r"[\x1c-\x1f\u03a3]", *special])).search
+        self.words = regex.compile(PRETOKEN).findall
 
     def _ids(self, texts: list[str]) -> list[bytes]:
-        return [np.array(x.ids, "<u4").tobytes() for x in self.library.encode_batch_fast(texts, add_special_tokens=False)]
-
-    def batch(self, texts: list[str]) -> Iterator[bytes]:
-        split = [None if self.odd(t) else t.split() for t in texts]
-        if len(self.young) >= MEMO // 2:
-            self.old, self.young = self.young, {}
-        young, old, missing = self.young, self.old, set()
-        for words in split:
-            for w in set(words or ()).difference(young):
-                if w in old:
-                    young[w] = old[w]
-                elif len(w) <= WORD:
-                    missing.add(w)
-        missing = list(missing)
-        young.update(zip(missing, self._ids(missing)))
-        for text, words in zip(texts, split):
-            if words is None:
-                yield self._ids([text])[0]
+        return [array("I", x.ids).tobytes() for x in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def encode(self, text: str) -> bytes:
+        if self.odd(text):
+            return self._ids([text])[0]
+        words = self.words((text if text.isascii() else unicodedata.normalize("NFC", text)).lower())
+        young = self.young
+        try:
+            return b"".join(map(young.__getitem__, words))
+        except KeyError:
+            pass
+        if len(young) >= MEMO // 2:
+            self.old, self.young = young, {}
+            young = self.young
+        new = []
+        for w in set(words).difference(young):
+            if w in self.old:
+                young[w] = self.old[w]
             else:
-                try:
-                    yield b"".join([young[w] for w in words])
-                except KeyError:
-                    yield b"".join([young[w] if w in young else self._ids([w])[0] for w in words])
+                new.append(w)
+        found = dict(zip(new, self._ids(new)))
+        young.update(x for x in found.items() if len(x[0]) <= WORD)
+        return b"".join([young[w] if w in young else found[w] for w in words])
 
 
 _encoders: dict[str, WordEncoder] = {}
@@ -225,9 +233,8 @@ def pack(docs: DataFrame, path: str, limits: Limits = Limits(), end_id: int | No
             id_type = batch.column(0).type
             ids, texts, froms = (batch.column(i).to_pylist() for i in range(3))
             for at in range(0, len(texts), 256):
-                group = [t or "" for t in texts[at : at + 256]]
-                for doc, code, skip in zip(ids[at : at + 256], coder.batch(group), froms[at : at + 256]):
-                    code += end
+                for doc, text, skip in zip(ids[at : at + 256], texts[at : at + 256], froms[at : at + 256]):
+                    code = coder.encode(text or "") + end
                     n = len(code) // 4
                     if n:
                         whole = min(limits.tokens, limits.loss)

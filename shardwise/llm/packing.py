@@ -34,6 +34,9 @@ from pyspark.sql import functions as F
 BUFFER, MEMO, WORD = 256, 1_200_000, 64
 # The pre-token pattern of word vocabularies.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
+# The same for lower-case texts of Latin-1 alone, whose letters and numbers can be listed.
+LETTERS, NUMBERS = "a-zªµºß-öø-ÿ", "0-9²³¹¼-¾"
+LATIN = rf"'s|'t|'re|'ve|'m|'ll|'d|[{LETTERS}]+|[{NUMBERS}]|[^\s{LETTERS}{NUMBERS}]+"
 SCHEMA = "`{0}` {1}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, loss_tokens long"
 
 
@@ -64,31 +67,40 @@ class WordEncoder:
         special = [re.escape(t.content) for t in self.library.get_added_tokens_decoder().values()]
         self.odd = re.compile("|".join([r"[\x1c-\x1f\u03a3]", *special])).search
         self.words = regex.compile(PRETOKEN).findall
+        self.latin = re.compile(LATIN).findall
 
     def _ids(self, texts: list[str]) -> list[bytes]:
         return [array("I", x.ids).tobytes() for x in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
     def encode(self, text: str) -> bytes:
+        try:
+            text.encode("latin-1")
+            find = self.latin
+        except UnicodeEncodeError:
+            find = self.words
+            text = unicodedata.normalize("NFC", text)
         if self.odd(text):
             return self._ids([text])[0]
-        words = self.words((text if text.isascii() else unicodedata.normalize("NFC", text)).lower())
-        young = self.young
-        try:
-            return b"".join(map(young.__getitem__, words))
-        except KeyError:
-            pass
-        if len(young) >= MEMO // 2:
-            self.old, self.young = young, {}
-            young = self.young
-        new = []
-        for w in set(words).difference(young):
-            if w in self.old:
-                young[w] = self.old[w]
-            else:
-                new.append(w)
-        found = dict(zip(new, self._ids(new)))
-        young.update(x for x in found.items() if len(x[0]) <= WORD)
-        return b"".join([young[w] if w in young else found[w] for w in words])
+        words = find(text.lower())
+        young, found = self.young, None
+        missing = set(words).difference(young)
+        if missing:
+            if len(young) >= MEMO // 2:
+                self.old, self.young = young, {}
+                young, missing = self.young, set(words)
+            old = self.old
+            new = [w for w in missing if w not in old]
+            for w in missing.difference(new):
+                young[w] = old[w]
+            for w, ids in zip(new, self._ids(new)):
+                if len(w) <= WORD:
+                    young[w] = ids
+                else:
+                    found = found or {}
+                    found[w] = ids
+        if found:
+            return b"".join([young[w] if w in young else found[w] for w in words])
+        return b"".join(map(young.__getitem__, words))
 
 
 _encoders: dict[str, WordEncoder] = {}

@@ -12,8 +12,9 @@ its successor, one of which must be equal too.
 
 Equal sets share one hash and are one class from the start: copies cost one entry, and class ids, not
 documents, meet in the join. In each bucket first everything is held against one pivot, and linked
-classes are merged; then only pairs from different components meet. So a group of near copies costs
-its size and not its square, and still no link between different components is lost. Candidates pass a
+classes are merged; then only pairs from different components are compared, by their sketches inside a
+task, which gives out the few that pass. So linked copies cost their number and not its square, no pair of a
+bucket becomes a row before it has passed, and no link between different components is lost. Candidates pass a
 check of sizes and of a whole sketch (a bit per shingle) before the shingle sets are compared exactly.
 
 Defined cases: null, empty and blank texts have the empty set, 0 shingles, and are linked with nothing;
@@ -38,6 +39,8 @@ from .common import forget, small, stored
 
 #: Words of a vocabulary kept in a worker's memo; longest word (bytes) kept there; a sketch word with at most so many bits is entered with its successor.
 MEMO, WORD, FEW_BITS = 400_000, 64, 2
+#: Rows of a bucket that meet in one task at most, against as many others.
+CHUNK = 4096
 MIX = np.uint64(0x9E3779B97F4A7C15)
 LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 
@@ -141,9 +144,9 @@ def set_hash(shingles: np.ndarray) -> int:
 
 
 def whole_sketch(shingles: np.ndarray) -> bytes:
-    """About one bit per shingle, a power of two of 64-bit words, so that larger ones fold onto smaller ones."""
+    """Two to four bits per shingle, a power of two of 64-bit words, so that larger ones fold onto smaller ones."""
     h = mixed(shingles)
-    bits = 64 << max(0, (len(shingles) - 1) // 64).bit_length()
+    bits = 64 << ((len(shingles) - 1) // 32).bit_length()
     at = h & np.uint64(bits - 1)
     out = np.zeros(bits // 64, np.uint64)
     np.bitwise_xor.at(out, (at >> np.uint64(6)).astype(np.int64), np.uint64(1) << (at & np.uint64(63)))
@@ -164,32 +167,91 @@ def _signed(a: np.ndarray) -> np.ndarray:
 
 
 def _sets(docs: DataFrame, rule: Rule, what: str) -> DataFrame:
-    """docs(id, text) through the shingler. what: 'size' (with hash and sketch), 'keys' (entries) or 'set'."""
+    """docs(id, text) through the shingler. what: 'all' (size, hash, sketch and entries) or 'set' (hash and shingles)."""
     kind = docs.schema[0].dataType.simpleString()
-    schema = {"size": f"id {kind}, n long, cls long, sk binary", "keys": "cls long, keys array<long>", "set": "cls long, shingles array<long>"}[what]
+    schema = {"all": f"id {kind}, n long, cls long, sk binary, keys array<long>", "set": "cls long, shingles array<long>"}[what]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(rule.words)
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                part = batch.slice(at, 512)
-                sets = map(shingler, part.column(1).to_pylist())
-                if what == "size":
-                    rows = [(len(s), set_hash(s), whole_sketch(s) if len(s) else None) for s in sets]
-                    n, cls, sk = zip(*rows)
-                    yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(cls, pa.int64()), pa.array(sk, pa.binary())], ["id", "n", "cls", "sk"])
-                    continue
-                cls, offsets, values = [], [0], []
-                for s in sets:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                n, cls, sk, offsets, values = [], [], [], [0], []
+                for s in map(shingler, part.column(1).to_pylist()):
+                    n.append(len(s))
                     cls.append(set_hash(s))
-                    values.append(_signed(entries(s, rule) if what == "keys" else s))
+                    values.append(_signed(entries(s, rule) if what == "all" else s))
                     offsets.append(offsets[-1] + len(values[-1]))
+                    if what == "all":
+                        sk.append(whole_sketch(s) if len(s) else None)
                 lists = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(values), pa.int64()))
-                yield pa.RecordBatch.from_arrays([pa.array(cls, pa.int64()), lists], ["cls", "keys" if what == "keys" else "shingles"])
+                if what == "all":
+                    yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(cls, pa.int64()), pa.array(sk, pa.binary()), lists], ["id", "n", "cls", "sk", "keys"])
+                else:
+                    yield pa.RecordBatch.from_arrays([pa.array(cls, pa.int64()), lists], ["cls", "shingles"])
 
     return docs.mapInArrow(run, schema)
 
 
+def _across(rule: Rule):
+    """Rows (key, lo, hi, chunk, cls, comp, n, sk), those of one (key, lo, hi) together, to pairs (a, b) of different components that pass the checks of sizes and sketches.
+
+    Nothing but such pairs leaves the task; a group has at most two chunks of CHUNK rows.
+    """
+
+    def pairs(rows: pa.Table) -> pa.RecordBatch:
+        key, lo, hi, chunk, cls, comp, n = (rows.column(i).to_numpy() for i in range(7))
+        blobs = rows.column(7).to_pylist()
+        width = np.array([len(b) // 8 for b in blobs])
+        m = np.zeros((len(blobs), int(width.max(initial=1))), np.uint64)
+        for i, b in enumerate(blobs):
+            m[i, : width[i]] = np.frombuffer(b, np.uint64)
+        new = np.r_[True, (key[1:] != key[:-1]) | (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])]
+        group = np.cumsum(new)
+        size = np.diff(np.r_[np.flatnonzero(new), len(key)])
+        out: list[np.ndarray] = [np.empty((0, 2), np.int64)]
+        for step in range(1, int(size.max(initial=1))):
+            i = np.flatnonzero(group[step:] == group[:-step])
+            j = i + step
+            ok = (comp[i] != comp[j]) & ((lo[i] == hi[i]) | (chunk[i] != chunk[j])) & (np.maximum(n[i], n[j]) * rule.percent <= np.minimum(n[i], n[j]) * 100)
+            i, j = i[ok], j[ok]
+            if not len(i):
+                continue
+            swap = width[i] < width[j]
+            i, j = np.where(swap, j, i), np.where(swap, i, j)  # i has the wider sketch
+            most = (100 - rule.percent) * (n[i] + n[j]) // (100 + rule.percent)
+            for w in np.unique(width[j]):
+                for v in np.unique(width[i][width[j] == w]):
+                    at = np.flatnonzero((width[j] == w) & (width[i] == v))
+                    for part in range(0, len(at), 1 << 14):
+                        k = at[part : part + (1 << 14)]
+                        x = np.bitwise_xor.reduce(m[i[k], :v].reshape(len(k), v // w, w), axis=1) ^ m[j[k], :w]
+                        near = k[np.bitwise_count(x).sum(axis=1) <= most[k]]
+                        if len(near):
+                            a, b = cls[i[near]], cls[j[near]]
+                            out.append(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1))
+        found = np.unique(np.concatenate(out), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["a", "b"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept: pa.Table | None = None
+        for batch in batches:
+            rows = pa.Table.from_batches([batch]) if kept is None else pa.concat_tables([kept, pa.Table.from_batches([batch])])
+            if not rows.num_rows:
+                continue
+            key, lo, hi = (rows.column(i).to_numpy() for i in range(3))
+            # the last group may go on in the next batch
+            same = (key == key[-1]) & (lo == lo[-1]) & (hi == hi[-1])
+            cut = int(np.argmax(same))
+            if cut:
+                yield pairs(rows.slice(0, cut))
+            kept = rows.slice(cut).combine_chunks()
+        if kept is not None and kept.num_rows:
+            yield pairs(kept)
+
+    return run
+
+
 def _verified(pairs: DataFrame, classes: DataFrame, texts: DataFrame, rule: Rule) -> DataFrame:
     """Those of the pairs (a, b) of classes that are linked, by exact comparison of the sets."""
     side = lambda x: classes.select(F.col("cls").alias(x), F.col("n").alias(f"n{x}"), F.col("sk").alias(f"s{x}"), F.col("rep").alias(f"r{x}"))
@@ -270,10 +332,10 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id"
     The first writes, small against the texts, run when this is called; the last join is lazy.
     """
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    sizes = stored(_sets(texts, rule, "size"), "sizes")
+    sizes = stored(_sets(texts, rule, "all"), "sizes")
     classes = stored(sizes.where("n > 0 and id is not null").groupBy("cls").agg(F.min("id").alias("rep"), F.first("n").alias("n"), F.first("sk").alias("sk")), "classes")
-    keys = _sets(texts, rule, "keys").select(F.explode("keys").alias("key"), "cls")
     bucket = Window.partitionBy("key")
+    keys = sizes.select(F.explode("keys").alias("key"), "cls")
     shared = keys.withColumn("pivot", F.min("cls").over(bucket)).withColumn("_last", F.max("cls").over(bucket)).where("pivot < _last").select("key", "cls", "pivot")
     shared = stored(shared, "shared")
     pairs = stored(shared.where("cls <> pivot").select(F.col("pivot").alias("a"), F.col("cls").alias("b")).distinct(), "pairs")
@@ -281,18 +343,21 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id"
     first = components(links)
     # second round: only pairs from different components can add anything
     named = shared.select("key", "cls").distinct().join(first.select(F.col("node").alias("cls"), F.col("root").alias("comp")), "cls", "left").select("key", "cls", F.coalesce("comp", "cls").alias("comp"))
-    named = named.withColumn("_lo", F.min("comp").over(bucket)).withColumn("_hi", F.max("comp").over(bucket)).where("_lo < _hi").select("key", "cls", "comp")
-    named = stored(named, "named")
-    x, y = named.select("key", F.col("cls").alias("a"), F.col("comp").alias("ca")), named.select("key", F.col("cls").alias("b"), F.col("comp").alias("cb"))
-    left = x.join(y, "key").where("ca <> cb and a < b").select("a", "b").distinct().join(pairs, ["a", "b"], "left_anti")
-    left = stored(left, "left")
+    whole = F.count("*").over(bucket)
+    named = named.withColumn("_lo", F.min("comp").over(bucket)).withColumn("_hi", F.max("comp").over(bucket)).withColumn("_n", whole).where("_lo < _hi")
+    # buckets of many rows are cut in chunks, and every two chunks meet in a group of their own
+    chunks = F.ceil(F.col("_n") / CHUNK)
+    named = named.withColumn("chunk", F.pmod(F.xxhash64("cls"), chunks)).withColumn("_o", F.explode(F.sequence(F.lit(0).cast("long"), chunks - 1)))
+    named = named.select("key", F.least("chunk", "_o").alias("lo"), F.greatest("chunk", "_o").alias("hi"), "chunk", "cls", "comp").join(classes.select("cls", "n", "sk"), "cls")
+    dealt = named.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi").select("key", "lo", "hi", "chunk", "cls", "comp", "n", "sk")
+    left = stored(dealt.mapInArrow(_across(rule), "a long, b long").distinct(), "left")
     if not left.isEmpty():
         more = _verified(left, classes, texts, rule)
         both = stored(links.union(more), "all-links")
         forget(more, first)
         first = components(both)
         forget(both)
-    forget(shared, pairs, links, named, left)
+    forget(shared, pairs, links, left)
     comp = classes.select("cls", "rep").join(first.select(F.col("node").alias("cls"), "root"), "cls", "left").select("cls", "rep", F.coalesce("root", "cls").alias("root"))
     lowest = comp.groupBy("root").agg(F.min("rep").alias("component_id"))
     of_class = stored(comp.join(lowest, "root").select("cls", "component_id"), "of-class")

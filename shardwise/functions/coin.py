@@ -25,4 +25,5 @@ def coin(*parts, mode: str = "portable") -> Column:
 
 def coin_sql(*parts: str) -> str:
     """The same for DuckDB; parts are SQL expressions."""
-    return f"CAST(concat('0x', substr(md5(concat({', ''#'', '.join(parts)})), 1, 8)) AS BIGINT)"
+    text = ", '#', ".join(parts)
+    return f"CAST(concat('0x', substr(md5(concat({text})), 1, 8)) AS BIGINT)"

@@ -49,8 +49,8 @@ class Params:
     block: int = 1024
     query_block: int = 256
     width: int = 400
-    beam: int = 64
-    hops: int = 12
+    beam: int = 80
+    hops: int = 10
     seed: int = 17
 
 
@@ -334,7 +334,7 @@ class Index:
             wanted = state.join(opened, "query_id").select("query_id", "q", "ids", "ask", "next")
 
             def deal(batches: Iterator[pa.RecordBatch], first: bool = first) -> Iterator[pa.RecordBatch]:
-                """Unseen candidates, with the query's vector once per block of vectors."""
+                """Candidates that are not among the best yet, with the query's vector once per block of vectors."""
                 for b in batches:
                     for at in range(0, b.num_rows, 128):
                         part = b.slice(at, 128)
@@ -374,11 +374,11 @@ class Index:
                     ids = np.concatenate([_longs(ids), *[a for a, _ in new]])
                     sims = np.concatenate([np.frombuffer(sims, np.float32), *[s for _, s in new]])
                     opened = np.concatenate([np.frombuffer(opened, np.uint8), np.zeros(len(ids) - len(opened), np.uint8)])
-                    order = np.lexsort((ids, -sims))
-                    ids, sims, opened = ids[order], sims[order], opened[order].copy()
-                    at = np.flatnonzero(opened[: p.width] == 0)[: p.beam]
+                    # only the best stay: one that fell out and is met again falls out again, as the last one's score never falls
+                    order = np.lexsort((ids, -sims))[: p.width]
+                    ids, sims, opened = ids[order], sims[order], opened[order]
+                    at = np.flatnonzero(opened == 0)[: p.beam]
                     opened[at] = 1
-                    # ids stay as the set of seen ones; sims are needed for the best only
                     rows.append((i, q, ids.tobytes(), sims.tobytes(), opened.tobytes(), ids[at].tobytes()))
                 columns = list(zip(*rows)) or [[]] * 6
                 return pa.table({n: pa.array(c, t) for n, c, t in zip(("query_id", "q", "ids", "sims", "open", "ask"), columns, (pa.int64(), *[pa.binary()] * 5))})
@@ -392,7 +392,7 @@ class Index:
 
         def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                lists = [_longs(x)[: p.width] for x in b.column(1).to_pylist()]
+                lists = [_longs(x) for x in b.column(1).to_pylist()]
                 yield pa.RecordBatch.from_arrays([pa.array(np.repeat(b.column(0).to_numpy(), [len(x) for x in lists]), pa.int64()), pa.array(np.concatenate(lists) if lists else np.empty(0, np.int64), pa.int64()), pa.array(np.concatenate([np.arange(len(x)) for x in lists]) if lists else np.empty(0, np.int64), pa.int64())], ["query_id", "id", "place"])
 
         # half floats can swap close candidates: some more than k are scored again exactly

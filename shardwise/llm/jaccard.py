@@ -336,13 +336,18 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id"
     classes = stored(sizes.where("n > 0 and id is not null").groupBy("cls").agg(F.min("id").alias("rep"), F.first("n").alias("n"), F.first("sk").alias("sk")), "classes")
     bucket = Window.partitionBy("key")
     keys = sizes.select(F.explode("keys").alias("key"), "cls")
-    shared = keys.withColumn("pivot", F.min("cls").over(bucket)).withColumn("_last", F.max("cls").over(bucket)).where("pivot < _last").select("key", "cls", "pivot")
-    shared = stored(shared, "shared")
-    pairs = stored(shared.where("cls <> pivot").select(F.col("pivot").alias("a"), F.col("cls").alias("b")).distinct(), "pairs")
+    met = keys.withColumn("_first", F.min("cls").over(bucket)).withColumn("_last", F.max("cls").over(bucket)).withColumn("met", F.count("*").over(bucket)).where("_first < _last")
+    met = stored(met.select("key", "cls", "met"), "met")
+    # the pivot of a bucket is its class that meets most others in all: the middle of a group, not one at its edge
+    central = met.groupBy("cls").agg(F.sum("met").alias("weight"))
+    heaviest = F.max(F.struct("weight", "cls")).over(bucket)
+    shared = stored(met.distinct().join(central, "cls").select("key", "cls", heaviest["cls"].alias("pivot")), "shared")
+    forget(met)
+    pairs = stored(shared.where("cls <> pivot").select(F.least("pivot", "cls").alias("a"), F.greatest("pivot", "cls").alias("b")).distinct(), "pairs")
     links = _verified(pairs, classes, texts, rule)
     first = components(links)
     # second round: only pairs from different components can add anything
-    named = shared.select("key", "cls").distinct().join(first.select(F.col("node").alias("cls"), F.col("root").alias("comp")), "cls", "left").select("key", "cls", F.coalesce("comp", "cls").alias("comp"))
+    named = shared.select("key", "cls").join(first.select(F.col("node").alias("cls"), F.col("root").alias("comp")), "cls", "left").select("key", "cls", F.coalesce("comp", "cls").alias("comp"))
     whole = F.count("*").over(bucket)
     named = named.withColumn("_lo", F.min("comp").over(bucket)).withColumn("_hi", F.max("comp").over(bucket)).withColumn("_n", whole).where("_lo < _hi")
     # buckets of many rows are cut in chunks, and every two chunks meet in a group of their own

@@ -167,28 +167,30 @@ def _signed(a: np.ndarray) -> np.ndarray:
 
 
 def _sets(docs: DataFrame, rule: Rule, what: str) -> DataFrame:
-    """docs(id, text) through the shingler. what: 'all' (size, hash, sketch and entries) or 'set' (hash and shingles)."""
+    """docs(id, text) through the shingler. what: 'size' (with hash and sketch), 'keys' (hash and entries) or 'set' (hash and shingles).
+
+    Entries are made anew from the texts, since a stored copy of them would be as large as the texts.
+    """
     kind = docs.schema[0].dataType.simpleString()
-    schema = {"all": f"id {kind}, n long, cls long, sk binary, keys array<long>", "set": "cls long, shingles array<long>"}[what]
+    schema = {"size": f"id {kind}, n long, cls long, sk binary", "keys": "cls long, keys array<long>", "set": "cls long, shingles array<long>"}[what]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(rule.words)
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
-                n, cls, sk, offsets, values = [], [], [], [0], []
-                for s in map(shingler, part.column(1).to_pylist()):
-                    n.append(len(s))
+                sets = map(shingler, part.column(1).to_pylist())
+                if what == "size":
+                    n, cls, sk = zip(*[(len(s), set_hash(s), whole_sketch(s) if len(s) else None) for s in sets])
+                    yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(cls, pa.int64()), pa.array(sk, pa.binary())], ["id", "n", "cls", "sk"])
+                    continue
+                cls, offsets, values = [], [0], []
+                for s in sets:
                     cls.append(set_hash(s))
-                    values.append(_signed(entries(s, rule) if what == "all" else s))
+                    values.append(_signed(entries(s, rule) if what == "keys" else s))
                     offsets.append(offsets[-1] + len(values[-1]))
-                    if what == "all":
-                        sk.append(whole_sketch(s) if len(s) else None)
                 lists = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(values), pa.int64()))
-                if what == "all":
-                    yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(cls, pa.int64()), pa.array(sk, pa.binary()), lists], ["id", "n", "cls", "sk", "keys"])
-                else:
-                    yield pa.RecordBatch.from_arrays([pa.array(cls, pa.int64()), lists], ["cls", "shingles"])
+                yield pa.RecordBatch.from_arrays([pa.array(cls, pa.int64()), lists], ["cls", "keys" if what == "keys" else "shingles"])
 
     return docs.mapInArrow(run, schema)
 
@@ -332,10 +334,10 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id"
     The first writes, small against the texts, run when this is called; the last join is lazy.
     """
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    sizes = stored(_sets(texts, rule, "all"), "sizes")
+    sizes = stored(_sets(texts, rule, "size"), "sizes")
     classes = stored(sizes.where("n > 0 and id is not null").groupBy("cls").agg(F.min("id").alias("rep"), F.first("n").alias("n"), F.first("sk").alias("sk")), "classes")
     bucket = Window.partitionBy("key")
-    keys = sizes.select(F.explode("keys").alias("key"), "cls")
+    keys = _sets(texts, rule, "keys").select(F.explode("keys").alias("key"), "cls")
     met = keys.withColumn("_first", F.min("cls").over(bucket)).withColumn("_last", F.max("cls").over(bucket)).withColumn("met", F.count("*").over(bucket)).where("_first < _last")
     met = stored(met.select("key", "cls", "met"), "met")
     # the pivot of a bucket is its class that meets most others in all: the middle of a group, not one at its edge

@@ -37,7 +37,7 @@ from .common import forget, stored
 
 @dataclass(frozen=True)
 class Params:
-    """neighbours: K of the graph. sample: per kind and direction in a round. tables, chunk: random starts. block: vectors or queries treated together. width, beam, hops: greedy search."""
+    """neighbours: K of the graph. sample: per kind and direction in a round. tables, chunk: random starts. block: vectors treated together in a round; home: those scored together for queries. width, beam, hops: greedy search."""
 
     neighbours: int = 30
     sample: int = 12
@@ -47,6 +47,7 @@ class Params:
     rounds: int = 7
     least_change: float = 0.5
     block: int = 1024
+    home: int = 8192
     query_block: int = 256
     width: int = 400
     beam: int = 80
@@ -303,7 +304,7 @@ class Index:
         nq = queries.count()
         qblocks = max(1, -(-nq // p.query_block))
         near = self.adjacency()
-        blocks = self.blocks
+        blocks = max(1, -(-self.n // p.home))
         state_t = "query_id long, q binary, ids binary, sims binary, open binary, ask binary"
 
         def begin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -35,7 +35,7 @@ def merge_plan(loads: DataFrame, pieces: int, k: int) -> DataFrame:
             target[bucket] = best
         return pd.DataFrame({"bucket": list(target), "target": list(target.values())})
 
-    return loads.groupBy(F.lit(0)).applyInPandas(pack, "bucket int, target int")
+    return loads.withColumn("one", F.lit(0)).groupBy("one").applyInPandas(pack, "bucket int, target int")
 
 
 def partition_multidim(edges: DataFrame, weights: DataFrame, spec: PartitionSpec, c: int = 4) -> PartitionResult:

@@ -12,6 +12,7 @@ from __future__ import annotations
 import math
 from collections.abc import Callable
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
@@ -144,6 +145,20 @@ def partition(edges: DataFrame, spec: PartitionSpec, vertices: DataFrame | None
     return PartitionResult(out, progress, spec)
 
 
+def _totals(p: float) -> tuple:
+    return (F.count("*").alias("f"), F.sum(pfanout_term(F.col("cnt"), p)).alias("pf"), F.sum(F.col("cnt") * F.col("cnt")).alias("sq"))
+
+
+def _observed(seen: Observation, shares: DataFrame, p: float) -> tuple[int, float, int]:
+    """What the job has observed of the shares; counted anew where the optimiser had dropped that part of the plan, as it does if no proposal exists."""
+    try:
+        got = seen.get
+        values = [got[x] for x in ("f", "pf", "sq")]
+    except (Py4JJavaError, KeyError):
+        values = list(shares.agg(*_totals(p)).first())
+    return tuple(v or 0 for v in values)
+
+
 def _with_t(spread: DataFrame, split, ts: list[int]) -> DataFrame:
     """Final buckets below each bucket, where the look-ahead differs between buckets."""
     if len(ts) == 1:
@@ -162,7 +177,8 @@ def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_
     pairs = sum(len(c) ** 2 for _, c in split) * (128 if spec.exchange == "histogram" else 1)
     for turn in range(1, spec.rounds + 2):
         seen = Observation()
-        shares = refine.neighbor_counts(edges, state).observe(seen, F.count("*").alias("f"), F.sum(pfanout_term(F.col("cnt"), p)).alias("pf"), F.sum(F.col("cnt") * F.col("cnt")).alias("sq"))
+        plain = refine.neighbor_counts(edges, state)
+        shares = plain.observe(seen, *_totals(p))
         if turn > spec.rounds:  # the last state's objective only
             shares.write.format("noop").mode("overwrite").save()
             moved_state, moved = None, 0
@@ -189,7 +205,7 @@ def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_
             count = Observation()
             moved_state = stored(new.observe(count, F.count_if("moved").alias("m")).drop("moved"), "state")
             moved = count.get["m"]
-        f, pf, sq = (seen.get[x] or 0 for x in ("f", "pf", "sq"))
+        f, pf, sq = _observed(seen, plain, p)
         value = {"fanout": f, "clique": -sq, "pfanout": pf}[spec.objective]
         if log:
             log[-1].update(fanout=(f + dead) / max(queries, 1), pfanout=(pf + dead * p) / max(queries, 1), shuffle_rows=int(f))
@@ -215,9 +231,8 @@ def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_
             break
         state = moved_state
         if frac <= spec.tol:
-            final = Observation()
-            refine.neighbor_counts(edges, state).observe(final, F.count("*").alias("f"), F.sum(pfanout_term(F.col("cnt"), p)).alias("pf"), F.sum(F.col("cnt") * F.col("cnt")).alias("sq")).write.format("noop").mode("overwrite").save()
-            f, pf, sq = (final.get[x] or 0 for x in ("f", "pf", "sq"))
+            last = refine.neighbor_counts(edges, state)
+            f, pf, sq = (v or 0 for v in last.agg(*_totals(p)).first())
             log[-1].update(fanout=(f + dead) / max(queries, 1), pfanout=(pf + dead * p) / max(queries, 1), shuffle_rows=int(f))
             if spec.keep_best and {"fanout": f, "clique": -sq, "pfanout": pf}[spec.objective] >= best_value:
                 forget(state)

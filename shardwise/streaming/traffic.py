@@ -42,27 +42,28 @@ def session_edges(stream: DataFrame, gap: str = "30 minutes", watermark: str = "
     return per.select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "vid", "members")
 
 
-def stateful_share(stream: DataFrame, assign: DataFrame, ttl_ms: int = 3_600_000) -> DataFrame:
-    """Counts per (query, bucket) kept as state; a row (qid, fanout) for each query whose fanout changed in a batch. State idle for ttl_ms goes."""
+def stateful_share(stream: DataFrame, assign: DataFrame, ttl_ms: int = 3_600_000, watermark: str = "1 hour") -> DataFrame:
+    """Counts per (query, bucket) kept as state; a row (qid, fanout) for each query whose fanout changed in a batch. State idle for ttl_ms of event time goes."""
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-    placed = stream.where("key is not null").join(assign, "vid").select(F.col("key").alias("qid"), "bucket")
+    placed = stream.withWatermark("ts", watermark).where("key is not null").join(assign, "vid").select(F.col("key").alias("qid"), "bucket", "ts")
 
     def update(key: tuple, rows: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             state.remove()
             return
         counts = dict(zip(*state.get)) if state.exists else {}
-        before = len(counts)
+        before, last = len(counts), 0
         for part in rows:
+            last = max(last, int(part.ts.max().timestamp() * 1000))
             for bucket, c in part.bucket.value_counts().items():
                 counts[int(bucket)] = counts.get(int(bucket), 0) + int(c)
         state.update((list(counts), list(counts.values())))
-        state.setTimeoutDuration(ttl_ms)
+        state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + ttl_ms)
         if len(counts) != before:
             yield pd.DataFrame({"qid": [key[0]], "fanout": [len(counts)]})
 
-    return placed.groupBy("qid").applyInPandasWithState(update, "qid long, fanout long", "buckets array<int>, counts array<long>", "update", GroupStateTimeout.ProcessingTimeTimeout)
+    return placed.groupBy("qid").applyInPandasWithState(update, "qid long, fanout long", "buckets array<int>, counts array<long>", "update", GroupStateTimeout.EventTimeTimeout)
 
 
 def reply_latency(issued: DataFrame, replied: DataFrame, within: str = "10 minutes", watermark: str = "1 hour") -> DataFrame:

@@ -253,7 +253,7 @@ def encode_decode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = encoder(path)
-        for batch in batches:
+        for batch in (whole.slice(at, 512) for whole in batches for at in range(0, whole.num_rows, 512)):
             rows: list[list] = [[] for _ in range(5)]
             for text in batch.column(1).to_pylist():
                 ids_hash, text_hash, count, kept = hashlib.sha256(), hashlib.sha256(), 0, []

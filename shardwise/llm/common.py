@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-import os
+import contextlib
+import ctypes
+import gc
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -70,6 +73,9 @@ def small(df: DataFrame, rows: int, limit: int = BROADCAST_KEYS) -> DataFrame:
     return F.broadcast(df) if rows <= limit else df
 
 
-def single_thread() -> None:
-    """Tokenizer threads would compete with Spark's own tasks."""
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+def release() -> None:
+    """Give memory that a finished task no longer needs back to the system: Python workers live on."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)

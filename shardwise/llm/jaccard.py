@@ -35,10 +35,10 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import forget, small, stored
+from .common import forget, release, small, stored
 
 #: Words of a vocabulary kept in a worker's memo; longest word (bytes) kept there; a sketch word with at most so many bits is entered with its successor.
-MEMO, WORD, FEW_BITS = 400_000, 64, 2
+MEMO, WORD, FEW_BITS = 200_000, 64, 2
 #: Rows of a bucket that meet in one task at most, against as many others.
 CHUNK = 4096
 MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -191,6 +191,7 @@ def _sets(docs: DataFrame, rule: Rule, what: str) -> DataFrame:
                     offsets.append(offsets[-1] + len(values[-1]))
                 lists = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(values), pa.int64()))
                 yield pa.RecordBatch.from_arrays([pa.array(cls, pa.int64()), lists], ["cls", "keys" if what == "keys" else "shingles"])
+        release()
 
     return docs.mapInArrow(run, schema)
 
@@ -338,13 +339,14 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id"
     classes = stored(sizes.where("n > 0 and id is not null").groupBy("cls").agg(F.min("id").alias("rep"), F.first("n").alias("n"), F.first("sk").alias("sk")), "classes")
     bucket = Window.partitionBy("key")
     keys = _sets(texts, rule, "keys").select(F.explode("keys").alias("key"), "cls")
-    met = keys.withColumn("_first", F.min("cls").over(bucket)).withColumn("_last", F.max("cls").over(bucket)).withColumn("met", F.count("*").over(bucket)).where("_first < _last")
-    met = stored(met.select("key", "cls", "met"), "met")
+    # copies drop out, and lonely entries, in the sort of one shuffle
+    keys = keys.withColumn("_before", F.lag("cls").over(bucket.orderBy("cls"))).where("_before is null or _before <> cls").select("key", "cls")
+    met = stored(keys.withColumn("met", F.count("*").over(bucket)).where("met > 1"), "met")
     # the pivot of a bucket is its class that meets most others in all: the middle of a group, not one at its edge
-    central = met.groupBy("cls").agg(F.sum("met").alias("weight"))
+    central = stored(met.groupBy("cls").agg(F.sum("met").alias("weight")), "central")
     heaviest = F.max(F.struct("weight", "cls")).over(bucket)
-    shared = stored(met.distinct().join(central, "cls").select("key", "cls", heaviest["cls"].alias("pivot")), "shared")
-    forget(met)
+    shared = stored(met.join(small(central, central.count()), "cls").select("key", "cls", heaviest["cls"].alias("pivot")), "shared")
+    forget(met, central)
     pairs = stored(shared.where("cls <> pivot").select(F.least("pivot", "cls").alias("a"), F.greatest("pivot", "cls").alias("b")).distinct(), "pairs")
     links = _verified(pairs, classes, texts, rule)
     first = components(links)

@@ -30,8 +30,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import release
+
 #: Pieces that wait for a place in a task, pre-tokens kept in the memo, longest one (characters) kept there.
-BUFFER, MEMO, WORD = 256, 1_200_000, 64
+BUFFER, MEMO, WORD = 256, 800_000, 64
 # The pre-token pattern of word vocabularies.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 # The same for lower-case texts of Latin-1 alone, whose letters and numbers can be listed.
@@ -243,9 +245,9 @@ def pack(docs: DataFrame, path: str, limits: Limits = Limits(), end_id: int | No
         packer, id_type = Packer(limits, put, TaskContext.get().partitionId() << 33), pa.int64()
         for batch in batches:
             id_type = batch.column(0).type
-            ids, texts, froms = (batch.column(i).to_pylist() for i in range(3))
-            for at in range(0, len(texts), 256):
-                for doc, text, skip in zip(ids[at : at + 256], texts[at : at + 256], froms[at : at + 256]):
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                for doc, text, skip in zip(*(part.column(i).to_pylist() for i in range(3))):
                     code = coder.encode(text or "") + end
                     n = len(code) // 4
                     if n:
@@ -261,5 +263,6 @@ def pack(docs: DataFrame, path: str, limits: Limits = Limits(), end_id: int | No
         packer.finish()
         if rows:
             yield taken()
+        release()
 
     return docs.select(columns).mapInArrow(run, SCHEMA.format(id_col, kind))

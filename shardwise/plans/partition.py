@@ -125,18 +125,21 @@ def partition(edges: DataFrame, spec: PartitionSpec, vertices: DataFrame | None
         state, log = _refine(work, opened, split, ts, kernel, spec, number, n, queries, dead, eps_level, base, watch)
         progress += log
         if spec.repair:
-            sizes = {r[0]: r[1] for r in state.groupBy("parent").count().collect()}  # one row per parent of the level, at most k
-            caps = _frame(spark, _caps(split, sizes, n, spec.k, spec.eps, eps_level), "parent int, bucket int, cap long")
-            spread = _with_t(refine.spread_counts(work, state, refine.neighbor_counts(work, state)), split, ts)
-            gains = refine.move_gains(spread, kernel, ts).groupBy("vid").agg(F.max("gain_fx").alias("gain_fx"))
-            over = state.groupBy("parent", "bucket").count().join(F.broadcast(caps), ["parent", "bucket"]).where("count > cap")
-            if not over.isEmpty():
+            held = {(r[0], r[1]): r[2] for r in state.groupBy("parent", "bucket").count().collect()}  # at most k rows
+            sizes: dict[int, int] = {}
+            for (parent, _), c in held.items():
+                sizes[parent] = sizes.get(parent, 0) + c
+            rows = _caps(split, sizes, n, spec.k, spec.eps, eps_level)
+            if any(held.get((parent, bucket), 0) > cap for parent, bucket, cap in rows):
+                caps = _frame(spark, rows, "parent int, bucket int, cap long")
+                spread = _with_t(refine.spread_counts(work, state, refine.neighbor_counts(work, state)), split, ts)
+                gains = refine.move_gains(spread, kernel, ts).groupBy("vid").agg(F.max("gain_fx").alias("gain_fx"))
                 fixed = stored(refine.repair_to_cap(state, gains, caps, spec.seed), "repaired")
                 forget(state)
                 state = fixed
         if number < len(levels):
-            nxt = stored(state.select("vid", F.col("bucket").alias("parent")), "state")
-            forget(state)
+            nxt = state.select("vid", F.col("bucket").alias("parent"))
+            nxt._stored_path = getattr(state, "_stored_path", None)
             state = nxt
     if work is not edges:
         forget(work)
@@ -174,6 +177,10 @@ def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_
     best, best_value, damp, before = None, math.inf, spec.damp, None
     p = {"fanout": 1.0, "clique": spec.p}.get(spec.objective, spec.p)
     siblings = _frame(spark, [(f, c) for (f, _), children in split for c, _ in children], "parent int, bucket int") if spec.nonpositive else None
+    caps = None
+    if spec.exchange == "histogram" and spec.slack:  # parents keep their sizes while their children trade
+        held = {r[0]: r[1] for r in state.groupBy("parent").count().collect()}
+        caps = _frame(spark, _caps(split, held, n, spec.k, spec.eps, eps_level), "parent int, bucket int, cap long")
     pairs = sum(len(c) ** 2 for _, c in split) * (128 if spec.exchange == "histogram" else 1)
     for turn in range(1, spec.rounds + 2):
         seen = Observation()
@@ -194,10 +201,8 @@ def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_
                     exchange = refine.swap_probability(refine.exchange_matrix(proposals))
                 else:
                     exchange = refine.histogram_match(refine.exchange_matrix(proposals, by_bin=True), spec.nonpositive)
-                    if spec.slack:
+                    if caps is not None:
                         sizes = state.groupBy("parent", "bucket").agg(F.count("*").alias("size"))
-                        held = {r[0]: r[1] for r in sizes.groupBy("parent").agg(F.sum("size")).collect()}
-                        caps = _frame(spark, _caps(split, held, n, spec.k, spec.eps, eps_level), "parent int, bucket int, cap long")
                         room = caps.join(sizes, ["parent", "bucket"], "left").select("bucket", "cap", F.coalesce("size", F.lit(0)).alias("size"))
                         exchange = refine.slack_moves(exchange, room)
                 moves = refine.accepted(proposals, exchange, spec.seed, level, turn, damp, rows=min(pairs, n))

@@ -3,12 +3,13 @@
 Sets of distinct k-word shingles (64-bit hashes of whole texts) are treated by size bands that grow by
 1/t, so partners lie in the same or in neighbouring bands. If J(A, B) >= t and A is the smaller set, then
 |A xor B| <= (1-t)/t * |A|; a band's bound d holds for all pairs whose smaller set lies in it. A band's
-sketch has d+1 words of 64 bits: a shingle's hash chooses the word and the bit, and flips it. The
-Hamming distance of two sketches never exceeds the size of the symmetric difference, so by the pigeonhole
-principle a word is equal in both, and by the ring form of that principle there is such a word whose
-successor differs in at most one bit. Each set is entered under the words of its own band's sketch and
-of the band's below. A word with few bits set says little; it is entered twice, joined with each half of
-its successor, one of which must be equal too.
+sketch has m > d words of 64 bits: a shingle's hash chooses the word, and another hash of it is XORed in.
+The number of words in which two sketches differ never exceeds the size of the symmetric difference, so
+by the pigeonhole principle at least m - d words are equal. Each set is entered under the words of its
+own band's sketch and of the band's below. Empty words, which say nothing, are left out where a set has
+fewer than m - d of them, since then one of the equal words is filled; m is chosen so that this is the rule.
+A second sketch has one parity bit per hash value; its Hamming distance bounds the symmetric difference
+from below as well.
 
 Equal sets share one hash and are one class from the start: copies cost one entry, and class ids, not
 documents, meet in the join. In each bucket first everything is held against one pivot, and linked
@@ -37,8 +38,8 @@ from pyspark.sql import functions as F
 
 from .common import forget, release, small, stored
 
-#: Words of a vocabulary kept in a worker's memo; longest word (bytes) kept there; a sketch word with at most so many bits is entered with its successor.
-MEMO, WORD, FEW_BITS = 200_000, 64, 2
+#: Words of a vocabulary kept in a worker's memo; longest word (bytes) kept there.
+MEMO, WORD = 200_000, 64
 #: Rows of a bucket that meet in one task at most, against as many others.
 CHUNK = 4096
 MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -64,6 +65,21 @@ class Rule:
         """Largest symmetric difference of a linked pair whose smaller set lies in the band."""
         return (100 - self.percent) * (self.bands_cached[band + 1] - 1) // self.percent
 
+    def words_of(self, band: int) -> int:
+        """Words of a band's sketch: its allowance, and more than a set of the band's least size is likely to leave empty."""
+        if (self, band) not in _words:
+            d, least = self.allowance(band), self.bands_cached[band]
+            m = d + 1
+            while True:
+                empty = m * math.exp(-least / m)
+                if m - d >= empty + 2 * math.sqrt(empty) + 1:
+                    break
+                m += 1
+                if m > 2 * d + 8:
+                    break
+            _words[self, band] = m
+        return _words[self, band]
+
     @property
     def bands_cached(self) -> list[int]:
         if self not in _bands:
@@ -72,6 +88,7 @@ class Rule:
 
 
 _bands: dict[Rule, list[int]] = {}
+_words: dict[tuple[Rule, int], int] = {}
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -109,14 +126,16 @@ class Shingler:
         return np.unique(out)
 
 
-def sketch(shingles: np.ndarray, words: int) -> np.ndarray:
-    """Parity sketch of so many 64-bit words."""
+def sketch(shingles: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sketch of so many 64-bit words, into each of which the hashes of its shingles are XORed; and which words have any."""
     with np.errstate(over="ignore"):
         h = mixed(shingles + np.uint64(words) * MIX)
-    cell = ((h >> np.uint64(32)) * np.uint64(words)) >> np.uint64(32)
-    out = np.zeros(words, np.uint64)
-    np.bitwise_xor.at(out, cell.astype(np.int64), np.uint64(1) << (h & np.uint64(63)))
-    return out
+        value = mixed(h + MIX)
+    cell = (((h >> np.uint64(32)) * np.uint64(words)) >> np.uint64(32)).astype(np.int64)
+    out, filled = np.zeros(words, np.uint64), np.zeros(words, bool)
+    np.bitwise_xor.at(out, cell, value)
+    filled[cell] = True
+    return out, filled
 
 
 def entries(shingles: np.ndarray, rule: Rule) -> np.ndarray:
@@ -127,15 +146,12 @@ def entries(shingles: np.ndarray, rule: Rule) -> np.ndarray:
     for band in (own, own - 1):
         if band < 0 or (d := rule.allowance(band)) == 0:
             continue  # only equal sets link there
-        w = sketch(shingles, d + 1)
-        after = np.roll(w, -1)
+        m = rule.words_of(band)
+        w, filled = sketch(shingles, m)
         with np.errstate(over="ignore"):
-            place = mixed(np.arange(d + 1, dtype=np.uint64) * MIX + np.uint64(band + 1))
-            base = mixed(w + place)
-            few = np.bitwise_count(w) <= FEW_BITS
-            keys.append(base[~few])
-            keys.append(mixed(base[few] + (after[few] & np.uint64(0xFFFFFFFF)) * MIX + np.uint64(1)))
-            keys.append(mixed(base[few] + (after[few] >> np.uint64(32)) * MIX + np.uint64(2)))
+            key = mixed(w + mixed(np.arange(m, dtype=np.uint64) * MIX + np.uint64(band + 1)))
+        # at least m - d words are equal in a linked set: with fewer empty ones than that, one of them is filled
+        keys.append(key[filled] if m - int(filled.sum()) < m - d else key)
     return np.unique(np.concatenate(keys)) if keys else np.empty(0, np.uint64)
 
 

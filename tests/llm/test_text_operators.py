@@ -250,7 +250,7 @@ def test_sketch_bounds_symmetric_difference():
         b = np.unique(np.concatenate([a[30:], rng.integers(0, 1 << 60, 20, dtype=np.uint64)]))
         d = len(np.setxor1d(a, b))
         assert jaccard.folded_distance(jaccard.whole_sketch(a), jaccard.whole_sketch(b)) <= d
-        assert int(np.bitwise_count(jaccard.sketch(a, 60) ^ jaccard.sketch(b, 60)).sum()) <= d
+        assert int((jaccard.sketch(a, 60)[0] != jaccard.sketch(b, 60)[0]).sum()) <= d
 
 
 def test_components_of_a_long_path(spark):

@@ -30,10 +30,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .bpe import byte_alphabet
 from .common import release
 
 #: Pieces that wait for a place in a task, pre-tokens kept in the memo, longest one (characters) kept there.
-BUFFER, MEMO, WORD = 256, 800_000, 64
+BUFFER, MEMO, WORD = 256, 400_000, 64
 # The pre-token pattern of word vocabularies.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 # The same for lower-case texts of Latin-1 alone, whose letters and numbers can be listed.
@@ -64,6 +65,8 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
+        self.tokenize = self.library.model.tokenize
+        self.symbols = {b: c for c, b in byte_alphabet().items()}
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         special = [re.escape(t.content) for t in self.library.get_added_tokens_decoder().values()]
@@ -71,8 +74,14 @@ class WordEncoder:
         self.words = regex.compile(PRETOKEN).findall
         self.latin = re.compile(LATIN).findall
 
-    def _ids(self, texts: list[str]) -> list[bytes]:
-        return [array("I", x.ids).tobytes() for x in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+    def _whole(self, text: str) -> bytes:
+        return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def _ids(self, word: str) -> bytes:
+        """One pre-token through the library's model, whose symbols stand for bytes."""
+        if not (word.isascii() and word.isalpha()):
+            word = word.encode("utf-8").decode("latin-1").translate(self.symbols)
+        return array("I", [t.id for t in self.tokenize(word)]).tobytes()
 
     def encode(self, text: str) -> bytes:
         try:
@@ -82,7 +91,7 @@ class WordEncoder:
             find = self.words
             text = unicodedata.normalize("NFC", text)
         if self.odd(text):
-            return self._ids([text])[0]
+            return self._whole(text)
         words = find(text.lower())
         young, found = self.young, None
         missing = set(words).difference(young)
@@ -94,7 +103,7 @@ class WordEncoder:
             new = [w for w in missing if w not in old]
             for w in missing.difference(new):
                 young[w] = old[w]
-            for w, ids in zip(new, self._ids(new)):
+            for w, ids in zip(new, map(self._ids, new)):
                 if len(w) <= WORD:
                     young[w] = ids
                 else:

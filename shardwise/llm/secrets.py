@@ -5,7 +5,10 @@ leaves the JVM and nothing is shuffled. Only texts that a cheap test finds to ho
 longer way. Entropy of a class of characters is measured in every window of fixed width over a
 candidate; a step takes one character in and one out and corrects the sum of c*log2(c) by the two
 counts that change. Candidates on the allow list (UUIDs, repeated or running characters, examples) give
-no span; the fixed patterns' spans stay in any case.
+no span; the fixed patterns' spans stay in any case. Candidates are runs of 20 characters or more, without
+or with digits, of hex, base64 (with its closing '='), URL-safe base64, or letters and digits; where a
+digit does not set them apart from words, identifiers and paths, unusual neighbours of letters do. Shorter
+strings, strings cut by other characters and windows under a class's threshold are not found.
 
 Defined cases: null text counts as empty and has no spans; spans of different kinds may overlap;
 candidates may be of any length; an empty table gives no rows; other columns are ignored or, in
@@ -28,21 +31,43 @@ ASSIGN_LEAST = 6
 KINDS = ("assign", "access", "hex")
 
 
+LETTERS = "abcdefghijklmnopqrstuvwxyz"
+#: After each letter those that words of the usual Latin-script languages hardly put there (under 2 in 10,000 pairs of letters); half of all pairs.
+UNUSUAL = {
+    "a": "jqz", "b": "bdfghkmnpqtvwxz", "c": "bdfgjmnpqsvwxyz", "d": "cfgjkmpqvxz", "e": "j", "f": "bcdghjkmnpqsvwxyz", "g": "cdfjkmpqvwxyz", "h": "dfjmqxy", "i": "juy",
+    "j": "bcdfghijklmnopqrstuvwxyz", "k": "abcdfghjklmnopqrtuvwxyz", "l": "bcghjkmnpqrvwxz", "m": "cdfghjklnqrvwxyz", "n": "jx", "o": "hjqxyz", "p": "bcghjkmnqvwxz", "q": "abcdefghijklmnopqrstvwxyz", "r": "fjqx",
+    "s": "fkvxz", "t": "dfgjkqx", "u": "jkuwyz", "v": "bcdfghjklmnpqrstuvwxyz", "w": "bcdfgjklmpqtuvwxyz", "x": "bdfghjklmnqrsuvwxyz", "y": "bcdfgjkmqruvxyz", "z": "bcdfghijklmnopqrstvwxyz",
+}
+
+
+def _mixed() -> str:
+    """Four unusual places, each at most six characters after the one before; a place is an unusual pair of letters (not where a capital starts a word), a change between letter and digit, or a capital that starts no word of three letters or more."""
+    pairs = [f"[{a}{a.upper()}](?=[{rest}])|{a.upper()}(?=[{rest.upper()}])" for a, rest in UNUSUAL.items()]
+    place = "(?:" + "|".join([*pairs, "[A-Za-z](?=[0-9])", "[0-9](?=[A-Za-z])", "[a-z](?=[A-Z](?![a-z]))", "[A-Z](?=[a-z][A-Z])"]) + ")"
+    return f"{place}(?:.{{0,5}}{place}){{3}}"
+
+
+MIXED = _mixed()
+
+
 @dataclass(frozen=True)
 class CharClass:
-    """Characters that count, the pattern of candidates, width of the window, entropy (bits) from which a window is hot."""
+    """Characters that count, the pattern of candidates, width of the window, entropy (bits) from which a window is hot, and what a candidate must hold, if anything, not to be words or a path."""
 
     name: str
     alphabet: str
     pattern: str
     width: int
     bits: float
+    needs: str | None = None
 
 
-LETTERS = "abcdefghijklmnopqrstuvwxyz"
+#: No class asks for a digit. A base64 candidate without one, any of the URL-safe alphabet and any of letters and digits alone must be MIXED; the last have a lower threshold, as 26 letters give less entropy.
 CLASSES = (
-    CharClass("entropy_hex", "0123456789" + LETTERS[:6] + LETTERS[:6].upper(), r"(?<![0-9A-Za-z])(?=[A-Fa-f]*+[0-9])[0-9A-Fa-f]{20,}(?![0-9A-Za-z])", 20, 3.0),
-    CharClass("entropy_base64", LETTERS + LETTERS.upper() + "0123456789+/", r"(?<![0-9A-Za-z+/])(?=[A-Za-z+/]*+[0-9])[0-9A-Za-z+/]{20,}", 20, 3.7),
+    CharClass("entropy_hex", "0123456789" + LETTERS[:6] + LETTERS[:6].upper(), r"(?<![0-9A-Za-z])[0-9A-Fa-f]{20,}(?![0-9A-Za-z])", 20, 3.0),
+    CharClass("entropy_base64", LETTERS + LETTERS.upper() + "0123456789+/=", r"(?<![0-9A-Za-z+/])(?=[A-Za-z]*+[0-9+/])[0-9A-Za-z+/]{20,}+={0,2}", 20, 3.7, "[0-9]|" + MIXED),
+    CharClass("entropy_base64url", LETTERS + LETTERS.upper() + "0123456789-_=", r"(?<![0-9A-Za-z_-])(?=[0-9A-Za-z]*+[_-])[0-9A-Za-z_-]{20,}+={0,2}", 20, 3.7, MIXED),
+    CharClass("entropy_alnum", LETTERS + LETTERS.upper() + "0123456789=", r"(?<![0-9A-Za-z])[0-9A-Za-z]{20,}+={0,2}", 20, 3.0, MIXED),
 )
 #: A candidate that one of these finds is suppressed.
 ALLOW = (r"^(.)\1+$", r"(?i)example|0123456789|abcdefghij", r"^[0-9]+$", r"^[0-9a-fA-F]{8}-([0-9a-fA-F]{4}-){3}[0-9a-fA-F]{12}$")
@@ -118,6 +143,8 @@ def entropy_spans(text: Column, classes: tuple[CharClass, ...] = CLASSES, allow:
         found = _located(text, cls.pattern)
         for pattern in allow:
             found = F.filter(found, lambda x: ~x["m"].rlike(pattern))
+        if cls.needs:
+            found = F.filter(found, lambda x: x["m"].rlike(cls.needs))
         hot = F.transform(found, lambda x: F.struct(x["s"].alias("s"), _hot_range(x["m"], cls).alias("h")))
         hot = F.filter(hot, lambda x: x["h"]["first"] >= 0)
         arrays.append(F.transform(hot, lambda x: F.struct((x["s"] + x["h"]["first"]).alias("s"), F.lit(order).alias("o"), (x["s"] + x["h"]["last"] + cls.width).alias("e"), F.lit(cls.name).alias("kind"))))

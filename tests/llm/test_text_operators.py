@@ -309,6 +309,25 @@ def test_redaction_keeps_the_rest(spark):
     assert not any(brute_base(t) for t in got.values() if t)
 
 
+def test_recall_on_random_tokens(spark):
+    """Random tokens of 20 characters or more are found, with digits or without; words, identifiers and paths stay."""
+    from string import ascii_letters, ascii_lowercase, digits
+
+    rng = random.Random(8)
+    alphabets = {"lower": ascii_lowercase, "letters": ascii_letters, "base36": ascii_lowercase + digits, "alnum": ascii_letters + digits, "base64": ascii_letters + digits + "+/", "url": ascii_letters + digits + "-_", "hex": digits + "abcdef", "HEX": digits + "ABCDEF"}
+    rows = [(f"{name} {n}", "".join(rng.choice(chars) for _ in range(n))) for name, chars in alphabets.items() for n in (20, 24, 32, 43) for _ in range(150)]
+    df = spark.createDataFrame([(i, f"see {token}, then") for i, (_, token) in enumerate(rows)], "doc_id long, text string")
+    missed = {}
+    for r in secrets.scan(df).collect():
+        missed[rows[r.doc_id][0]] = missed.get(rows[r.doc_id][0], 0) + (not r.found)
+    assert all(m <= (15 if name.endswith(" 20") else 6 if name.endswith(" 24") else 3) for name, m in missed.items()), missed
+
+    padded = "x qL9vX2mTz7RbYw4KpNc8Hd== y"
+    words = "Rechtsschutzversicherungsgesellschaften internationalization usr/local/share/doc/packages how-to-build-a-wooden-house AbstractSingletonProxyFactoryBean MAX_CONNECTION_POOL_SIZE_BYTES the-best-of-2024-in-review 3f2b8c1d-94ae-4d10-b7e6-0c5a9f18d2e7"
+    got = texts(secrets.redact(spark.createDataFrame([(0, padded), (1, words)], "doc_id long, text string")))
+    assert got == {0: "x [secret] y", 1: words}
+
+
 # quality
 
 

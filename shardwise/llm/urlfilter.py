@@ -4,7 +4,8 @@ A list is a log of changes (list, key, action, date). A key is a host, which cov
 host with a path prefix. An entry is valid from an addition to the next removal. Intervals are entered in
 each month they touch, and a capture asks for its own month only, under its host's suffixes and path
 prefixes. So a key with a long history does not multiply captures, and a frequent host is spread over
-months. The interval's ends are then compared exactly, and per capture the most specific entry decides,
+months. Hosts and paths may be of any depth: a capture asks for those suffixes and prefixes only whose
+number of labels or segments some key of the list has. The interval's ends are then compared exactly, and per capture the most specific entry decides,
 of these the latest, of these the smallest list name.
 
 Defined cases: null or unparsable URLs and null times match nothing and are kept; a repeated addition
@@ -21,8 +22,6 @@ from pyspark.sql import functions as F
 
 from .common import small, stored
 
-#: Labels of a host and segments of a path that keys may have.
-LABELS, SEGMENTS = 10, 4
 #: Entries up to which the list travels to every executor.
 LIST_ROWS = 200_000
 
@@ -36,15 +35,15 @@ def path_of(url: Column) -> Column:
     return F.coalesce(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*(/[^?#]*)", 1), F.lit(""))
 
 
-def keys_of(url: Column) -> Column:
-    """array<string>: host suffixes of two labels and more, and the host with each path prefix of whole segments."""
+def keys_of(url: Column, label_counts: list[int], segment_counts: list[int]) -> Column:
+    """array<string>: host suffixes of two labels and more (or the whole host), and the host with path prefixes of whole segments, of these numbers of labels or segments."""
     host = host_of(url)
     labels = F.split(host, r"\.")
-    n = F.size(labels)
-    suffixes = F.transform(F.sequence(F.lit(0), F.greatest(F.least(n, F.lit(LABELS)) - 2, F.lit(0))), lambda i: F.array_join(F.slice(labels, i + 1, n - i), "."))
     parts = F.filter(F.split(path_of(url), "/"), lambda x: x != "")
-    m = F.least(F.size(parts), F.lit(SEGMENTS))
-    prefixes = F.when(m > 0, F.transform(F.sequence(F.lit(1), F.greatest(m, F.lit(1))), lambda i: F.concat(host, F.lit("/"), F.array_join(F.slice(parts, F.lit(1), i), "/")))).otherwise(F.array().cast("array<string>"))
+    n, m = F.size(labels), F.size(parts)
+    among = lambda counts, wanted: F.filter(F.lit(sorted(counts)).cast("array<int>"), wanted)
+    suffixes = F.transform(among(label_counts, lambda c: (c <= n) & ((c >= 2) | (c == n))), lambda c: F.array_join(F.slice(labels, n - c + 1, c), "."))
+    prefixes = F.transform(among(segment_counts, lambda c: c <= m), lambda c: F.concat(host, F.lit("/"), F.array_join(F.slice(parts, F.lit(1), c), "/")))
     return F.when(host == "", F.array().cast("array<string>")).otherwise(F.array_distinct(F.concat(suffixes, prefixes)))
 
 
@@ -72,8 +71,14 @@ def temporal_list_join(captures: DataFrame, changes: DataFrame, id_col: str = "i
     last = F.least(F.coalesce("valid_to", horizon_col), horizon_col)
     spans = spans.withColumn("month", F.explode(F.sequence(month(F.col("valid_from")), month(last))))
     spans = stored(spans, "intervals")
-    asked = seen.select("id", "at", month(F.col("at")).alias("month"), F.explode(keys_of(F.col("url"))).alias("key"))
-    hit = asked.join(small(spans, spans.count(), LIST_ROWS), ["key", "month"]).where("valid_from <= at and (valid_to is null or at < valid_to)")
+    slashes = F.length("key") - F.length(F.translate("key", "/", ""))
+    depths = spans.agg(
+        F.count("*").alias("rows"),
+        F.collect_set(F.when(slashes == 0, F.size(F.split("key", r"\.")))).alias("labels"),
+        F.collect_set(F.when(slashes > 0, slashes)).alias("segments"),
+    ).first()
+    asked = seen.select("id", "at", month(F.col("at")).alias("month"), F.explode(keys_of(F.col("url"), depths["labels"], depths["segments"])).alias("key"))
+    hit = asked.join(small(spans, depths["rows"], LIST_ROWS), ["key", "month"]).where("valid_from <= at and (valid_to is null or at < valid_to)")
     best = F.min_by(F.struct("list", "key", "valid_from"), F.struct((-F.length("key")).alias("a"), F.expr("-unix_micros(cast(valid_from as timestamp))").alias("b"), F.col("list").alias("c"), F.col("key").alias("d")))
     decided = hit.groupBy("id").agg(F.count("*").alias("n_active"), best.alias("best"))
     return seen.select("id").join(decided, "id", "left").select(F.col("id").alias(id_col), F.coalesce("n_active", F.lit(0).cast("long")).alias("n_active"), F.col("best.list").alias("list"), F.col("best.key").alias("key"), F.col("best.valid_from").alias("valid_from"))

@@ -116,6 +116,17 @@ def test_url_lists(spark):
     assert urlfilter.temporal_list_join(caps, changes.where("false")).where("n_active > 0").count() == 0
 
 
+def test_url_lists_of_any_depth(spark):
+    deep = ".".join(f"l{i}" for i in range(13)) + ".example.com"
+    far = "/".join("abcdefgh")
+    keys = ["example.com", "l12.example.com", deep, f"h.example/{far[:11]}", f"h.example/{far}", f"{deep}/a/b/c/d/e", "local", "h.example//a"]
+    changes = spark.createDataFrame([("bad", k, "add", day(1)) for k in keys], "list string, key string, action string, at timestamp")
+    urls = [f"http://{deep}/", f"http://x.{deep}/{far}", f"http://h.example/{far}/i", f"http://h.example//{far[:11]}", f"http://h.example/{far[:9]}", f"http://{deep}/{far}", "http://local/", "http://not.local/", "http://notexample.com"]
+    caps = spark.createDataFrame([(i, u, day(2)) for i, u in enumerate(urls)], "id long, url string, at timestamp")
+    got = {r.id: (r.n_active, r.key) for r in urlfilter.temporal_list_join(caps, changes).collect()}
+    assert got == {0: (3, deep), 1: (3, deep), 2: (2, keys[4]), 3: (1, keys[3]), 4: (0, None), 5: (4, keys[5]), 6: (1, "local"), 7: (0, None), 8: (0, None)}
+
+
 def article(source):
     m = re.search(r"<article>(.*?)(</article>|<footer|$)", source, re.S)
     parts = [" ".join(entities.unescape(re.sub("<[^>]*>", "", b.replace("<br>", " "))).split()) for b in re.split(r"</?p>|</?h1>", m[1])]

@@ -3,11 +3,13 @@
 With c members of a query in a bucket, the improvement of a move from i to j is the sum over the vertex's
 queries of leave(c_i) - arrive(c_j). Terms are integers (fixed point with 40 binary places for the
 smoothed objective), so sums do not depend on the order of rows, and another engine gets the same ones.
-They come from a table made once in Python; beyond its end terms are zero.
+They come from a table made once in Python, beyond whose end terms are zero. Where such a table would be long
+(look-ahead over many final buckets), a term is the product of one entry for each ten binary digits of c.
 """
 
 from __future__ import annotations
 
+import functools
 import math
 from dataclasses import dataclass
 
@@ -17,17 +19,32 @@ from pyspark.sql import functions as F
 PLACES = 40
 
 
-def _terms(base: float) -> list[int]:
-    """round(base^c * 2^40) for c = 0, 1, ... until it is zero."""
+#: Longest table of terms; beyond it terms are products of entries by DIGITS binary digits of the count.
+SHORT, DIGITS = 4001, 10
+
+
+def _terms(base: float) -> list[int] | None:
+    """round(base^c * 2^40) for c = 0, 1, ... until it is zero; None if that takes more than SHORT entries."""
     out, c = [], 0
     while True:
         value = int(math.floor(base**c * (1 << PLACES) + 0.5))
-        if value == 0 or c > 4000:
+        if value == 0:
             return out
+        if c == SHORT:
+            return None
         out.append(value)
         c += 1
 
 
+def _factors(base: float) -> list[list[float]]:
+    """Tables i = 0, 1, ... of base^(d * 2^(10 i)) for d = 0 to 1023, so many that terms of larger counts are zero; powers too small to matter are 0."""
+    out = []
+    while not out or (len(out) < 6 and base ** (1 << DIGITS * len(out)) * (1 << PLACES) >= 0.5):
+        powers = (base ** (d << DIGITS * len(out)) for d in range(1 << DIGITS))
+        out.append([x if x * (1 << PLACES + 2) >= 1 else 0.0 for x in powers])
+    return out
+
+
 @dataclass(frozen=True)
 class Kernel:
     """objective 'pfanout', 'fanout' or 'clique'; t: final buckets below a bucket (look-ahead), 1 for none."""
@@ -53,6 +70,11 @@ class Kernel:
         if self.objective == "clique":
             return -c.cast("long")
         terms = _terms(self.base(t))
+        if terms is None:
+            factors, mask = _factors(self.base(t)), (1 << DIGITS) - 1
+            at = lambda i: F.shiftright(c.cast("long"), DIGITS * i).bitwiseAND(F.lit(mask)).cast("int") + 1
+            power = functools.reduce(lambda x, y: x * y, (F.element_at(F.lit(f).cast("array<double>"), at(i)) for i, f in enumerate(factors)))
+            return F.when(c < (1 << DIGITS * len(factors)), F.floor(power * F.lit(float(1 << PLACES)) + F.lit(0.5))).otherwise(F.lit(0)).cast("long")
         table = F.lit(terms).cast("array<bigint>")
         return F.when(c < len(terms), F.element_at(table, (c + 1).cast("int"))).otherwise(F.lit(0).cast("long"))
 
@@ -67,6 +89,10 @@ class Kernel:
         if self.objective == "clique":
             return f"(-CAST({c} AS BIGINT))"
         terms = _terms(self.base(t))
+        if terms is None:
+            factors, mask = _factors(self.base(t)), (1 << DIGITS) - 1
+            power = " * ".join(f"CAST([{', '.join(f'{x:.17e}' for x in f)}] AS DOUBLE[])[((CAST({c} AS BIGINT) >> {DIGITS * i}) & {mask}) + 1]" for i, f in enumerate(factors))
+            return f"CASE WHEN ({c}) < {1 << DIGITS * len(factors)} THEN CAST(floor({power} * {float(1 << PLACES)!r} + 0.5) AS BIGINT) ELSE 0 END"
         return f"CASE WHEN ({c}) < {len(terms)} THEN CAST([{', '.join(map(str, terms))}][CAST({c} AS INTEGER) + 1] AS BIGINT) ELSE 0 END"
 
     def leave_sql(self, c: str, t: int = 1) -> str:

@@ -81,6 +81,27 @@ def test_gains_equal_differences(spark, objective):
         assert g == pytest.approx(value(place) - value(place | {v: dst}), abs=1e-9)
 
 
+@pytest.mark.parametrize("p, t", [(0.5, 64), (0.5, 70), (0.5, 256), (0.5, 4096), (0.001, 1), (0.01, 4096)])
+def test_terms_of_large_counts(spark, p, t):
+    """round((1 - p/t)^c * 2^40) for counts of any size, within one unit, never growing, and the same in SQL."""
+    import decimal
+
+    import duckdb
+
+    kernel, exact = Kernel("pfanout", p), decimal.Context(prec=60)
+    end = int(29 * t / p)
+    counts = sorted({0, 1, 2, 1023, 1024, 1025, 3999, 4000, 4001, 4002, 5000, 14000, 1 << 20, (1 << 20) + 1, 10**8, 10**10} | {end * i // 50 for i in range(55)})
+    df = spark.createDataFrame([(c,) for c in counts], "c long")
+    got = {r.c: (r.a, r.l) for r in df.select("c", kernel.arrive(F.col("c"), t).alias("a"), kernel.leave(F.col("c") + 1, t).alias("l")).collect()}
+    base = decimal.Decimal(kernel.base(t))
+    for c in counts:
+        assert abs(got[c][0] - exact.power(base, c) * (1 << 40)) <= 1
+        assert got[c][0] == got[c][1]
+    assert [got[c][0] for c in counts] == sorted((a for a, _ in got.values()), reverse=True)
+    sql = duckdb.connect().sql(f"SELECT c, {kernel.arrive_sql('c', t)}, {kernel.leave_sql('(c + 1)', t)} FROM (SELECT unnest({counts}::BIGINT[]) AS c)").fetchall()
+    assert {c: (a, l) for c, a, l in sql} == got
+
+
 def test_histogram_bins(spark):
     """The worked bins: a falling sum ends the admitted head of both queues."""
     cols = "src int, dst int, gbin int, candidates long, gain_sum decimal(38,0)"

@@ -22,10 +22,13 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def duplicates_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the document with the smallest id of each component."""
-    found = jaccard.near_duplicates(docs, jaccard.Rule(words=5, percent=80))
-    gone = stored(found.where("component_id <> doc_id").select("doc_id").distinct(), "gone")
-    return docs.join(small(gone, gone.count()), "doc_id", "left_anti").select(*docs.columns)
+    """Keep one row of each component, one with the smallest id (null ids last); ids may repeat, rows are told apart by a number of their own."""
+    rows = stored(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
+    found = jaccard.near_duplicates(rows, jaccard.Rule(words=5, percent=80), id_col="_row")
+    order = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "_row")
+    least = found.select("_row", "component_id").join(rows.select("_row", "doc_id"), "_row").groupBy("component_id").agg(F.min(order).alias("least"))
+    gone = stored(rows.select("_row").join(least.select("least._row"), "_row", "left_anti"), "gone")
+    return rows.join(small(gone, gone.count()), "_row", "left_anti").select(*docs.columns)
 
 
 def secrets_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -385,3 +385,14 @@ def test_pipeline_stages(spark, sf):
     assert not any(brute_base(t) for t in texts(clean).values())
     assert {r.doc_id for r in packed.collect()} == set(texts(unique))
     check_packing(clean, packed.collect())
+
+
+def test_duplicates_stage_decides_by_row(spark, sf):
+    import corpus_pipeline as cp
+
+    text = {c: " ".join(f"{c}{i}" for i in range(30)) for c in "abcd"}
+    rows = [(1, "a"), (1, "a"), (4, "a"), (None, "a"), (None, "b"), (None, "b"), (2, "c"), (7, "c"), (7, "d"), (9, ""), (None, "")]
+    df = spark.createDataFrame([(i, text.get(c, c), "x") for i, c in rows], "doc_id long, text string, lang string")
+    got = cp.duplicates_stage(spark, df, sf)
+    assert got.columns == df.columns
+    assert sorted(((r.doc_id, r.text[:1]) for r in got.collect()), key=str) == sorted([(1, "a"), (None, "b"), (2, "c"), (7, "d"), (9, ""), (None, "")], key=str)

@@ -4,7 +4,7 @@ A record's layout is the set of its nested field paths. Its hash, the fingerprin
 mapping (where the turns are, which fields hold role and text, which names roles go by) that turns the
 record into canonical turns. JSON records of several layouts may stand in one column: the fingerprint
 is computed per row from the record's own structure. For a table of one schema it is computed from that
-schema when the query is planned.
+schema, as given, when the query is planned, and its mapping names the columns of id, turn, role and text.
 
 Template: ``<|im_start|>role``, newline, text, ``<|im_end|>``, newline, per turn. Inside roles and texts
 every ``<`` that stands before ``|`` or a backslash gets a backslash after it, so no control string can
@@ -13,7 +13,7 @@ written as percent codes. The loss mask is a list of spans of the formatted text
 
 Defined cases: null text or role counts as empty; a conversation without turns formats to empty text;
 turns with equal numbers are ordered by role, then text; records of unknown layout give null turns (see
-``unmatched``); extra columns of a table of turns are ignored; an empty table gives no rows. A
+``unmatched``), and a table of turns of unknown layout is an error; extra columns of a table of turns are ignored; an empty table gives no rows. A
 conversation is one row of the result, so it is assembled in one task; equal conversations are not
 grouped, so a frequent one is no hot key.
 """
@@ -37,6 +37,7 @@ class Mapping:
 
     list_path with role and text: an array of messages. Otherwise fields: (role, path) in order; fields
     with the same role that follow each other are joined by two line ends, empty ones are left out.
+    columns: id, turn, role and text of a table of turns; renames: its roles may go by other names.
     """
 
     name: str
@@ -46,6 +47,8 @@ class Mapping:
     text: str = "content"
     fields: tuple[tuple[str, str], ...] = ()
     optional: tuple[str, ...] = ()
+    columns: tuple[str, str, str, str] | None = None
+    renames: bool = False
 
 
 #: Other names of roles.
@@ -57,7 +60,9 @@ MAPPINGS = (
     Mapping("instruction", ("instruction", "input", "output"), fields=(("user", "$.instruction"), ("user", "$.input"), ("assistant", "$.output")), optional=("input",)),
     Mapping("prompt", ("prompt", "response"), fields=(("user", "$.prompt"), ("assistant", "$.response"))),
     Mapping("completion", ("system", "prompt", "completion"), fields=(("system", "$.system"), ("user", "$.prompt"), ("assistant", "$.completion")), optional=("system",)),
-    Mapping("turn_rows", ("conv_id", "role", "text", "turn")),
+    Mapping("turn_rows", ("conv_id", "role", "text", "turn"), columns=("conv_id", "turn", "role", "text")),
+    Mapping("message_rows", ("conversation_id", "message_index", "role", "content"), columns=("conversation_id", "message_index", "role", "content")),
+    Mapping("value_rows", ("id", "turn", "from", "value"), columns=("id", "turn", "from", "value"), renames=True),
 )
 
 
@@ -162,13 +167,25 @@ def turns_of_records(records: DataFrame, id_col: str, json_col: str, mappings: S
     return df.select(id_col, chosen.alias("turns"), layout.alias("layout"))
 
 
-def turns_of_rows(rows: DataFrame, id_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:
-    """A table with one row per turn to (id, turns, layout): one shuffle on the id."""
-    used = rows.select(F.col(id_col).alias("conv_id"), F.col(role_col).alias("role"), F.col(text_col).alias("text"), F.col(turn_col).alias("turn"))
-    layout = next((m.name for m in MAPPINGS if fingerprint_of(paths_of(used.schema)) in _fingerprints(m)), "unmatched")
-    turn = F.struct(F.col("turn"), F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    grouped = used.groupBy("conv_id").agg(F.array_sort(F.collect_list(turn)).alias("t"))
-    return grouped.select(F.col("conv_id").alias(id_col), F.transform("t", lambda x: F.struct(x["role"], x["text"])).cast(TURNS).alias("turns"), F.lit(layout).alias("layout"))
+def layout_of_table(schema: T.StructType, mappings: Sequence[Mapping] = MAPPINGS) -> Mapping:
+    """The mapping of a table of turns: the one of the schema's fingerprint, or else the first whose fingerprint is that of the columns it knows (others are ignored)."""
+    paths = paths_of(schema)
+    tables = [m for m in mappings if m.columns]
+    for known in (lambda m: paths, lambda m: [p for p in paths if p in m.paths]):
+        for m in tables:
+            if fingerprint_of(known(m)) in _fingerprints(m):
+                return m
+    raise ValueError(f"no mapping for a table of turns with the columns {', '.join(sorted(paths))}")
+
+
+def turns_of_rows(rows: DataFrame, mappings: Sequence[Mapping] = MAPPINGS, roles: dict[str, str] | None = None) -> DataFrame:
+    """A table with one row per turn to (id, turns, layout), by the mapping that its schema's fingerprint selects: one shuffle on the id."""
+    m = layout_of_table(rows.schema, mappings)
+    id_col, turn_col, role_col, text_col = m.columns
+    role = _role(F.col(role_col), (ROLES if roles is None else roles) if m.renames else {})
+    turn = F.struct(F.col(turn_col).alias("turn"), role.alias("role"), F.coalesce(text_col, F.lit("")).alias("text"))
+    grouped = rows.groupBy(id_col).agg(F.array_sort(F.collect_list(turn)).alias("_t"))
+    return grouped.select(id_col, F.transform("_t", lambda x: F.struct(x["role"], x["text"])).cast(TURNS).alias("turns"), F.lit(m.name).alias("layout"))
 
 
 def escape(text: Column) -> Column:

@@ -253,6 +253,17 @@ def test_sketch_bounds_symmetric_difference():
         assert int((jaccard.sketch(a, 60)[0] != jaccard.sketch(b, 60)[0]).sum()) <= d
 
 
+def test_fingerprint_selects_columns_of_turn_tables(spark):
+    for names, layout, said in (("conv_id turn role text", "turn_rows", "human"), ("conversation_id message_index role content", "message_rows", "human"), ("id turn from value", "value_rows", "user")):
+        a, b, c, d = names.split()
+        df = spark.createDataFrame([(1, 2, "gpt", "two", 0), (1, 1, "human", "one", 0)], f"{a} long, {b} int, `{c}` string, {d} string, extra int")
+        for frame in (df, df.drop("extra")):
+            r = chat.turns_of_rows(frame).first()
+            assert (r[a], r.layout, [t.text for t in r.turns], r.turns[0].role) == (1, layout, ["one", "two"], said)
+    with pytest.raises(ValueError):
+        chat.turns_of_rows(spark.createDataFrame([(1, 1, "user", "one")], "conv_id long, turn int, speaker string, text string"))
+
+
 def test_components_of_a_long_path(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(60)] + [(100, 101), (5, 5)], "a long, b long")
     got = {r.node: r.root for r in jaccard.components(links).collect()}

@@ -354,8 +354,15 @@ def _sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def wrappers(pages: DataFrame) -> DataFrame:
-    """pages(page_id, host, html) to (host, wrapper): path of the container of each host."""
-    references = stored(pages.groupBy("host").agg(F.min_by(F.coalesce("html", F.lit("")), F.struct("page_id", F.xxhash64("html"))).alias("reference")), "references")
+    """pages(page_id, host, html) to (host, wrapper): path of the container of each host.
+
+    The page that all others are aligned with has the median number of opening tags of its host's pages with any, and
+    of such pages the smallest id: neither an empty page, nor a short error page, nor a long one of another kind.
+    """
+    tagged = pages.select("page_id", "host", "html", F.regexp_count("html", F.lit("<[A-Za-z]")).alias("tags")).where("tags > 0")
+    middle = stored(tagged.groupBy("host").agg(F.expr("cast(percentile_disc(0.5) within group (order by tags) as int)").alias("middle")), "middle")
+    typical = _by_host(tagged, middle, "host").where("tags = middle")
+    references = stored(typical.groupBy("host").agg(F.min_by("html", F.struct("page_id", F.xxhash64("html"))).alias("reference")), "references")
     joined = _by_host(pages, references, "reference").select("host", "html", "reference")
     slots = joined.mapInArrow(_sums, "host string, path string, hits long, same long, chars long").groupBy("host", "path").agg(*[F.sum(c).alias(c) for c in ("hits", "same", "chars")])
 

@@ -157,6 +157,15 @@ def test_wrapper_without_article_elements(spark):
     assert html.extract(df.where("false")).count() == 0
 
 
+@pytest.mark.parametrize("odd", [None, "", "plain text", "<html><body><h1>404</h1><p>Not found</p></body></html>", "<html><body>" + "<ul><li><a href=x>entry</a></li></ul>" * 60 + "</body></html>"])
+def test_wrapper_when_the_first_page_is_of_another_kind(spark, odd):
+    page_of = lambda i: page(i).replace("class=cookie-notice", "class=zz9").replace("We use cookies", "Buy this")
+    rows = [(-1, "http://h.example/0", odd)] + [(i, f"http://h.example/{i}", page_of(i)) for i in range(6)]
+    got = {r.page_id: r.text for r in html.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for i in range(6):
+        assert got[i] == f"Title {i}\n\nText é {i} one two\n\nfirst {i}\n\nsecond\n\nSame closing words."
+
+
 def test_tree_matching_is_largest():
     a, b = html.parse("<body><div><p>1</p><ul><li>x</li></ul></div><p>2</p></body>"), html.parse("<body><p>0</p><div><h1>t</h1><p>1</p><ul><li>x</li><li>y</li></ul></div></body>")
     tags = [(x.tag, y.tag) for x, y in html.matched(a, b)]

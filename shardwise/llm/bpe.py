@@ -7,8 +7,7 @@ to remember one thing per position: the last token of the encoding that ends the
 starts at most ``sufficient_lookahead`` bytes (the longest token that the merge list can build) before
 the current end, so a token is stable, and is emitted, once the back-chains of all positions inside
 that window run through it. The window is trimmed after each emission: memory does not grow with the
-text. A pre-token that ends inside the window is closed at its end and encoded at once; finished
-pre-tokens are memoised in a bounded table.
+text. Every pre-token goes through the transducer; finished short ones are memoised in a bounded table.
 
 Defined cases: null text counts as empty (0 ids); the special token's string in a text is that token;
 any other text, however long, is read in windows. Decoding maps ids to bytes and runs an incremental
@@ -28,8 +27,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 #: Characters of a text that are looked at together; entries kept in the table of finished pre-tokens;
-#: longest pre-token (bytes) that is closed in one step instead of streamed.
-WINDOW, MEMO, CLOSE_BYTES = 1 << 16, 600_000, 96
+#: longest pre-token (bytes) that this table keeps.
+WINDOW, MEMO, KEEP_BYTES = 1 << 16, 600_000, 96
 NEVER = 1 << 62
 
 # The pre-token pattern of byte-level vocabularies. White space is spelt out, since engines differ on \s.
@@ -180,15 +179,12 @@ class Encoder(dict):
             self._keep(word, packed)
             return packed
         data = word.encode("utf-8", "surrogatepass")
-        if len(data) <= CLOSE_BYTES:
-            ids = self.m.close(data)
-        else:
-            machine, ids = Transducer(self.m), []
-            for at in range(0, len(data), 1024):
-                ids += machine.feed(data[at : at + 1024])
-            ids += machine.finish()
+        machine, ids = Transducer(self.m), []
+        for at in range(0, len(data), 1024):
+            ids += machine.feed(data[at : at + 1024])
+        ids += machine.finish()
         packed = b"".join(i.to_bytes(4, "little") for i in ids)
-        if len(data) <= CLOSE_BYTES:
+        if len(data) <= KEEP_BYTES:
             self._keep(word, packed)
         return packed
 

@@ -57,6 +57,14 @@ def test_bpe_equals_library(docs, odd):
     check_bpe(odd)
 
 
+def test_bpe_short_pretokens_take_the_transducer(monkeypatch):
+    fed, feed = [], bpe.Transducer.feed
+    monkeypatch.setattr(bpe.Transducer, "feed", lambda self, piece: fed.append(bytes(piece)) or feed(self, piece))
+    ids = b"".join(bpe.Encoder(tokenizer_path(BYTE)).encode("the cat's the cat é"))
+    assert fed == [b"the", b" cat", b"'s", b" the", " é".encode()]
+    assert np.frombuffer(ids, "<u4").tolist() == library(BYTE).encode("the cat's the cat é", add_special_tokens=False).ids
+
+
 def test_bpe_window_stays_bounded():
     enc, lib, rnd = bpe.encoder(tokenizer_path(BYTE)), library(BYTE), random.Random(1)
     for alphabet in ("ab", "theing", "=-", "é", "0123456789", " "):

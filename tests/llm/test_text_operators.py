@@ -80,6 +80,38 @@ def test_bpe_window_stays_bounded():
             assert machine.most <= 6 * enc.m.sufficient_lookahead
 
 
+def test_bpe_lookahead_decides_boundaries():
+    """Boundaries with the sufficient lookahead behind them are the same whatever follows; tokens side by side are those that the merge loop leaves apart."""
+    enc, rnd = bpe.encoder(tokenizer_path(BYTE)), random.Random(5)
+    m = enc.m
+    ids = sorted(m.id_of.values())
+    for pool in (ids, [i for i in ids if len(m.bytes_of[i]) < 4], [i for i in ids if len(set(m.bytes_of[i])) < 3]):
+        for _ in range(4000):
+            a, b = rnd.choice(pool), rnd.choice(pool)
+            assert m.fits(a, b) == (m.close(m.bytes_of[a] + m.bytes_of[b])[0] == [a, b])
+    assert m.longest <= m.sufficient_lookahead < 4096
+
+    def ends(data):
+        at, out = 0, set()
+        for i in m.close(data)[0]:
+            at += len(m.bytes_of[i])
+            out.add(at)
+        return out
+
+    for alphabet in (b" ", b"=-", b"-_-", b"theinga"):
+        head = bytes(rnd.choice(alphabet) for _ in range(m.sufficient_lookahead + 300))
+        decided = [{x for x in ends(head + bytes(rnd.choice(alphabet) for _ in range(rnd.randrange(400)))) if x <= 300} for _ in range(4)]
+        assert all(d == decided[0] for d in decided)
+
+
+def test_bpe_long_pretoken_is_streamed():
+    enc, lib, rnd = bpe.encoder(tokenizer_path(BYTE)), library(BYTE), random.Random(6)
+    text = "a " + "".join(rnd.choice("theingoé") for _ in range(150_000)) + "<|endoftext|>" + "-" * 70_000 + "\n"
+    parts = list(enc.encode(text))
+    assert max(map(len, parts)) < 200_000 and len(parts) > 20
+    assert np.frombuffer(b"".join(parts), "<u4").tolist() == lib.encode(text, add_special_tokens=False).ids
+
+
 def test_bpe_decodes_split_characters():
     enc = bpe.encoder(tokenizer_path(BYTE))
     packed = b"".join(enc.encode("😀漢é"))

@@ -1,33 +1,44 @@
 """Main text of web pages by wrapper induction over pages of one host.
 
-Each host has a reference page (its smallest page id). Every page of the host is parsed to a tree and
+Each host has a reference page, a typical one of its pages. Every page of the host is parsed to a tree and
 aligned with the reference by simple tree matching: two elements match if their names agree, and their
-children are matched in order so that the number of matched elements is largest. Over all pages each
-node of the reference gathers how often it was matched, how often its own text stayed the same, and how
-much text it held. Nodes with the same text everywhere are template; nodes whose text varies are slots.
-The wrapper of a host is the path to the container that holds the varying slots, found by descending from
-the body while one container has most of the varying text. A page's text is what stands in the wrapper's
-container, without parts that are boilerplate by their element or by the names they carry; all blocks in
-it are kept, varying or not, so a sentence that repeats across pages is not lost.
+children are matched in order so that the number of matched elements is largest. Over all pages each line
+of text of a reference node gathers on how many pages it was matched, how many different texts stood there,
+how often the most frequent one, and how much text. A line whose text recurs is template, one whose text
+differs from page to page is a slot.
+
+The wrapper of a host has three parts. Its container is found by descending from the body while one element
+holds most of the slots' text. Its constants are the lines inside the container that are the same on
+nearly all of at least LEAST pages, while others there vary and they are no more than half of the text: they are template
+too, and are left out wherever the same element has that very text. And it names those elements whose names sound like boilerplate, but
+which hold the page's headline and most of the slots: there the data overrule the names. A page's text
+is what stands in the container without the constants. Reader comments, rotating adverts and the like vary as articles
+do, so inside the container, and on hosts with too few pages to tell, elements and names decide.
 
 Alignment first takes off equal subtrees at both ends of the child lists, where matching them is best
-anyway, so its cost is near linear on pages of one template. Only sums per reference node leave a task;
-a frequent host is spread over tasks as its pages are.
+anyway, so its cost is near linear on pages of one template. It keeps its own stack, so depth does not
+matter; lists for which the pairs of one page would exceed CELLS are aligned along the subtrees of a shape
+that occurs once in both, in order, and between those by name in order. Only counts per line of the reference
+leave a task; a frequent host is spread over tasks as its pages are.
 
 Defined cases: null HTML counts as empty and has empty text; pages that lack the wrapper's container are
 read in their first article or main element, else in their body; a null URL's host is empty; unclosed and
-misnested elements are closed where their parents end; repeated pages are rows of their own; extra
-columns are ignored; an empty table gives no rows.
+misnested elements are closed where their parents end; nodes nested deeper than DEPTH take no part in
+the induction but in the text; repeated pages are rows of their own; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import html as entities
+import json
 import re
-from collections import defaultdict
-from collections.abc import Iterator
+from bisect import bisect_left
+from collections import Counter, defaultdict
+from collections.abc import Callable, Collection, Iterator
+from operator import attrgetter
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -36,6 +47,10 @@ from .urlfilter import host_of
 
 #: Bytes of reference pages or wrappers up to which they travel to every executor; salts of the join beyond it.
 BROADCAST_BYTES, SALTS = 16 << 20, 64
+#: Pairs of children that are weighed for one page; levels of nesting that the induction looks at.
+CELLS, DEPTH = 250_000, 100
+#: Pages that it takes to call a line constant, and the share of them that must agree.
+LEAST, AGREE = 5, 0.9
 
 # Element classes of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -52,7 +67,7 @@ ATTRIBUTE = re.compile(r"""([a-zA-Z_:][-\w:.]*)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|
 
 
 class Node:
-    __slots__ = ("tag", "names", "kids", "parts", "shape", "size")
+    __slots__ = ("tag", "names", "kids", "parts", "shape", "whole", "size")
 
     def __init__(self, tag: str, attributes: str = ""):
         self.tag, self.kids, self.parts = tag, [], []  # kids: elements; parts: elements and texts in order
@@ -65,10 +80,10 @@ class Node:
             if "hidden" in got or got.get("aria-hidden") == "true" or "display:none" in got.get("style", "").replace(" ", "").lower():
                 names.add("popup")
             self.names = frozenset(names)
-        self.shape = self.size = 0
+        self.shape = self.whole = self.size = 0
 
     def seal(self) -> None:
-        """Sizes and shapes of all subtrees, children first."""
+        """Sizes, shapes, and shapes with texts of all subtrees, children first."""
         order, stack = [], [self]
         while stack:
             node = stack.pop()
@@ -77,15 +92,16 @@ class Node:
         for node in reversed(order):
             node.size = 1 + sum(k.size for k in node.kids)
             node.shape = hash((node.tag, node.names, tuple(k.shape for k in node.kids)))
+            node.whole = hash((node.tag, node.names, tuple(p if isinstance(p, str) else p.whole for p in node.parts)))
 
     @property
-    def boilerplate(self) -> bool:
-        if self.tag in BOILERPLATE:
-            return True
-        return any(n in NAMES or not NAMES.isdisjoint(re.split(r"[-_]", n)) for n in self.names) and self.tag not in ("html", "body", "article", "main")
+    def named(self) -> bool:
+        """Whether its names sound like boilerplate."""
+        return bool(self.names) and any(n in NAMES or not NAMES.isdisjoint(re.split(r"[-_]", n)) for n in self.names) and self.tag not in ("html", "body", "article", "main")
 
-    def own_text(self) -> str:
-        return " ".join("".join(p for p in self.parts if isinstance(p, str)).split())
+    @property
+    def boilerplate(self) -> bool:
+        return self.tag in BOILERPLATE or self.named
 
 
 def parse(source: str) -> Node:
@@ -93,6 +109,13 @@ def parse(source: str) -> Node:
     root = Node("html")
     stack, at, n = [root], 0, len(source)
     match = TOKEN.search
+    opened: Counter[str] = Counter()  # what is open, so that a search in vain costs nothing
+
+    def leave(k: int) -> None:
+        for node in stack[k:]:
+            opened[node.tag] -= 1
+        del stack[k:]
+
     while at < n:
         m = match(source, at)
         end = m.start() if m else n
@@ -107,9 +130,9 @@ def parse(source: str) -> Node:
             continue
         tag = m[2].lower()
         if m[1]:
-            for k in range(len(stack) - 1, 0, -1):
+            for k in range(len(stack) - 1 if opened[tag] else 0, 0, -1):
                 if stack[k].tag == tag:
-                    del stack[k:]
+                    leave(k)
                     break
                 if stack[k].tag in ("td", "th", "table") and tag not in ("table", "tr", "td", "th", "tbody", "thead", "tfoot", "body", "html"):
                     break
@@ -121,17 +144,17 @@ def parse(source: str) -> Node:
             continue
         implied = {"p"} if tag in CLOSES_P else set()
         scope = {"li": ({"li"}, {"ul", "ol"}), "dd": ({"dd", "dt"}, {"dl"}), "dt": ({"dd", "dt"}, {"dl"}), "option": ({"option"}, {"select"}), "tr": ({"tr", "td", "th"}, {"table"}), "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "body": ({"head"}, set())}.get(tag)
-        if implied:
+        if implied and opened["p"]:
             for k in range(len(stack) - 1, 0, -1):
                 if stack[k].tag == "p":
-                    del stack[k:]
+                    leave(k)
                     break
                 if stack[k].tag in BLOCK:
                     break
-        if scope:
+        if scope and any(opened[x] for x in scope[0]):
             for k in range(len(stack) - 1, 0, -1):
                 if stack[k].tag in scope[0]:
-                    del stack[k:]
+                    leave(k)
                     break
                 if stack[k].tag in scope[1]:
                     break
@@ -143,103 +166,208 @@ def parse(source: str) -> Node:
             at = close.end() if close else n
         elif tag not in VOID and not (m[3] or "").endswith("/"):
             stack.append(node)
+            opened[tag] += 1
     root.seal()
     return root
 
 
 def matched(a: Node, b: Node) -> list[tuple[Node, Node]]:
     """Pairs of a largest simple tree matching of two trees with equal roots, in document order of a."""
+    aligner = _Aligner()
     out: list[tuple[Node, Node]] = []
     stack = [(a, b)]
-    memo: dict[tuple[int, int], int] = {}
     while stack:
         x, y = stack.pop()
         out.append((x, y))
-        stack.extend(reversed(_aligned(x.kids, y.kids, memo)))
+        stack.extend(reversed(_run(aligner.children(x.kids, y.kids))))
     return out
 
 
-def _weight(x: Node, y: Node, memo: dict) -> int:
-    """Elements in a largest matching of two subtrees."""
-    if x.tag != y.tag:
-        return 0
-    if x.shape == y.shape:
-        return x.size
-    if not x.kids or not y.kids:
-        return 1
-    key = (id(x), id(y))
-    if key not in memo:
-        memo[key] = 1 + sum(_weight(p, q, memo) for p, q in _aligned(x.kids, y.kids, memo))
-    return memo[key]
-
-
-def _aligned(xs: list[Node], ys: list[Node], memo: dict) -> list[tuple[Node, Node]]:
-    head = 0
-    while head < min(len(xs), len(ys)) and xs[head].shape == ys[head].shape:
-        head += 1
-    tail = 0
-    while tail < min(len(xs), len(ys)) - head and xs[-1 - tail].shape == ys[-1 - tail].shape:
-        tail += 1
-    p, q = xs[head : len(xs) - tail], ys[head : len(ys) - tail]
-    middle: list[tuple[Node, Node]] = []
-    if p and q:
-        best = [[0] * (len(q) + 1) for _ in range(len(p) + 1)]
+def _run(task: Iterator):
+    """Run a generator that yields generators whose results it waits for: recursion with a stack of its own."""
+    stack, value = [task], None
+    while stack:
+        try:
+            stack.append(stack[-1].send(value))
+            value = None
+        except StopIteration as end:
+            stack.pop()
+            value = end.value
+    return value
+
+
+class _Aligner:
+    """Alignments of children, and the sizes of largest matchings they rest on, for one pair of pages."""
+
+    def __init__(self):
+        self.memo: dict[tuple[int, int], int] = {}
+        self.cells = CELLS
+
+    def weight(self, x: Node, y: Node):
+        """Elements in a largest matching of two subtrees."""
+        if x.tag != y.tag:
+            return 0
+        if x.shape == y.shape:
+            return x.size
+        if not x.kids or not y.kids:
+            return 1
+        key = (id(x), id(y))
+        if key not in self.memo:
+            total = 1
+            for p, q in (yield self.children(x.kids, y.kids)):
+                total += yield self.weight(p, q)
+            self.memo[key] = total
+        return self.memo[key]
+
+    def children(self, xs: list[Node], ys: list[Node]):
+        # a largest matching pairs equal subtrees at the ends; where there is a choice, those with equal texts come first
+        head, tail, most = 0, 0, min(len(xs), len(ys))
+        for key in ("whole", "shape"):
+            same = attrgetter(key)
+            while head < most - tail and same(xs[head]) == same(ys[head]):
+                head += 1
+            while tail < most - head and same(xs[-1 - tail]) == same(ys[-1 - tail]):
+                tail += 1
+        p, q = xs[head : len(xs) - tail], ys[head : len(ys) - tail]
+        middle: list[tuple[Node, Node]] = []
+        if p and q:
+            if len(p) * len(q) <= self.cells:
+                self.cells -= len(p) * len(q)
+                middle = yield self.best(p, q)
+            else:
+                middle = _in_order(p, q)
+        return [*zip(xs[:head], ys[:head]), *middle, *(zip(xs[len(xs) - tail :], ys[len(ys) - tail :]) if tail else ())]
+
+    def best(self, p: list[Node], q: list[Node]):
+        """The alignment in order with the most matched elements."""
+        table = [[0] * (len(q) + 1) for _ in range(len(p) + 1)]
         own = {}
         for i in range(len(p) - 1, -1, -1):
-            row, below = best[i], best[i + 1]
+            row, below = table[i], table[i + 1]
             for j in range(len(q) - 1, -1, -1):
-                w = _weight(p[i], q[j], memo)
-                own[i, j] = w
+                w = 0
+                if p[i].tag == q[j].tag:
+                    w = own[i, j] = yield self.weight(p[i], q[j])
                 row[j] = max(below[j], row[j + 1], below[j + 1] + w)
-        i = j = 0
+        out, i, j = [], 0, 0
         while i < len(p) and j < len(q):
-            if own[i, j] and best[i][j] == best[i + 1][j + 1] + own[i, j]:
-                middle.append((p[i], q[j]))
+            w = own.get((i, j), 0)
+            if w and table[i][j] == table[i + 1][j + 1] + w:
+                out.append((p[i], q[j]))
                 i, j = i + 1, j + 1
-            elif best[i][j] == best[i + 1][j]:
+            elif table[i][j] == table[i + 1][j]:
                 i += 1
             else:
                 j += 1
-    return [*zip(xs[:head], ys[:head]), *middle, *(zip(xs[len(xs) - tail :], ys[len(ys) - tail :]) if tail else ())]
+        return out
+
+
+def _in_order(p: list[Node], q: list[Node]) -> list[tuple[Node, Node]]:
+    """An alignment in near linear time: along the longest run in order of shapes that occur once in both, and by name in order between them."""
+    once = lambda xs: {s for s, c in Counter(x.shape for x in xs).items() if c == 1}
+    both = once(p) & once(q)
+    there = {y.shape: j for j, y in enumerate(q) if y.shape in both}
+    ends: list[int] = []  # of runs in order: place in q of the last one, the smallest for each length
+    at: list[int] = []
+    links: list[tuple[int, int, int]] = []  # place in p, place in q, link before
+    for i, x in enumerate(p):
+        if x.shape in both:
+            j = there[x.shape]
+            k = bisect_left(ends, j)
+            links.append((i, j, at[k - 1] if k else -1))
+            ends[k : k + 1], at[k : k + 1] = [j], [len(links) - 1]
+    chain, k = [], at[-1] if at else -1
+    while k >= 0:
+        chain.append(links[k][:2])
+        k = links[k][2]
+    out, i, j = [], 0, 0
+    for to_i, to_j in [*reversed(chain), (len(p), len(q))]:
+        while i < to_i and j < to_j:
+            if p[i].tag == q[j].tag:
+                out.append((p[i], q[j]))
+                i, j = i + 1, j + 1
+            elif to_i - i > to_j - j:
+                i += 1
+            else:
+                j += 1
+        if to_i < len(p):
+            out.append((p[to_i], q[to_j]))
+        i, j = to_i + 1, to_j + 1
+    return out
 
 
 def step_of(node: Node) -> str:
     return node.tag + "".join("." + x for x in sorted(node.names))
 
 
-def _paths(root: Node) -> dict[int, str]:
-    """id of node to its path: steps joined by '/', each with its place among equal steps of its siblings; boilerplate subtrees are left out."""
-    out, stack = {id(root): "html"}, [(root, "html")]
+def _paths(root: Node) -> list[tuple[Node, str]]:
+    """Nodes in document order down to DEPTH, each with its path: steps joined by '/', with its place among equal steps of its siblings. A node's number is its place here."""
+    out, stack = [], [(root, "html", 0)]
     while stack:
-        node, path = stack.pop()
+        node, path, depth = stack.pop()
+        out.append((node, path))
         seen: dict[str, int] = defaultdict(int)
-        for kid in node.kids:
+        below = []
+        for kid in node.kids if depth < DEPTH else ():
             step = step_of(kid)
-            if not kid.boilerplate:
-                out[id(kid)] = f"{path}/{step}[{seen[step]}]"
-                stack.append((kid, out[id(kid)]))
+            below.append((kid, f"{path}/{step}[{seen[step]}]", depth + 1))
             seen[step] += 1
+        stack.extend(reversed(below))
     return out
 
 
-def container(slots: list[tuple[str, int, int, int]]) -> str:
-    """The wrapper: slots are (path, matched, same, chars) of one host's reference nodes."""
-    weight: dict[str, float] = defaultdict(float)
-    for path, hits, same, chars in slots:
-        varying = 1.0 if hits <= 1 else 1.0 - same / hits
-        steps = path.split("/")
-        for k in range(1, len(steps) + 1):
-            weight["/".join(steps[:k])] += varying * chars
-    here = "html"
-    while True:
-        tag = here.rsplit("/", 1)[-1].split("[")[0].split(".")[0]
-        if tag in ("article", "main"):
-            return here
-        inside = [p for p in weight if p.rsplit("/", 1)[0] == here and p != here and p.rsplit("/", 1)[1].split("[")[0].split(".")[0] in CONTAINER]
-        nxt = max(inside, key=lambda p: (weight[p], p), default=None)
+def _mark(node: Node, text: str) -> int:
+    """What a constant is known by: its element and its text."""
+    return xxhash.xxh3_64_intdigest(f"{step_of(node)}\n{text}".encode("utf-8", "surrogatepass")) - (1 << 63)
+
+
+def container(reference: Node, lines: list[tuple[int, int, int, int, int, int, int]]) -> str:
+    """The wrapper as JSON: path of the container, marks of constants (drop), elements whose names are overruled (keep).
+
+    lines: (number of the node, number of the line in it, pages matched, different texts, pages with the most frequent text, its mark, characters).
+    """
+    nodes = _paths(reference)
+    slots, vary = [0.0] * len(nodes), [0.0] * len(nodes)
+    for number, _, hits, different, _, _, chars in lines:
+        share = 1.0 if hits <= 1 else (different - 1) / (hits - 1)
+        slots[number] += share * chars / max(hits, 1)
+        vary[number] = max(vary[number], share)
+    place = {id(node): i for i, (node, _) in enumerate(nodes)}
+    order = range(len(nodes) - 1, -1, -1)  # children before their parents
+    total, heads = list(slots), [n.tag in ("article", "main", "h1") for n, _ in nodes]
+    for i in order:
+        for kid in nodes[i][0].kids:
+            if id(kid) in place:
+                total[i] += total[place[id(kid)]]
+                heads[i] |= heads[place[id(kid)]]
+    keep = {step_of(n) for i, (n, _) in enumerate(nodes) if n.named and n.tag not in BOILERPLATE and heads[i] and total[i] > 0.5 * total[0]}
+    # the same without boilerplate
+    live = [True] * len(nodes)
+    for i, (node, _) in enumerate(nodes):
+        live[i] &= not (node.boilerplate and step_of(node) not in keep)
+        for kid in node.kids:
+            if id(kid) in place:
+                live[place[id(kid)]] &= live[i]
+    weight = [w * on for w, on in zip(slots, live)]
+    for i in order:
+        for kid in nodes[i][0].kids:
+            if id(kid) in place:
+                weight[i] += weight[place[id(kid)]]
+    here = 0
+    while nodes[here][0].tag not in ("article", "main"):
+        inside = [place[id(k)] for k in nodes[here][0].kids if id(k) in place and k.tag in CONTAINER and live[place[id(k)]]]
+        nxt = max(inside, key=lambda i: (weight[i], nodes[i][1]), default=None)
         if nxt is None or weight[nxt] < 0.6 * weight[here]:
-            return here
+            break
         here = nxt
+    path = nodes[here][1]
+    within = {i for i, (_, p) in enumerate(nodes) if live[i] and (p == path or p.startswith(path + "/"))}
+    varies = max((vary[i] for i in within), default=0.0) >= 0.5
+    inner = [line for line in lines if line[0] in within]
+    fixed = [line for line in inner if varies and line[2] >= LEAST and line[4] >= AGREE * line[2]]
+    # pages that agree in most of their text are copies of one article, not articles in one template
+    drop = sorted({line[5] for line in fixed}) if 2 * sum(line[6] for line in fixed) <= sum(line[6] for line in inner) else []
+    return json.dumps({"path": path, "drop": drop, "keep": sorted(keep)})
 
 
 def find(root: Node, path: str) -> Node | None:
@@ -263,45 +391,51 @@ def first(root: Node, tags: tuple[str, ...]) -> Node | None:
     return None
 
 
-def blocks(node: Node) -> list[str]:
-    """Texts of the blocks in a container, white space folded, references decoded."""
-    out: list[str] = []
+def lines_of(node: Node, skip: Callable[[Node], bool]) -> Iterator[tuple[Node, str]]:
+    """Lines of text below a node in page order, with the block element that each stands in: white space folded, references decoded; skipped elements are left out with all below."""
     line: list[str] = []
-
-    def flush() -> None:
-        text = " ".join(entities.unescape("".join(line)).split())
-        line.clear()
-        if text:
-            out.append(text)
-
+    owners = [node]
     stack: list = [(node, True)]
     while stack:
         item, opens = stack.pop()
         if isinstance(item, str):
             line.append(item)
             continue
-        if not opens:
-            flush()
-            continue
-        if item is not node and item.boilerplate:
+        if opens and item is not node and skip(item):
             continue
         if item.tag == "br":
             line.append("\n")
             continue
+        if item.tag in BLOCK or not opens:
+            text = " ".join(entities.unescape("".join(line)).split())
+            line.clear()
+            if text:
+                yield owners[-1], text
+        if not opens:
+            owners.pop()
+            continue
         if item.tag in BLOCK:
-            flush()
+            owners.append(item)
             stack.append((item, False))
         stack.extend((p, True) for p in reversed(item.parts))
-    flush()
-    return out
+    text = " ".join(entities.unescape("".join(line)).split())
+    if text:
+        yield owners[-1], text
+
+
+def blocks(node: Node, drop: Collection[int] = (), keep: Collection[str] = ()) -> list[str]:
+    """Texts of the blocks in a container, without boilerplate elements (but those in keep) and without lines whose marks are in drop."""
+    found = lines_of(node, lambda x: x.boilerplate and not (x.named and x.tag not in BOILERPLATE and step_of(x) in keep))
+    return [text for owner, text in found if not drop or _mark(owner, text) not in drop]
 
 
 def main_text(source: str | None, wrapper: str | None) -> str:
     root = parse(source or "")
-    node = find(root, wrapper) if wrapper else None
+    spec = json.loads(wrapper) if wrapper else {}
+    node = find(root, spec["path"]) if spec else None
     if node is None or node.tag in ("html", "body"):
         node = first(root, ("article",)) or first(root, ("main",)) or node or first(root, ("body",)) or root
-    return "\n\n".join(blocks(node))
+    return "\n\n".join(blocks(node, frozenset(spec.get("drop", ())), frozenset(spec.get("keep", ()))))
 
 
 def _by_host(pages: DataFrame, other: DataFrame, value: str) -> DataFrame:
@@ -313,16 +447,20 @@ def _by_host(pages: DataFrame, other: DataFrame, value: str) -> DataFrame:
     return salted.join(other.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))), ["host", "_salt"], "left").drop("_salt")
 
 
-def _sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """host, html, reference to sums per reference node."""
-    trees: dict[str, tuple[Node, dict, dict]] = {}
-    total: dict[tuple[str, str], list[int]] = {}
+COUNTS = "host string, node int, line int, mark long, n long, chars long"
+
+
+def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """host, html, reference to counts of texts per line of the reference's nodes."""
+    trees: dict[str, tuple[Node, dict[int, int]]] = {}
+    total: dict[tuple[str, int, int, int], list[int]] = {}
 
     def given() -> pa.RecordBatch:
-        rows = [(h, p, *v) for (h, p), v in total.items()]
+        rows = [(*k, *v) for k, v in total.items()]
         total.clear()
-        columns = list(zip(*rows)) or [[]] * 5
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int64()))], ["host", "path", "hits", "same", "chars"])
+        columns = list(zip(*rows)) or [[]] * 6
+        types = (pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types)], ["host", "node", "line", "mark", "n", "chars"])
 
     for batch in batches:
         for host, page, reference in zip(*(c.to_pylist() for c in batch.columns)):
@@ -330,25 +468,21 @@ def _sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 if len(trees) >= 64:
                     trees.clear()
                 tree = parse(reference or "")
-                paths = _paths(tree)
-                texts, stack = {}, [tree]
-                while stack:
-                    node = stack.pop()
-                    stack.extend(node.kids)
-                    if id(node) in paths:
-                        texts[id(node)] = node.own_text()
-                trees[host] = (tree, paths, texts)
-            tree, paths, texts = trees[host]
-            for x, y in matched(tree, parse(page or "")):
-                path = paths.get(id(x))
-                if path is not None:
-                    text = y.own_text()
-                    row = total.setdefault((host, path), [0, 0, 0])
-                    row[0] += 1
-                    row[1] += text == texts[id(x)]
-                    row[2] += len(text)
-        if len(total) > 20_000:
-            yield given()
+                trees[host] = (tree, {id(node): i for i, (node, _) in enumerate(_paths(tree))})
+            tree, numbers = trees[host]
+            root = parse(page or "")
+            texts: dict[int, list[tuple[Node, str]]] = {}
+            for owner, text in lines_of(root, lambda x: x.tag in RAW or x.tag == "head"):
+                texts.setdefault(id(owner), []).append((owner, text))
+            for x, y in matched(tree, root):
+                number = numbers.get(id(x))
+                if number is not None:
+                    for k, (owner, text) in enumerate(texts.get(id(y), ())):
+                        row = total.setdefault((host, number, k, _mark(owner, text)), [0, 0])
+                        row[0] += 1
+                        row[1] += len(text)
+            if len(total) > 50_000:
+                yield given()
     if total:
         yield given()
 
@@ -364,13 +498,19 @@ def wrappers(pages: DataFrame) -> DataFrame:
     typical = _by_host(tagged, middle, "host").where("tags = middle")
     references = stored(typical.groupBy("host").agg(F.min_by("html", F.struct("page_id", F.xxhash64("html"))).alias("reference")), "references")
     joined = _by_host(pages, references, "reference").select("host", "html", "reference")
-    slots = joined.mapInArrow(_sums, "host string, path string, hits long, same long, chars long").groupBy("host", "path").agg(*[F.sum(c).alias(c) for c in ("hits", "same", "chars")])
-
-    def induce(table: pa.Table) -> pa.Table:  # a host's rows are the nodes of one page
-        rows = list(zip(*(table.column(c).to_pylist() for c in ("path", "hits", "same", "chars"))))
-        return pa.table({"host": table.column("host")[:1], "wrapper": pa.array([container(sorted(rows))], pa.string())})
-
-    return stored(slots.groupBy("host").applyInArrow(induce, "host string, wrapper string"), "wrappers")
+    texts = joined.mapInArrow(_counts, COUNTS).groupBy("host", "node", "line", "mark").agg(F.sum("n").alias("n"), F.sum("chars").alias("chars"))
+    lines = texts.groupBy("host", "node", "line").agg(
+        F.sum("n").alias("hits"), F.count("*").alias("different"), F.max(F.struct("n", "mark")).alias("top"), F.sum("chars").alias("chars")
+    ).select("host", "node", "line", "hits", "different", F.col("top.n").alias("most"), F.col("top.mark").alias("mark"), "chars")
+
+    def induce(table: pa.Table, reference: pa.Table) -> pa.Table:  # a host's rows are the lines of one page
+        if not table.num_rows or not reference.num_rows:
+            return pa.table({"host": pa.array([], pa.string()), "wrapper": pa.array([], pa.string())})
+        rows = list(zip(*(table.column(c).to_pylist() for c in ("node", "line", "hits", "different", "most", "mark", "chars"))))
+        wrapper = container(parse(reference.column("reference")[0].as_py() or ""), sorted(rows))
+        return pa.table({"host": reference.column("host")[:1], "wrapper": pa.array([wrapper], pa.string())})
+
+    return stored(lines.groupBy("host").cogroup(references.groupBy("host")).applyInArrow(induce, "host string, wrapper string"), "wrappers")
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

@@ -152,7 +152,8 @@ def test_wrapper_without_article_elements(spark):
     df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("host", F.lit("zzz"))
     got = {r.page_id: r.text for r in html.extract(df).collect()}
     for i in range(6):
-        assert got[i] == f"Title {i}\n\nText é {i} one two\n\nfirst {i}\n\nsecond\n\nSame closing words."
+        # the last line is the same on all pages: template; so is the second item of the list
+        assert got[i] == f"Title {i}\n\nText é {i} one two\n\nfirst {i}"
     assert got[50] == "" and got[51] == "" and got[52] == "plain text" and got[53] == "a\n\nb\n\n< 1 < 2"
     assert html.extract(df.where("false")).count() == 0
 
@@ -163,7 +164,65 @@ def test_wrapper_when_the_first_page_is_of_another_kind(spark, odd):
     rows = [(-1, "http://h.example/0", odd)] + [(i, f"http://h.example/{i}", page_of(i)) for i in range(6)]
     got = {r.page_id: r.text for r in html.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
     for i in range(6):
-        assert got[i] == f"Title {i}\n\nText é {i} one two\n\nfirst {i}\n\nsecond\n\nSame closing words."
+        assert got[i] == f"Title {i}\n\nText é {i} one two\n\nfirst {i}"
+
+
+def extracted(spark, sources, host="h.example"):
+    rows = [(i, f"http://{host}/{i}", s) for i, s in enumerate(sources)]
+    return {r.page_id: r.text for r in html.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+
+
+def unnamed(i):
+    """No article element, no name that tells anything."""
+    menu = "".join(f"<li><a href=/{x}>{x}</a></li>" for x in ("Home", "World", "Sport"))
+    text = "".join(f"<p>Sentence {k} of story {i}, which differs from page to page.</p>" for k in range(2 + i % 3))
+    return f"<html><body><div class=x1><ul>{menu}</ul></div><div class=x2><div class=x3><h2>Story {i}</h2>{text}<p>A passage that some repeat.</p><p>Share this story with friends</p></div></div><div class=x4>Offer {i % 2}: buy now</div><div class=x5>All rights reserved</div></body></html>"
+
+
+def test_template_is_told_from_slots_by_the_pages_alone(spark):
+    pages = [unnamed(i).replace("<p>A passage that some repeat.</p>", "" if i % 2 else "<p>A passage that some repeat.</p>") for i in range(9)]
+    got = extracted(spark, pages)
+    for i in range(9):
+        lines = [f"Story {i}", *[f"Sentence {k} of story {i}, which differs from page to page." for k in range(2 + i % 3)], *([] if i % 2 else ["A passage that some repeat."])]
+        assert got[i] == "\n\n".join(lines)
+        # without the wrapper menus and notices would be in the text
+        assert {"Home", "Share this story with friends", "All rights reserved"} <= set(html.main_text(pages[i], None).split("\n\n"))
+    # too few pages to call the line constant
+    assert extracted(spark, pages[:3])[0].endswith("Share this story with friends")
+
+
+def test_constant_lines_inside_an_article_element(spark):
+    page = lambda i: f"<body><article><h1>News {i}</h1><p>Body {i} text, long enough to be most of it all.</p><div>Read more of our news</div><p>End {i}</p></article></body>"
+    got = extracted(spark, [page(i) for i in range(7)])
+    assert got == {i: f"News {i}\n\nBody {i} text, long enough to be most of it all.\n\nEnd {i}" for i in range(7)}
+    # copies of one article are not a template
+    copies = extracted(spark, [page(1).replace("News 1", f"News {i}").replace("End 1", "End") for i in range(7)])
+    assert all(t.endswith("Read more of our news\n\nEnd") for t in copies.values())
+
+
+def test_names_are_overruled_by_the_slots(spark):
+    page = lambda i: f"<body><div class=menu>Home {i % 2}</div><div class='layout sidebar-left'><h1>Title {i}</h1><p>Words of page {i} that no other page has, many of them.</p><div class=comments>reader {i}</div></div></body>"
+    got = extracted(spark, [page(i) for i in range(6)])
+    assert got == {i: f"Title {i}\n\nWords of page {i} that no other page has, many of them." for i in range(6)}
+
+
+def test_deep_and_wide_pages(spark):
+    import time
+
+    deep = lambda n, x: "<html><body>" + "<div>" * n + f"<p>deep {x}</p><i>{x}" + "<b>" * (x % 3) + "</div>" * n + "</span>" * n
+    tag = lambda k, x: "p" if (k * 7 + x * k * k) % 3 else "div"
+    wide = lambda n, x: "<html><body>" + "".join(f"<{tag(k, x)}><b>w{k} {x}</b>{'<i>y</i>' * ((k * x) % 4)}</{tag(k, x)}>" for k in range(n))
+    began = time.time()
+    a, b = html.parse(deep(10_000, 1)), html.parse(deep(10_000, 2))
+    assert len(html.matched(a, b)) >= 10_000
+    a, b = html.parse(wide(20_000, 1)), html.parse(wide(20_000, 2))
+    pairs = html.matched(a, b)
+    assert len(pairs) > 10_000 and all(x.tag == y.tag for x, y in pairs)
+    assert time.time() - began < 60
+    got = extracted(spark, [deep(3000, 1), deep(3000, 2), None])
+    assert got == {0: "deep 1\n\n1", 1: "deep 2\n\n2", 2: ""}
+    got = extracted(spark, [wide(3000, 1), wide(3000, 2)])
+    assert all(got[i].startswith(f"w0 {i + 1}") and got[i].count("\n\n") == 2999 for i in range(2))
 
 
 def test_tree_matching_is_largest():

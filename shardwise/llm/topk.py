@@ -1,16 +1,22 @@
-"""Exact top-k by inner product with the MaxScore split, over shards of rows and blocks of queries.
-
-A component of the query is a term; a row's posting for it is its impact, the product moved up by the
-term's lowest product in the shard, so impacts are not negative and the score is a constant plus their
-sum. A term's bound is its largest impact in the shard. With the terms in order of their bounds, the
-non-essential ones are those at the end whose bounds together cannot lift a row to the current k-th
-score. Rows are traversed on the essential terms only; then the others are probed one by one, and a row
-stays while what it has plus the bounds still open reaches the k-th score. Equal scores stay, so ties go
-to the smaller id exactly. A shard has a bounded number of rows, a block a bounded number of queries;
-each meets each once, shards are merged by rank. Ids are dealt by hash, so no shard is hot.
+"""Exact top-k by inner product with the MaxScore split over postings, in shards of rows.
+
+A component is a term, and its posting list has the rows whose weight there is not zero, in order of their
+ids, with their weights. For a query, a term's bound is the largest product that any of the list's rows can
+have, 0 at least, since rows without the term have 0. With the terms in order of their bounds, the
+non-essential ones are those at the end whose bounds together do not reach the current k-th score: a
+row that none of the other lists has with a positive product cannot get in. So the essential lists are
+traversed, strip by strip of rows, and what they have of each row is added up; the others are probed by
+binary search for those rows only that are still competitive, that is, while what a row has plus the bounds
+still open reaches the k-th score. Equal scores stay, so ties go to the smaller id exactly.
+
+Rows are dealt to shards of a bounded number, and queries to blocks, by hashes of their ids, so none is hot.
+Queries meet one shard first, and the k-th score they have there is a bound that all other shards start
+from. A task holds the postings of one shard and streams a block of queries past them; blocks are large, so
+rows travel once for each of few blocks. Shards are merged by rank.
 
 Defined cases: vectors that are null, or hold null or non-finite components, take no part; shorter vectors count as filled
-up with zeros; fewer candidates than k give fewer rows; an empty table gives none; extra columns are ignored.
+up with zeros; fewer candidates than k give fewer rows; an empty table gives none; extra columns are ignored;
+rows that repeat an id are candidates of their own, but not of a query with that id.
 """
 
 from __future__ import annotations
@@ -22,8 +28,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Rows of a shard, queries of a block, rows that are traversed together.
-SHARD_ROWS, BLOCK_QUERIES, STRIP = 8192, 1024, 1024
+from .common import forget, stored
+
+#: Rows of a shard, queries of a block, rows that are traversed together, lists that are probed between two looks at who is left.
+SHARD_ROWS, BLOCK_QUERIES, STRIP, PROBES = 8192, 65536, 2048, 4
 RESULT = "query_id long, vec_id long, score long"
 
 
@@ -47,75 +55,130 @@ def _matrix(column: pa.ChunkedArray | pa.Array, width: int) -> np.ndarray:
 
 
 class Shard:
-    """Rows in order of their ids, with the extreme weights of every component."""
+    """Posting lists of some rows: per term the rows (places in the order of their ids) that have it, and their weights."""
 
-    def __init__(self, ids: np.ndarray, rows: np.ndarray):
+    def __init__(self, ids: np.ndarray, rows: np.ndarray, most: int = 0):
+        """most: bound on the absolute weights of the queries to come, if larger than these rows'."""
         order = np.argsort(ids, kind="stable")
         self.ids, rows = ids[order], rows[order]
-        most = int(np.abs(rows).max(initial=0))
+        most = max(most, int(np.abs(rows).max(initial=0)))
+        self.terms = rows.shape[1]
         # products and sums up to 2^53 are exact in doubles, which are several times faster
-        self.exact = most * most * max(1, rows.shape[1]) < 1 << 52
-        self.rows = rows.astype(np.float64) if self.exact else rows
-        self.low, self.high = self.rows.min(axis=0), self.rows.max(axis=0)
-        self.probed = 0
-
-    def search(self, query_id: int, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-        q = q.astype(self.rows.dtype)
-        ends = np.stack([q * self.low, q * self.high])
-        floor, bound = ends.min(axis=0), ends.max(axis=0) - ends.min(axis=0)
-        terms = np.argsort(-bound, kind="stable")
-        after = np.concatenate([np.cumsum(bound[terms][::-1])[::-1], [0]])  # bounds of the terms from here on
-        constant = floor.sum()
-        ids, scores = np.empty(0, np.int64), np.empty(0, self.rows.dtype)
-        for at in range(0, len(self.ids), STRIP):
-            rows, own = self.rows[at : at + STRIP], self.ids[at : at + STRIP]
-            full = len(ids) >= k
-            needed = scores.min() if full else None
-            essential = len(terms)
-            if full:  # a row with only the terms behind cannot reach the k-th score
-                essential = int(np.searchsorted(-(constant + after), -needed, side="right"))
-            chosen = terms[:essential]
-            got = constant + rows[:, chosen] @ q[chosen] - floor[chosen].sum()
-            alive = np.arange(len(own)) if not full else np.flatnonzero(got + after[essential] >= needed)
-            got = got[alive]
-            while essential < len(terms):
-                step = terms[essential : essential + 4]
-                got = got + rows[np.ix_(alive, step)] @ q[step] - floor[step].sum()
-                essential += len(step)
-                if full:
-                    stay = got + after[essential] >= needed
-                    alive, got = alive[stay], got[stay]
-                if not len(alive):
-                    break
-            self.probed += len(alive)
-            other = own[alive] != query_id
-            ids, scores = np.concatenate([ids, own[alive][other]]), np.concatenate([scores, got[other]])
-            if len(ids) > k:
+        self.exact = most * most * max(1, self.terms) < 1 << 52
+        self.kind = np.float64 if self.exact else np.int64
+        self.lists: list[tuple[np.ndarray, np.ndarray]] = []
+        for t in range(self.terms):
+            at = np.flatnonzero(rows[:, t])
+            self.lists.append((at, rows[at, t].astype(self.kind)))
+        # largest and smallest weight of each list; a row that is not in it has 0
+        self.high = np.array([w.max(initial=0) for _, w in self.lists], self.kind)
+        self.low = np.array([w.min(initial=0) for _, w in self.lists], self.kind)
+        # where each strip's part of a list begins
+        cuts = np.arange(0, len(self.ids) + STRIP, STRIP)
+        self.cuts = [np.searchsorted(at, cuts) for at, _ in self.lists]
+        self.touched = self.probed = 0
+
+    def search(self, query_id: int, q: np.ndarray, k: int, floor: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and scores of the k best rows, those below floor left out; ties to the smaller id."""
+        kind = self.kind
+        q = q.astype(kind)
+        bound = np.maximum(q * self.high, q * self.low)
+        terms = [int(t) for t in np.argsort(-bound, kind="stable") if q[t]]
+        after = np.concatenate([np.cumsum(bound[terms][::-1])[::-1], [0]]).astype(kind)  # bounds of the terms from here on
+        ids, scores = np.empty(0, np.int64), np.empty(0, kind)
+        needed = floor
+        for strip, at in enumerate(range(0, len(self.ids), STRIP)):
+            own = self.ids[at : at + STRIP]
+            got = np.zeros(len(own), kind)
+            if needed is None or needed <= 0:  # a row without any list may get in
+                essential, alive = len(terms), np.ones(len(own), bool)
+            else:  # lists behind these cannot lift a row to what is needed
+                essential, alive = int(np.searchsorted(-after, -needed, side="right")), np.zeros(len(own), bool)
+            for t in terms[:essential]:
+                lo, hi = self.cuts[t][strip : strip + 2]
+                rows, product = self.lists[t][0][lo:hi] - at, self.lists[t][1][lo:hi] * q[t]
+                got[rows] += product
+                alive[rows[product > 0]] = True
+                self.touched += len(rows)
+            keep = np.flatnonzero(alive) if needed is None else np.flatnonzero(alive & (got + after[essential] >= needed))
+            got = got[keep]
+            while essential < len(terms) and len(keep):
+                for t in terms[essential : essential + PROBES]:
+                    lo, hi = self.cuts[t][strip : strip + 2]
+                    rows, weights = self.lists[t][0][lo:hi], self.lists[t][1][lo:hi]
+                    if len(rows):
+                        place = np.minimum(np.searchsorted(rows, keep + at), len(rows) - 1)
+                        got = got + np.where(rows[place] == keep + at, weights[place], 0) * q[t]
+                    self.probed += len(keep)
+                essential = min(essential + PROBES, len(terms))
+                stay = got + after[essential] >= needed
+                keep, got = keep[stay], got[stay]
+            other = own[keep] != query_id
+            ids, scores = np.concatenate([ids, own[keep][other]]), np.concatenate([scores, got[other]])
+            if len(ids) >= k:
                 order = np.lexsort((ids, -scores))[:k]
                 ids, scores = ids[order], scores[order]
+                needed = scores[-1] if needed is None else max(needed, scores[-1])
         return ids, scores
 
 
+def _searched(k: int, width: int, most: int):
+    """Rows (cell, kind, id, w, floor), those of one cell together and its index rows (kind 0) before its queries, to results."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        current, shard, held = None, None, []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            cells, kinds = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            new = np.flatnonzero(np.r_[True, (cells[1:] != cells[:-1]) | (kinds[1:] != kinds[:-1])])
+            for lo, hi in zip(new, np.r_[new[1:], len(cells)]):
+                part = batch.slice(lo, hi - lo)
+                if cells[lo] != current:
+                    current, shard, held = cells[lo], None, []
+                if kinds[lo] == 0:
+                    held.append((part.column(2).to_numpy(), _matrix(part.column(3), width)))
+                    continue
+                if shard is None:
+                    if not held:
+                        continue
+                    shard, held = Shard(np.concatenate([x for x, _ in held]), np.concatenate([x for _, x in held]), most), []
+                found: list[np.ndarray] = [np.empty((0, 3), np.int64)]
+                for query, q, floor in zip(part.column(2).to_pylist(), _matrix(part.column(3), width), part.column(4).to_pylist()):
+                    ids, scores = shard.search(query, q, k, floor)
+                    found.append(np.stack([np.full(len(ids), query), ids, scores.astype(np.int64)], axis=1))
+                a = np.concatenate(found)
+                yield pa.RecordBatch.from_arrays([pa.array(a[:, i]) for i in range(3)], ["query_id", "vec_id", "score"])
+
+    return run
+
+
 def top_k(index: DataFrame, queries: DataFrame, k: int = 5, rows: int = SHARD_ROWS, block: int = BLOCK_QUERIES) -> DataFrame:
-    """index(id, w array<long>), queries(id, w) to (query_id, rank, vec_id, score); counting both runs at once."""
-    n, width = index.agg(F.count("*"), F.coalesce(F.max(F.size("w")), F.lit(0))).first()
-    nq, wide = queries.agg(F.count("*"), F.coalesce(F.max(F.size("w")), F.lit(0))).first()
-    shards, blocks, width = max(1, -(-n // rows)), max(1, -(-nq // block)), max(width, wide)
-    upto = lambda m: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(m - 1).cast("long")))
+    """index(id, w array<long>), queries(id, w) to (query_id, rank, vec_id, score); counting both and the searches run at once."""
+    largest = F.coalesce(F.max(F.array_max(F.transform("w", F.abs))), F.lit(0))
+    stats = [df.agg(F.count("*"), F.coalesce(F.max(F.size("w")), F.lit(0)), largest).first() for df in (index, queries)]
+    (n, *_), (nq, *_) = stats
+    width, most = (max(s[i] for s in stats) for i in (1, 2))
+    shards = max(1, -(-n // rows))
+    upto = lambda lo, hi: F.explode(F.sequence(F.lit(lo).cast("long"), F.lit(hi - 1).cast("long")))
     dealt = lambda m, *salt: F.pmod(F.xxhash64("id", *salt), F.lit(m).cast("long"))
-    left = index.select(dealt(shards).alias("shard"), upto(blocks).alias("block"), "id", "w")
-    right = queries.select(upto(shards).alias("shard"), dealt(blocks, F.lit(1)).alias("block"), "id", "w")
-
-    def search(x: pa.Table, y: pa.Table) -> pa.Table:
-        out: list[np.ndarray] = [np.empty((0, 3), np.int64)]
-        if x.num_rows:
-            shard = Shard(x.column("id").to_numpy(), _matrix(x.column("w"), width))
-            for query, q in zip(y.column("id").to_pylist(), _matrix(y.column("w"), width)):
-                ids, scores = shard.search(query, q, k)
-                out.append(np.stack([np.full(len(ids), query), ids, scores.astype(np.int64)], axis=1))
-        a = np.concatenate(out)
-        return pa.table({"query_id": a[:, 0], "vec_id": a[:, 1], "score": a[:, 2]})
-
-    parts = left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(search, RESULT)
-    ranked = parts.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")))
-    return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    none = F.lit(None).cast("long").alias("floor")
+
+    def searched(asked: DataFrame, lo: int, hi: int, size: int) -> DataFrame:
+        """The queries asked (id, w, floor) against the shards from lo up to hi, in blocks of so many queries."""
+        blocks = max(1, -(-nq // size))
+        cell = (F.col("shard") * blocks + F.col("block")).alias("cell")
+        left = index.withColumn("shard", dealt(shards)).where((F.col("shard") >= lo) & (F.col("shard") < hi)).withColumn("block", upto(0, blocks)).select(cell, F.lit(0).alias("kind"), "id", "w", none)
+        right = asked.withColumn("block", dealt(blocks, F.lit(1))).withColumn("shard", upto(lo, hi)).select(cell, F.lit(1).alias("kind"), "id", "w", "floor")
+        return left.union(right).repartition("cell").sortWithinPartitions("cell", "kind").mapInArrow(_searched(k, width, most), RESULT)
+
+    first = stored(searched(queries.select("id", "w", none), 0, 1, rows), "first-shard")
+    found = first
+    if shards > 1:
+        # the k-th score in the first shard, where it has so many
+        bounds = first.groupBy(F.col("query_id").alias("id")).agg(F.when(F.count("*") >= k, F.min("score")).alias("floor"))
+        found = first.union(searched(queries.select("id", "w").join(bounds, "id", "left"), 1, shards, block))
+    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")))
+    out = stored(ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score"), "top-k")
+    forget(first)
+    return out

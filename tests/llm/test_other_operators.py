@@ -69,18 +69,33 @@ def test_topk_equals_brute_force(spark, vectors):
 
 def test_topk_prunes_and_stays_exact():
     rng = np.random.default_rng(3)
-    rows = np.floor(rng.exponential(20, size=(4000, 32)) ** 1.5 * (rng.random((4000, 32)) < 0.2)).astype(np.int64)
-    shard = topk.Shard(np.arange(4000), rows)
-    q = rows[7]
-    ids, scores = shard.search(7, q, 5)
-    s = rows @ q
-    order = [i for i in np.lexsort((np.arange(4000), -s)) if i != 7][:5]
-    assert ids.tolist() == order and scores.tolist() == s[order].tolist()
-    assert shard.probed < 4000
+    sparse = np.floor(rng.exponential(20, size=(6000, 32)) ** 1.5 * (rng.random((6000, 32)) < 0.2)).astype(np.int64)
+    signed = np.floor(256 * rng.normal(size=(6000, 32)) * np.exp(-np.arange(32) / 6)).astype(np.int64)
+    for rows in (sparse, signed):
+        shard = topk.Shard(np.arange(6000), rows)
+        assert all(np.array_equal(at, np.flatnonzero(rows[:, t])) for t, (at, _) in enumerate(shard.lists))
+        held = sum(len(at) for at, _ in shard.lists)
+        for query in (7, 100, 2500):
+            q = rows[query]
+            s = rows @ q
+            order = [i for i in np.lexsort((np.arange(6000), -s)) if i != query][:5]
+            for floor in (None, int(s[order[-1]]) - 3, int(s[order[-1]])):
+                before = shard.touched + shard.probed
+                ids, scores = shard.search(query, q, 5, floor)
+                assert ids.tolist() == order and scores.tolist() == s[order].tolist()
+                assert shard.touched + shard.probed - before < 0.9 * held
+        ids, scores = shard.search(7, -rows[7] * 0, 5)
+        assert scores.tolist() == [0] * 5 and ids.tolist() == [0, 1, 2, 3, 4]
     big = topk.Shard(np.arange(3), np.full((3, 2), 1 << 30, np.int64))
     assert not big.exact and big.search(0, np.full(2, 1 << 30, np.int64), 5)[1].tolist() == [2 << 60] * 2
 
 
+def test_topk_all_scores_below_zero():
+    rows = -np.arange(1, 3001, dtype=np.int64)[:, None] * np.ones(4, np.int64)
+    ids, scores = topk.Shard(np.arange(3000), rows).search(0, np.array([1, 2, 0, 1]), 3)
+    assert ids.tolist() == [1, 2, 3] and scores.tolist() == [-8, -12, -16]
+
+
 def test_topk_and_urls_equal_sql(spark, sf):
     for name, text in (("op5_maxscore", queries.OP5_SQL), ("op4_url_filter", queries.OP4_SQL), ("op6_jaccard_join", queries.OP6_SQL)):
         got, want = compare(spark, sf, queries.queries()[name], text)

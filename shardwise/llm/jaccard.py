@@ -3,20 +3,21 @@
 Sets of distinct k-word shingles (64-bit hashes of whole texts) are treated by size bands that grow by
 1/t, so partners lie in the same or in neighbouring bands. If J(A, B) >= t and A is the smaller set, then
 |A xor B| <= (1-t)/t * |A|; a band's bound d holds for all pairs whose smaller set lies in it. A band's
-sketch has m > d words of 64 bits: a shingle's hash chooses the word, and another hash of it is XORed in.
-The number of words in which two sketches differ never exceeds the size of the symmetric difference, so
-by the pigeonhole principle at least m - d words are equal. Each set is entered under the words of its
-own band's sketch and of the band's below. Empty words, which say nothing, are left out where a set has
-fewer than m - d of them, since then one of the equal words is filled; m is chosen so that this is the rule.
-A second sketch has one parity bit per hash value; its Hamming distance bounds the symmetric difference
-from below as well.
-
-Equal sets share one hash and are one class from the start: copies cost one entry, and class ids, not
-documents, meet in the join. In each bucket first everything is held against one pivot, and linked
+sketch is a bit vector in which every shingle flips one bit, so the Hamming distance of two sketches never
+exceeds the size of the symmetric difference. It is cut in m > d words, of which by the pigeonhole principle
+at least m - d are equal in a linked pair; m is chosen for the band, so that a word gets a few shingles, and words
+are WORD_BITS long, so that those few bits seldom agree by chance. Such sketches are sparse: a word is kept
+as the XOR of a hash of each odd bit's number, which is the same for equal words. Each set is entered under
+the words of its own band's sketch and of the band's below. Empty words, which say nothing, are left out where
+a set has fewer than m - d of them, since then one of the equal words is filled; m is chosen so that this is the rule.
+
+Equal sets share one hash and are one class from the start. Class ids, not documents, meet in the join, and a task
+enters a class once, however many copies it reads: n copies cost at most one entry a key in each task. In each
+bucket first everything is held against one pivot, and linked
 classes are merged; then only pairs from different components are compared, by their sketches inside a
 task, which gives out the few that pass. So linked copies cost their number and not its square, no pair of a
 bucket becomes a row before it has passed, and no link between different components is lost. Candidates pass a
-check of sizes and of a whole sketch (a bit per shingle) before the shingle sets are compared exactly.
+check of sizes and of a second, dense parity sketch before the shingle sets are compared exactly.
 
 Defined cases: null, empty and blank texts have the empty set, 0 shingles, and are linked with nothing;
 texts with fewer than k words have one shingle; a row whose id is null is in its class's component (null if
@@ -38,8 +39,10 @@ from pyspark.sql import functions as F
 
 from .common import forget, release, small, stored
 
-#: Words of a vocabulary kept in a worker's memo; longest word (bytes) kept there.
-MEMO, WORD = 200_000, 64
+#: Words of a vocabulary kept in a worker's memo; longest word (bytes) kept there; classes that a task remembers to have entered.
+MEMO, WORD, ENTERED = 200_000, 64, 500_000
+#: Bits of a word of the sketches that are joined; most bits of the dense ones, which longer sets fold onto.
+WORD_BITS, DENSE_BITS = 1 << 32, 1 << 17
 #: Rows of a bucket that meet in one task at most, against as many others.
 CHUNK = 4096
 MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -127,15 +130,15 @@ class Shingler:
 
 
 def sketch(shingles: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
-    """Sketch of so many 64-bit words, into each of which the hashes of its shingles are XORed; and which words have any."""
+    """Parity sketch of so many words of WORD_BITS bits: the XOR of a hash of the number of each odd bit, per word; and which words have any."""
     with np.errstate(over="ignore"):
         h = mixed(shingles + np.uint64(words) * MIX)
-        value = mixed(h + MIX)
-    cell = (((h >> np.uint64(32)) * np.uint64(words)) >> np.uint64(32)).astype(np.int64)
-    out, filled = np.zeros(words, np.uint64), np.zeros(words, bool)
+        cell = (((h >> np.uint64(32)) * np.uint64(words)) >> np.uint64(32)).astype(np.int64)
+        bit = mixed(h + MIX) & np.uint64(WORD_BITS - 1)
+        value = mixed(bit * MIX + MIX)  # two shingles on one bit take each other out
+    out = np.zeros(words, np.uint64)
     np.bitwise_xor.at(out, cell, value)
-    filled[cell] = True
-    return out, filled
+    return out, out != 0
 
 
 def entries(shingles: np.ndarray, rule: Rule) -> np.ndarray:
@@ -160,9 +163,9 @@ def set_hash(shingles: np.ndarray) -> int:
 
 
 def whole_sketch(shingles: np.ndarray) -> bytes:
-    """Two to four bits per shingle, a power of two of 64-bit words, so that larger ones fold onto smaller ones."""
+    """Dense parity sketch: two to four bits per shingle up to DENSE_BITS, a power of two of 64-bit words, so that larger ones fold onto smaller ones."""
     h = mixed(shingles)
-    bits = 64 << ((len(shingles) - 1) // 32).bit_length()
+    bits = min(DENSE_BITS, 64 << ((len(shingles) - 1) // 32).bit_length())
     at = h & np.uint64(bits - 1)
     out = np.zeros(bits // 64, np.uint64)
     np.bitwise_xor.at(out, (at >> np.uint64(6)).astype(np.int64), np.uint64(1) << (at & np.uint64(63)))
@@ -192,6 +195,7 @@ def _sets(docs: DataFrame, rule: Rule, what: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(rule.words)
+        entered: set[int] = set()
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
@@ -202,10 +206,17 @@ def _sets(docs: DataFrame, rule: Rule, what: str) -> DataFrame:
                     continue
                 cls, offsets, values = [], [0], []
                 for s in sets:
-                    cls.append(set_hash(s))
+                    c = set_hash(s)
+                    if what == "keys":
+                        if c in entered:
+                            continue
+                        if len(entered) >= ENTERED:
+                            entered.clear()
+                        entered.add(c)
+                    cls.append(c)
                     values.append(_signed(entries(s, rule) if what == "keys" else s))
                     offsets.append(offsets[-1] + len(values[-1]))
-                lists = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(values), pa.int64()))
+                lists = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(values) if values else np.empty(0, np.int64), pa.int64()))
                 yield pa.RecordBatch.from_arrays([pa.array(cls, pa.int64()), lists], ["cls", "keys" if what == "keys" else "shingles"])
         release()
 
@@ -222,9 +233,11 @@ def _across(rule: Rule):
         key, lo, hi, chunk, cls, comp, n = (rows.column(i).to_numpy() for i in range(7))
         blobs = rows.column(7).to_pylist()
         width = np.array([len(b) // 8 for b in blobs])
-        m = np.zeros((len(blobs), int(width.max(initial=1))), np.uint64)
-        for i, b in enumerate(blobs):
-            m[i, : width[i]] = np.frombuffer(b, np.uint64)
+        place, m = np.zeros(len(blobs), np.int64), {}  # sketches of one width together
+        for w in np.unique(width):
+            at = np.flatnonzero(width == w)
+            place[at] = np.arange(len(at))
+            m[int(w)] = np.frombuffer(b"".join([blobs[i] for i in at]), np.uint64).reshape(len(at), w)
         new = np.r_[True, (key[1:] != key[:-1]) | (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])]
         group = np.cumsum(new)
         size = np.diff(np.r_[np.flatnonzero(new), len(key)])
@@ -244,7 +257,7 @@ def _across(rule: Rule):
                     at = np.flatnonzero((width[j] == w) & (width[i] == v))
                     for part in range(0, len(at), 1 << 14):
                         k = at[part : part + (1 << 14)]
-                        x = np.bitwise_xor.reduce(m[i[k], :v].reshape(len(k), v // w, w), axis=1) ^ m[j[k], :w]
+                        x = np.bitwise_xor.reduce(m[int(v)][place[i[k]]].reshape(len(k), v // w, w), axis=1) ^ m[int(w)][place[j[k]]]
                         near = k[np.bitwise_count(x).sum(axis=1) <= most[k]]
                         if len(near):
                             a, b = cls[i[near]], cls[j[near]]
@@ -346,10 +359,7 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: id, n_shingles, class_id (hash of the set, null for empty ones), component_id.
-
-    The first writes, small against the texts, run when this is called; the last join is lazy.
-    """
+    """One row per document: id, n_shingles, class_id (hash of the set, null for empty ones), component_id. All of it runs when this is called; its tables are small against the texts."""
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     sizes = stored(_sets(texts, rule, "size"), "sizes")
     classes = stored(sizes.where("n > 0 and id is not null").groupBy("cls").agg(F.min("id").alias("rep"), F.first("n").alias("n"), F.first("sk").alias("sk")), "classes")
@@ -360,16 +370,16 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id"
     met = stored(keys.withColumn("met", F.count("*").over(bucket)).where("met > 1"), "met")
     # the pivot of a bucket is its class that meets most others in all: the middle of a group, not one at its edge
     central = stored(met.groupBy("cls").agg(F.sum("met").alias("weight")), "central")
-    heaviest = F.max(F.struct("weight", "cls")).over(bucket)
-    shared = stored(met.join(small(central, central.count()), "cls").select("key", "cls", heaviest["cls"].alias("pivot")), "shared")
+    heaviest = met.join(small(central, central.count()), "cls").groupBy("key").agg(F.max(F.struct("weight", "cls"))["cls"].alias("pivot"))
+    shared = stored(met.select("key", "cls").join(heaviest, "key"), "shared")
     forget(met, central)
     pairs = stored(shared.where("cls <> pivot").select(F.least("pivot", "cls").alias("a"), F.greatest("pivot", "cls").alias("b")).distinct(), "pairs")
     links = _verified(pairs, classes, texts, rule)
     first = components(links)
     # second round: only pairs from different components can add anything
     named = shared.select("key", "cls").join(first.select(F.col("node").alias("cls"), F.col("root").alias("comp")), "cls", "left").select("key", "cls", F.coalesce("comp", "cls").alias("comp"))
-    whole = F.count("*").over(bucket)
-    named = named.withColumn("_lo", F.min("comp").over(bucket)).withColumn("_hi", F.max("comp").over(bucket)).withColumn("_n", whole).where("_lo < _hi")
+    open_ = named.groupBy("key").agg(F.min("comp").alias("_lo"), F.max("comp").alias("_hi"), F.count("*").alias("_n")).where("_lo < _hi")
+    named = named.join(open_.select("key", "_n"), "key")
     # buckets of many rows are cut in chunks, and every two chunks meet in a group of their own
     chunks = F.ceil(F.col("_n") / CHUNK)
     named = named.withColumn("chunk", F.pmod(F.xxhash64("cls"), chunks)).withColumn("_o", F.explode(F.sequence(F.lit(0).cast("long"), chunks - 1)))
@@ -388,4 +398,6 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id"
     of_class = stored(comp.join(lowest, "root").select("cls", "component_id"), "of-class")
     full = sizes.where("n > 0").join(of_class, "cls", "left").select("id", "n", "cls", "component_id")
     empty = sizes.where("n = 0").select("id", "n", F.lit(None).cast("long").alias("cls"), F.col("id").alias("component_id"))
-    return full.union(empty).select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.col("cls").alias("class_id"), "component_id")
+    out = stored(full.union(empty).select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.col("cls").alias("class_id"), "component_id"), "components")
+    forget(sizes, classes, first, of_class)
+    return out

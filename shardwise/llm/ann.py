@@ -14,11 +14,12 @@ vector is sent once per block and hop, not once per candidate. All steps are joi
 written tables; nothing is collected.
 
 Equal vectors are one node; its members come back with the answer, by smallest id, so copies do
-not fill up lists. Inside the graph vectors are kept as half floats on a common scale; the returned score is
-the inner product of the original vectors in double precision, and ranks follow it.
+not fill up lists. Inside the graph vectors are kept as half floats with a scale of their own, so one of another
+magnitude takes no digits from the rest; the returned score is the inner product of the original vectors in double
+precision, and ranks follow it. The walk gets wider with the logarithm of the number of vectors (see Params.wide).
 
-Defined cases: vectors that are null, zero, or hold null or non-finite components, or whose length is not the
-most frequent one, take no part; with K or fewer other vectors all are returned; ties go to the smaller id; an
+Defined cases: vectors that are null, zero, or hold null or non-finite components take no part; shorter ones count as
+filled up with zeros; magnitudes may differ by a factor of 10^15, beyond which products of the smallest count as equal in the walk; with K or fewer other vectors all are returned; ties go to the smaller id; an
 empty table gives no rows; extra columns are ignored.
 """
 
@@ -54,13 +55,27 @@ class Params:
     hops: int = 10
     seed: int = 17
 
+    def wide(self, n: int) -> tuple[int, int]:
+        """Width and hops for n vectors: both grow by a half with each doubling beyond 16,384."""
+        width = round(self.width * (1 + 0.5 * max(0.0, np.log2(max(n, 1) / 16384))))
+        return width, max(self.hops, -(-width // self.beam) + 5)
+
 
 NODE = "id long, v binary, nbrs binary, sims binary, fresh binary"
 
 
+def _packed_rows(x: np.ndarray, scale: float) -> list[bytes]:
+    """Each row as its scale (float32, a share of the common one) and its components over that as half floats."""
+    own = np.abs(x).max(axis=1)
+    half = (x / own[:, None]).astype(np.float16)
+    return [a.tobytes() + b.tobytes() for a, b in zip((own / scale).astype(np.float32), half)]
+
+
 def _half(column) -> np.ndarray:
-    """Binary column of half floats as a float32 matrix."""
-    return np.stack([np.frombuffer(x, np.float16) for x in column.to_pylist()]).astype(np.float32)
+    """Binary column of such rows as a float32 matrix."""
+    rows = column.to_pylist()
+    raw = np.frombuffer(b"".join(rows), np.uint8).reshape(len(rows), -1)
+    return raw[:, 4:].copy().view(np.float16).astype(np.float32) * raw[:, :4].copy().view(np.float32)
 
 
 def _longs(x: bytes) -> np.ndarray:
@@ -102,8 +117,8 @@ def prepared(df: DataFrame, id_col: str, vector: str) -> DataFrame:
     """(vec_id, x array<double>) of the vectors that take part."""
     ok = F.col(vector).isNotNull() & (F.size(vector) > 0) & ~F.exists(vector, lambda x: x.isNull() | F.isnan(x.cast("double")) | (F.abs(x.cast("double")) == float("inf"))) & F.exists(vector, lambda x: x != 0)
     rows = df.where(ok & F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("vec_id"), F.transform(vector, lambda x: x.cast("double")).alias("x"))
-    usual = rows.groupBy(F.size("x").alias("d")).count().orderBy(F.desc("count"), "d").first()
-    return rows.where(F.size("x") == (usual["d"] if usual else 0))
+    width = rows.agg(F.max(F.size("x"))).first()[0] or 0
+    return rows.withColumn("x", F.concat("x", F.array_repeat(F.lit(0.0), F.lit(width) - F.size("x"))))
 
 
 class Index:
@@ -119,8 +134,8 @@ class Index:
 
         def halves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                x = b.column(1).flatten().to_numpy().reshape(-1, width) / scale
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array([r.tobytes() for r in x.astype(np.float16)], pa.binary())], ["id", "v"])
+                x = b.column(1).flatten().to_numpy().reshape(-1, width)
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(_packed_rows(x, scale) if len(x) else [], pa.binary())], ["id", "v"])
 
         self.nodes = stored(keyed.select("id", "x").mapInArrow(halves, "id long, v binary"), "nodes")
         self.members = rows.join(keyed.select("h", "h2", "id"), ["h", "h2"]).select("id", "vec_id", "x")
@@ -301,6 +316,7 @@ class Index:
     def search(self, queries: DataFrame, k: int) -> DataFrame:
         """queries(query_id, x array<double>, entry long) to (query_id, id): candidates left by the greedy walk, best first kept up to width."""
         p, scale = self.p, self.scale
+        width, hops = p.wide(self.n)
         nq = queries.count()
         qblocks = max(1, -(-nq // p.query_block))
         near = self.adjacency()
@@ -328,7 +344,7 @@ class Index:
 
             return state.select("query_id", column).mapInArrow(run, "query_id long, id long")
 
-        for _ in range(p.hops):
+        for _ in range(hops):
             # neighbours of what the walk opens: ids only
             opened = asked("ask").join(lists, "id").groupBy("query_id").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("next"))
             first = _ == 0
@@ -376,7 +392,7 @@ class Index:
                     sims = np.concatenate([np.frombuffer(sims, np.float32), *[s for _, s in new]])
                     opened = np.concatenate([np.frombuffer(opened, np.uint8), np.zeros(len(ids) - len(opened), np.uint8)])
                     # only the best stay: one that fell out and is met again falls out again, as the last one's score never falls
-                    order = np.lexsort((ids, -sims))[: p.width]
+                    order = np.lexsort((ids, -sims))[:width]
                     ids, sims, opened = ids[order], sims[order], opened[order]
                     at = np.flatnonzero(opened == 0)[: p.beam]
                     opened[at] = 1

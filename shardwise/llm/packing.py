@@ -15,6 +15,7 @@ result depends only on its input split, so a retried task gives the same rows an
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import unicodedata
@@ -52,12 +53,26 @@ class Limits:
     loss: int = 4096
 
 
+def splits_alike(spec: dict) -> bool:
+    """Whether a vocabulary file asks for the normalising and splitting that WordEncoder does itself."""
+
+    def steps(part: dict | None, key: str) -> list[dict]:
+        return [] if not part else part[key] if part.get("type") == "Sequence" else [part]
+
+    kinds = [(x["type"], x.get("pattern"), x.get("content")) for x in steps(spec.get("normalizer"), "normalizers")]
+    spaces = [("NFC", None, None), ("Replace", {"Regex": r"\s+"}, " "), ("Lowercase", None, None)]
+    split = [(x["type"], x.get("behavior"), x.get("invert"), (x.get("pattern") or {}).get("Regex")) for x in steps(spec.get("pre_tokenizer"), "pretokenizers")]
+    wanted = PRETOKEN.replace("\\p{L}", "[\\p{L}]", 1).replace("|\\p{N}|", "|[\\p{N}]|")
+    return kinds == spaces and len(split) == 2 and split[0] == ("Split", "Removed", True, wanted) and split[1][0] == "ByteLevel"
+
+
 class WordEncoder:
     """Ids of a text by the tokenizers library, pre-token by pre-token with a memo of two generations.
 
-    Only for vocabularies that compose (NFC), lower the case, drop white space and split as PRETOKEN does:
-    their pre-tokens are independent of each other. Texts with special tokens, or with characters on
-    which engines differ (separators U+001C to U+001F, the capital sigma), go to the library whole.
+    Vocabularies that compose (NFC), lower the case, drop white space and split as PRETOKEN does have
+    pre-tokens that are independent of each other; the file says whether it is one. Of other vocabularies every text goes to
+    the library whole, and so do texts with special tokens, or with characters on which engines differ (separators
+    U+001C to U+001F, the capital sigma).
     """
 
     def __init__(self, path: str):
@@ -71,6 +86,7 @@ class WordEncoder:
         self.old: dict[str, bytes] = {}
         special = [re.escape(t.content) for t in self.library.get_added_tokens_decoder().values()]
         self.odd = re.compile("|".join([r"[\x1c-\x1f\u03a3]", *special])).search
+        self.alike = splits_alike(json.loads(self.library.to_str()))
         self.words = regex.compile(PRETOKEN).findall
         self.latin = re.compile(LATIN).findall
 
@@ -84,6 +100,8 @@ class WordEncoder:
         return array("I", [t.id for t in self.tokenize(word)]).tobytes()
 
     def encode(self, text: str) -> bytes:
+        if not self.alike:
+            return self._whole(text)
         try:
             text.encode("latin-1")
             find = self.latin

@@ -8,7 +8,7 @@ node, value per leaf), so scoring walks all trees of a batch level by level in n
 kilobytes whatever the corpus, travels with the task.
 
 Defined cases: null text counts as empty and gets a score like any other; null labels are not used, of
-several labels of a document the largest counts; with no labels, or labels of one kind only, the score is
+several labels of a document the largest counts, and of several texts of a labelled id the one with the least statistics; with no labels, or labels of one kind only, the score is
 their smoothed mean (0.5 without any); an empty table gives no rows; extra columns are ignored.
 """
 
@@ -179,7 +179,9 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     sample = usable.orderBy(F.xxhash64("id"), "id").limit(rows)  # bounded by rows, so it may be broadcast
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     chosen = texts.join(F.broadcast(sample), "id")
-    got = _features(chosen.select("id", "text")).join(F.broadcast(sample), "id").select("id", "x", "y").toPandas().sort_values("id", kind="stable")
+    # one row of each id: rows that repeat an id would not be bounded by the sample
+    one = _features(chosen.select("id", "text")).groupBy("id").agg(F.min("x").alias("x"))
+    got = one.join(F.broadcast(sample), "id").select("id", "x", "y").toPandas().sort_values("id", kind="stable")
     if not len(got):
         return fit(np.zeros((0, FEATURES)), np.zeros(0), params)
     return fit(np.array(got.x.tolist(), float), got.y.to_numpy(float), params)

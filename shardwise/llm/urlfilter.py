@@ -11,8 +11,8 @@ of these the latest, of these the smallest list name.
 Defined cases: null or unparsable URLs and null times match nothing and are kept; a repeated addition
 while an entry is valid changes nothing, nor does a removal without one; of changes of one moment removals
 come first; intervals include their start and not their end; an entry that is never removed stays valid to
-the horizon, the latest capture; repeated captures are rows of their own as long as their ids differ;
-extra columns are ignored; an empty list leaves every capture unmatched.
+the horizon, the latest capture; repeated captures, also with one id, are rows of their own, each decided by its own
+URL and time; extra columns are ignored; an empty list leaves every capture unmatched.
 """
 
 from __future__ import annotations
@@ -77,8 +77,10 @@ def temporal_list_join(captures: DataFrame, changes: DataFrame, id_col: str = "i
         F.collect_set(F.when(slashes == 0, F.size(F.split("key", r"\.")))).alias("labels"),
         F.collect_set(F.when(slashes > 0, slashes)).alias("segments"),
     ).first()
-    asked = seen.select("id", "at", month(F.col("at")).alias("month"), F.explode(keys_of(F.col("url"), depths["labels"], depths["segments"])).alias("key"))
+    # equal captures are asked once and get one answer; no number of a row is needed, which a retried task might give anew
+    once = seen.where("url is not null and at is not null").select("url", "at").distinct()
+    asked = once.select("url", "at", month(F.col("at")).alias("month"), F.explode(keys_of(F.col("url"), depths["labels"], depths["segments"])).alias("key"))
     hit = asked.join(small(spans, depths["rows"], LIST_ROWS), ["key", "month"]).where("valid_from <= at and (valid_to is null or at < valid_to)")
     best = F.min_by(F.struct("list", "key", "valid_from"), F.struct((-F.length("key")).alias("a"), F.expr("-unix_micros(cast(valid_from as timestamp))").alias("b"), F.col("list").alias("c"), F.col("key").alias("d")))
-    decided = hit.groupBy("id").agg(F.count("*").alias("n_active"), best.alias("best"))
-    return seen.select("id").join(decided, "id", "left").select(F.col("id").alias(id_col), F.coalesce("n_active", F.lit(0).cast("long")).alias("n_active"), F.col("best.list").alias("list"), F.col("best.key").alias("key"), F.col("best.valid_from").alias("valid_from"))
+    decided = hit.groupBy("url", "at").agg(F.count("*").alias("n_active"), best.alias("best"))
+    return seen.join(decided, ["url", "at"], "left").select(F.col("id").alias(id_col), F.coalesce("n_active", F.lit(0).cast("long")).alias("n_active"), F.col("best.list").alias("list"), F.col("best.key").alias("key"), F.col("best.valid_from").alias("valid_from"))

@@ -45,6 +45,24 @@ def test_neighbours(vectors):
     assert np.mean(hits) >= 0.9
 
 
+def test_neighbours_with_an_outlier_and_lengths_that_differ(spark):
+    """One vector of another magnitude takes no recall from the rest; short vectors are filled up with zeros; default parameters."""
+    rng = np.random.default_rng(2)
+    m = rng.normal(size=(1500, 16))
+    m[3] *= 1e8
+    m[7, 9:] = 0
+    rows = [(i, (x[:9] if i == 7 else x).tolist()) for i, x in enumerate(m)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = {}
+    for r in ann.nearest(df, F.col("vec_id") % 50 == 0, k=20).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    hits = []
+    for q, found in got.items():
+        s = m @ m[q]
+        hits.append(len(found & set([i for i in np.argsort(-s, kind="stable") if i != q][:20])) / 20)
+    assert len(got) == 30 and np.mean(hits) >= 0.95
+
+
 def test_neighbours_of_few_and_none(vectors):
     few = ann.nearest(vectors.where("vec_id < 5 or vec_id >= 1000"), F.col("vec_id") % 2 == 0, k=20).collect()
     assert {(r.query_id, r.rank) for r in few} == {(q, r) for q in (0, 2, 4) for r in range(1, 5)}
@@ -142,6 +160,15 @@ def test_url_lists_of_any_depth(spark):
     assert got == {0: (3, deep), 1: (3, deep), 2: (2, keys[4]), 3: (1, keys[3]), 4: (0, None), 5: (4, keys[5]), 6: (1, "local"), 7: (0, None), 8: (0, None)}
 
 
+def test_url_captures_that_repeat(spark):
+    """Rows that repeat an id, or whole rows, are rows of their own."""
+    changes = spark.createDataFrame([("bad", "spam.example", "add", day(10)), ("bad", "spam.example", "remove", day(50))], "list string, key string, action string, at timestamp")
+    rows = [(3, "http://spam.example/", day(20)), (3, "http://spam.example/", day(20)), (3, "http://spam.example/", day(60)), (3, "http://ok.example/", day(20)), (None, "http://spam.example/x", day(20))]
+    caps = spark.createDataFrame(rows, "id long, url string, at timestamp")
+    got = sorted(((r.id, r.n_active) for r in urlfilter.temporal_list_join(caps, changes).collect()), key=str)
+    assert got == sorted([(3, 1), (3, 1), (3, 0), (3, 0), (None, 1)], key=str)
+
+
 def article(source):
     m = re.search(r"<article>(.*?)(</article>|<footer|$)", source, re.S)
     parts = [" ".join(entities.unescape(re.sub("<[^>]*>", "", b.replace("<br>", " "))).split()) for b in re.split(r"</?p>|</?h1>", m[1])]

@@ -168,6 +168,27 @@ def test_packing_under_three_limits(spark, docs):
     check_packing(with_prompt, rows, limits)
 
 
+def test_packing_loss_limit_binds(spark, docs):
+    """With a tight loss limit sequences end short of their tokens, and no sequence exceeds it."""
+    limits = packing.Limits(tokens=1024, segments=64, loss=300)
+    some = docs.where("doc_id % 3 = 0").withColumn("prompt", F.lit(25)).cache()
+    rows = packing.pack(some, tokenizer_path(WORD), limits, loss_from="prompt").collect()
+    check_packing(some, rows, limits)
+    per = {}
+    for r in rows:
+        n, loss = per.get(r.sequence_id, (0, 0))
+        per[r.sequence_id] = (n + r.length, loss + r.loss_tokens)
+    assert sum(loss == 300 and n < 1024 for n, loss in per.values()) > len(per) / 3
+
+
+def test_packing_of_another_vocabulary(spark):
+    """A vocabulary that splits otherwise goes to the library text by text, with the right ids."""
+    enc, lib = packing.WordEncoder(tokenizer_path(BYTE)), library(BYTE)
+    assert not enc.alike and packing.word_encoder(tokenizer_path(WORD)).alike
+    for t in ("The Cat's  hat e\u0301", "", "12 345"):
+        assert enc.encode(t) == np.array(lib.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
+
+
 def test_packing_empty_table(docs):
     assert packing.pack(docs.where("false"), tokenizer_path(WORD)).count() == 0
 
@@ -407,6 +428,45 @@ def test_flat_trees_equal_a_walk():
     assert np.mean((model.score(x) >= 0.5) == y) > 0.95
 
 
+def test_splits_equal_a_naive_search():
+    """The first tree's root against the gain of every threshold, counted one by one."""
+    rng = np.random.default_rng(1)
+    x = rng.integers(0, 12, size=(300, 6)).astype(float)
+    y = (x[:, 2] + rng.normal(size=300) > 6).astype(float)
+    p = quality.Params(trees=1, depth=2, bins=64)
+    model = quality.fit(x, y, p)
+    g, h = y - 1 / (1 + np.exp(-model.start)), np.full(300, (m := 1 / (1 + np.exp(-model.start))) * (1 - m))
+
+    def naive(rows):
+        best = (1e-9, 0, np.inf)
+        for j in range(6):
+            for cut in np.unique(x[:, j])[:-1]:
+                left, right = rows & (x[:, j] <= cut), rows & (x[:, j] > cut)
+                if h[left].sum() < p.least_hessian or h[right].sum() < p.least_hessian:
+                    continue
+                gain = sum(g[s].sum() ** 2 / (h[s].sum() + p.penalty) for s in (left, right)) - g[rows].sum() ** 2 / (h[rows].sum() + p.penalty)
+                if gain > best[0] + 1e-9:
+                    best = (gain, j, cut)
+        return best[1:]
+
+    everyone = np.ones(300, bool)
+    nodes = [naive(everyone)]
+    left = x[:, nodes[0][0]] <= nodes[0][1]
+    nodes += [naive(left), naive(~left)]
+    for k, (j, cut) in enumerate(nodes):
+        assert model.feature[0, k] == j
+        assert np.array_equal(x[:, j] > model.threshold[0, k], x[:, j] > cut)
+
+
+def test_quality_of_repeated_rows(spark):
+    """Rows that repeat a labelled id count once in training."""
+    rows = [(i, ("word " * (i % 9 + 1)) if i % 2 else "%% ## " * (i % 7 + 1)) for i in range(60)]
+    labels = spark.createDataFrame([(i, i % 2) for i in range(60)], "doc_id long, quality int")
+    once = spark.createDataFrame(rows, "doc_id long, text string")
+    a, b = quality.train(once, labels), quality.train(once.union(once).union(once), labels)
+    assert np.array_equal(a.feature, b.feature) and np.allclose(a.leaf, b.leaf) and len(a.feature)
+
+
 def test_quality_edge_cases(spark, odd):
     labels = spark.createDataFrame([(1, None)], "doc_id long, quality int")
     model = quality.train(odd, labels)

@@ -30,7 +30,9 @@ class PartitionSpec:
     objective: 'pfanout' (needs 0 < p < 1), 'fanout' (p = 1) or 'clique' (the limit p -> 0).
     exchange: 'plain' (coin per ordered pair), 'ranked' (exact pairing by gain) or 'histogram' (by gain bins).
     arity: children per split; None goes straight to k buckets. iterations: per level; None is 60 for
-    direct runs and 20 per split. slack: histogram runs may also use the imbalance allowance.
+    direct runs and 20 per split. slack: histogram runs may also use the imbalance allowance. reuse: share of moved
+    vertices up to which the next turn updates shares and gains instead of counting them anew (same result). coins: 'portable'
+    (md5, the same in other engines) or 'fast' (the engine's own hash).
     """
 
     k: int = 2
@@ -51,6 +53,8 @@ class PartitionSpec:
     repair: bool = True
     keep_best: bool = True
     prune: bool = True
+    reuse: float = 0.01
+    coins: str = "portable"
 
     def __post_init__(self):
         if self.k < 2:
@@ -65,6 +69,8 @@ class PartitionSpec:
             raise ValueError(f"unknown exchange {self.exchange}")
         if self.arity is not None and self.arity < 2:
             raise ValueError("arity must be at least 2")
+        if self.coins not in ("portable", "fast"):
+            raise ValueError(f"unknown coins {self.coins}")
         if not 0 <= self.damp <= 1:
             raise ValueError("damp must be in [0, 1]")
         if self.objective == "pfanout" and self.p == 1:

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from ..functions.coin import FULL, coin
 from ..functions.kernel import Kernel, gain_bin
+from ..session import BROADCAST_ROWS, small
 
 WIDE = "decimal(38,0)"
 
@@ -55,52 +56,66 @@ def spread_counts(edges: DataFrame, state: DataFrame, shares: DataFrame) -> Data
     return members.join(shares, ["qid", "parent"]).select("vid", "parent", "src", "bucket", "cnt")
 
 
-def move_gains(spread: DataFrame, kernel: Kernel, ts: list[int] | None = None, t_col: str = "t") -> DataFrame:
-    """(vid, parent, src, dst, gain_fx) for each bucket that a query of the vertex uses; for others the gain is not positive.
+def gain_parts(spread: DataFrame, kernel: Kernel, ts: list[int] | None = None, t_col: str = "t") -> DataFrame:
+    """(vid, parent, src, bucket, part, uses): what the vertex's queries that use a bucket say of it, and how many they are.
 
     Only nonzero counts are summed: a bucket that a query does not use is worth the kernel's idle term, so
-    the sum over all queries is the idle term times the degree less what the used ones save.
+    the sum over all queries is the idle term times the degree less what the used ones save. The gain of a move is
+    the own bucket's part and the target's. Parts are sums over queries, so signed differences update them.
     """
+    own = F.col("bucket") == F.col("src")
+    part = F.when(own, _term(kernel, "cnt", "leave", ts, t_col) - F.lit(kernel.idle)).otherwise(F.lit(kernel.idle) - _term(kernel, "cnt", "arrive", ts, t_col))
+    return spread.groupBy("vid", "parent", "src", "bucket").agg(F.sum(part).alias("part"), F.count("*").alias("uses"))
+
+
+def _term(kernel: Kernel, cnt: str, kind: str, ts: list[int] | None, t_col: str = "t"):
     ts = ts or [1]
+    return kernel.by_target(F.col(cnt), F.col(t_col) if len(ts) > 1 else F.lit(ts[0]), ts, kind)
+
+
+def move_gains(spread: DataFrame, kernel: Kernel, ts: list[int] | None = None, t_col: str = "t") -> DataFrame:
+    """(vid, parent, src, dst, gain_fx) for each bucket that a query of the vertex uses; for others the gain is not positive."""
     own = F.col("bucket") == F.col("src")
-    tcol = F.col(t_col) if len(ts) > 1 else F.lit(ts[0])
-    leave = kernel.by_target(F.col("cnt"), tcol, ts, "leave") - F.lit(kernel.idle)
-    arrive = F.lit(kernel.idle) - kernel.by_target(F.col("cnt"), tcol, ts, "arrive")
-    summed = spread.groupBy("vid", "parent", "src", "bucket").agg(F.sum(F.when(own, leave).otherwise(arrive)).alias("part"))
-    base = F.max(F.when(own, F.col("part"))).over(Window.partitionBy("vid"))
-    return summed.withColumn("own", base).where(F.col("bucket") != F.col("src")).select("vid", "parent", "src", F.col("bucket").alias("dst"), (F.col("own") + F.col("part")).alias("gain_fx"))
+    line = F.collect_list(F.when(~own, F.struct(F.col("bucket").alias("dst"), "part")))  # as many as buckets are used
+    per = gain_parts(spread, kernel, ts, t_col).groupBy("vid", "parent", "src").agg(F.max(F.when(own, F.col("part"))).alias("own"), line.alias("line"))
+    return per.select("vid", "parent", "src", "own", F.explode("line").alias("x")).select("vid", "parent", "src", "x.dst", (F.col("own") + F.col("x.part")).alias("gain_fx"))
 
 
 def best_targets(spread: DataFrame, kernel: Kernel, nonpositive: bool = False, siblings: DataFrame | None = None, ts: list[int] | None = None, t_col: str = "t", base: DataFrame | None = None, penalty_fx: int = 0) -> DataFrame:
-    """One proposal per vertex: (vid, parent, src, dst, gain_fx, gbin), the best bucket, ties to the lowest.
+    """One proposal per vertex: (vid, parent, src, dst, gain_fx, gbin), the best bucket, ties to the lowest."""
+    return best_of_parts(gain_parts(spread, kernel, ts, t_col), nonpositive, siblings, base, penalty_fx)
 
-    siblings: (parent, bucket) of all candidates, needed only if nonpositive targets that no query uses count
-    too. base and penalty_fx: leaving the base bucket costs, returning to it pays.
+
+def best_of_parts(parts: DataFrame, nonpositive: bool = False, siblings: DataFrame | None = None, base: DataFrame | None = None, penalty_fx: int = 0, rows: int | None = None) -> DataFrame:
+    """The same from stored parts. The own part is common to all targets, so one aggregate per vertex finds the best.
+
+    siblings: (parent, children) with the array of all candidates of a parent, needed only if nonpositive
+    targets that no query uses count too: of those the lowest is the best. rows: how many parents there are, if known. base and
+    penalty_fx: leaving the base bucket costs, returning to it pays.
     """
-    gains = move_gains(spread, kernel, ts, t_col)
-    if nonpositive and siblings is not None:
-        own = gains_own(spread, kernel, ts, t_col)
-        rest = own.join(F.broadcast(siblings.select("parent", F.col("bucket").alias("dst"))), "parent").where("dst <> src")
-        rest = rest.join(gains.select("vid", "dst"), ["vid", "dst"], "left_anti").select("vid", "parent", "src", "dst", F.col("own").alias("gain_fx"))
-        gains = gains.unionByName(rest)
-    if base is not None and penalty_fx:
-        gains = gains.join(base.select("vid", F.col("bucket").alias("home")), "vid", "left")
-        shift = F.when(F.col("src") == F.col("home"), -penalty_fx).when(F.col("dst") == F.col("home"), penalty_fx).otherwise(0)
-        gains = gains.withColumn("gain_fx", F.col("gain_fx") + F.coalesce(shift, F.lit(0))).drop("home")
-    best = F.max_by(F.struct("dst", "gain_fx"), F.struct(F.col("gain_fx"), -F.col("dst")))
-    out = gains.groupBy("vid", "parent", "src").agg(best.alias("b")).select("vid", "parent", "src", F.col("b.dst").alias("dst"), F.col("b.gain_fx").alias("gain_fx"))
+    keys, held = ["vid", "parent", "src"], base is not None and penalty_fx
+    own, home = F.col("bucket") == F.col("src"), F.col("home")
+    bonus = lambda at: F.when(at == home, F.lit(penalty_fx)).otherwise(F.lit(0)) if held else F.lit(0)
+    option = lambda part, at: F.struct((part + bonus(at)).cast("long").alias("part"), (-at).cast("int").alias("back"))
+    if held:
+        parts = parts.join(base.select("vid", F.col("bucket").alias("home")), "vid", "left")
+        keys.append("home")
+    what = [F.max(F.when(own, F.col("part"))).alias("own"), F.max(F.when(~own, option(F.col("part"), F.col("bucket")))).alias("top")]
+    every = nonpositive and siblings is not None
+    per = parts.groupBy(*keys).agg(*what, *([F.collect_set("bucket").alias("used")] if every else []))
+    if every:
+        listed = siblings.select("parent", "children")
+        per = per.join(small(listed, rows) if rows is not None else listed, "parent").withColumn("free", F.array_min(F.array_except("children", "used")))
+        more = [F.when(F.col("free").isNotNull(), option(F.lit(0), F.col("free")))]
+        if held:
+            more.append(F.when(F.array_contains("children", home) & ~F.array_contains("used", home), option(F.lit(0), home)))
+        per = per.withColumn("top", F.array_max(F.array("top", *more)))
+    lost = F.when(F.col("src") == home, F.lit(penalty_fx)).otherwise(F.lit(0)) if held else F.lit(0)
+    out = per.where("top is not null").select("vid", "parent", "src", (-F.col("top.back")).alias("dst"), (F.col("own") + F.col("top.part") - lost).alias("gain_fx"))
     out = out if nonpositive else out.where("gain_fx > 0")
     return out.withColumn("gbin", gain_bin(F.col("gain_fx")))
 
 
-def gains_own(spread: DataFrame, kernel: Kernel, ts: list[int] | None = None, t_col: str = "t") -> DataFrame:
-    """(vid, parent, src, own): what leaving is worth if the target is used by none of the vertex's queries."""
-    ts = ts or [1]
-    tcol = F.col(t_col) if len(ts) > 1 else F.lit(ts[0])
-    leave = kernel.by_target(F.col("cnt"), tcol, ts, "leave") - F.lit(kernel.idle)
-    return spread.where("bucket = src").groupBy("vid", "parent", "src").agg(F.sum(leave).alias("own"))
-
-
 def gain_state(edges: DataFrame, shares: DataFrame, p: float) -> DataFrame:
     """Side-free sums (vid, bucket, h_fx) of (1-p)^cnt over the queries of a vertex that use a bucket, less one each: additive, so deltas update them."""
     kernel = Kernel("pfanout", p)
@@ -194,8 +209,6 @@ def accepted(proposals: DataFrame, exchange: DataFrame, seed: int, level: int, i
 
     rows: known number of rows of exchange; it is broadcast up to the limit and joined by shuffle beyond it.
     """
-    from ..session import BROADCAST_ROWS
-
     keys = ["src", "dst"] + (["gbin"] if "gbin" in exchange.columns else [])
     ex = exchange.select(*keys, "threshold")
     if rows is not None and rows <= BROADCAST_ROWS:
@@ -223,30 +236,93 @@ def dirty_vertices(edges: DataFrame, moves: DataFrame) -> DataFrame:
     return edges.join(queries, "qid", "left_semi").select("vid").distinct()
 
 
+def changed_counts(shares: DataFrame, edges: DataFrame, moves: DataFrame, rows: int | None = None) -> DataFrame:
+    """(qid, parent, bucket, old, new) of the counts that moves (vid, parent, src, dst) change: only moved vertices' edges are read. rows: how many vertices moved, if known."""
+    touched = edges.join(small(moves, rows) if rows is not None else moves, "vid")
+    signed = touched.select("qid", "parent", F.explode(F.array(F.struct(F.col("src").alias("bucket"), F.lit(-1).alias("d")), F.struct(F.col("dst").alias("bucket"), F.lit(1).alias("d")))).alias("x"))
+    delta = signed.groupBy("qid", "parent", F.col("x.bucket").alias("bucket")).agg(F.sum("x.d").alias("d")).where("d <> 0")
+    old = F.coalesce("cnt", F.lit(0).cast("long"))
+    return delta.join(shares, ["qid", "parent", "bucket"], "left").select("qid", "parent", "bucket", old.alias("old"), (old + F.col("d")).alias("new"))
+
+
+def updated_counts(shares: DataFrame, changed: DataFrame, rows: int | None = None) -> DataFrame:
+    """Shares after the changes; rows: how many of them there are, if known."""
+    keys = ["qid", "parent", "bucket"]
+    kept = shares.join(small(changed.select(keys), rows) if rows is not None else changed.select(keys), keys, "left_anti")
+    return kept.select(*keys, "cnt").union(changed.where("new > 0").select(*keys, F.col("new").alias("cnt")))
+
+
+def updated_parts(parts: DataFrame, edges: DataFrame, state: DataFrame, moves: DataFrame, changed: DataFrame, shares: DataFrame, kernel: Kernel, spread_with, ts: list[int] | None = None, moved: int | None = None) -> DataFrame:
+    """Parts after moves: differences for members of changed queries, a new count for the moved vertices themselves.
+
+    state and shares are those after the moves; spread_with adds the look-ahead's column where it differs between buckets.
+    """
+    movers = moves.select("vid")
+    movers = small(movers, moved) if moved is not None else movers
+    members = edges.join(changed, "qid").join(state.select("vid", F.col("parent").alias("p"), F.col("bucket").alias("src")), "vid").where("p = parent").drop("p").join(movers, "vid", "left_anti")
+    own = F.col("bucket") == F.col("src")
+    change = F.when(own, _term(kernel, "new", "leave", ts) - _term(kernel, "old", "leave", ts)).otherwise(_term(kernel, "old", "arrive", ts) - _term(kernel, "new", "arrive", ts))
+    uses = (F.col("new") > 0).cast("long") - (F.col("old") > 0).cast("long")
+    differences = spread_with(members).select("vid", "parent", "src", "bucket", change.alias("part"), uses.alias("uses"))
+    keys = ["vid", "parent", "src", "bucket"]
+    kept = parts.join(movers, "vid", "left_anti").select(*keys, "part", "uses")
+    stayed = kept.union(differences).groupBy(*keys).agg(F.sum("part").alias("part"), F.sum("uses").alias("uses")).where("uses > 0")
+    theirs = edges.join(movers, "vid", "left_semi")
+    fresh = gain_parts(spread_with(spread_counts(theirs, state, shares)), kernel, ts)
+    return stayed.select(*keys, "part", "uses").union(fresh.select(*keys, "part", "uses"))
+
+
 def prune_dead(edges: DataFrame, state: DataFrame) -> DataFrame:
     """(qid, vid, alone): alone where the query has one member in the parent; its terms are zero from here on."""
     tagged = edges.join(state.select("vid", "parent"), "vid")
     return tagged.withColumn("alone", F.count("*").over(Window.partitionBy("qid", "parent")) == 1).select("qid", "vid", "alone")
 
 
+def numbered(rows: DataFrame, keys: list[str], name: str, parts: int = 256) -> DataFrame:
+    """Rows of vertices numbered from 0 within their keys, in an order of no meaning: counts per part of a hash give the offsets, so no task sees all rows of a key."""
+    dealt = rows.withColumn("_h", F.pmod(F.xxhash64("vid"), F.lit(parts)).cast("int"))
+    counts = dealt.groupBy(*keys, "_h").agg(F.count("*").alias("_c"))
+    before = F.sum("_c").over(Window.partitionBy(*keys).orderBy("_h").rowsBetween(Window.unboundedPreceding, -1))
+    offsets = counts.select(*keys, "_h", F.coalesce(before, F.lit(0)).alias("_o"))
+    place = F.row_number().over(Window.partitionBy(*keys, "_h").orderBy("vid")) - 1
+    return dealt.withColumn("_r", place).join(offsets, [*keys, "_h"]).withColumn(name, F.col("_o") + F.col("_r")).drop("_h", "_r", "_o")
+
+
+def _cut(counts: DataFrame, keys: list[str], order, need: str) -> DataFrame:
+    """counts(keys, step, c, need) with what comes before each step and whether all of it is needed."""
+    queue = Window.partitionBy(*keys).orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
+    return counts.withColumn("before", F.coalesce(F.sum("c").over(queue), F.lit(0))).where(F.col("before") < F.col(need)).withColumn("all", F.col("before") + F.col("c") <= F.col(need))
+
+
 def repair_to_cap(state: DataFrame, gains: DataFrame | None, caps: DataFrame, seed: int = 42) -> DataFrame:
-    """Overfull buckets give up the vertices that lose least, which fill the room of their siblings.
+    """Overfull buckets give up the vertices that lose least, by gain bins, which fill the room of their siblings.
 
-    caps: (parent, bucket, cap) of all buckets. gains: optional (vid, gain_fx) of each vertex's best move.
+    caps: (parent, bucket, cap) of all buckets. gains: optional (vid, gain_fx) of each vertex's best move. Whole bins
+    go from the best on; of the bin that would be too many, whole slices of a coin, and of the last slice as many as are missing:
+    only that slice, a thousandth of a bin, is sorted.
     """
     sizes = state.groupBy("parent", "bucket").agg(F.count("*").alias("size"))
     full = caps.join(sizes, ["parent", "bucket"], "left").select("parent", "bucket", "cap", F.coalesce("size", F.lit(0)).alias("size"))
     over = full.where("size > cap").select("parent", "bucket", (F.col("size") - F.col("cap")).alias("excess"))
-    inside = state.join(F.broadcast(over), ["parent", "bucket"])
-    if gains is not None:
-        inside = inside.join(gains, "vid", "left")
-    else:
-        inside = inside.withColumn("gain_fx", F.lit(None).cast("long"))
-    order = Window.partitionBy("parent", "bucket").orderBy(F.desc_nulls_last("gain_fx"), coin("vid", seed), "vid")
-    shed = inside.withColumn("r", F.row_number().over(order)).where(F.col("r") <= F.col("excess"))
-    line = Window.partitionBy("parent").orderBy("bucket", "r")
-    shed = shed.withColumn("slot", F.row_number().over(line) - 1).select("vid", "parent", "slot")
-    run = Window.partitionBy("parent").orderBy("bucket")
-    room = full.where("size < cap").withColumn("hi", F.sum(F.col("cap") - F.col("size")).over(run)).withColumn("lo", F.col("hi") - (F.col("cap") - F.col("size"))).select(F.col("parent").alias("p"), F.col("bucket").alias("dst"), "lo", "hi")
-    moves = shed.join(F.broadcast(room), (F.col("parent") == F.col("p")) & (F.col("slot") >= F.col("lo")) & (F.col("slot") < F.col("hi"))).select("vid", "dst")
-    return apply_moves(state, moves).drop("moved")
+    keys = ["parent", "bucket"]
+    inside = state.join(over.select(keys), keys, "left_semi").select("vid", *keys)
+    worst = F.lit(-999)
+    binned = inside.join(gains, "vid", "left").withColumn("step", F.coalesce(gain_bin(F.col("gain_fx")), worst)) if gains is not None else inside.withColumn("step", worst)
+    binned = binned.select("vid", *keys, "step", coin("vid", seed).alias("c1")).withColumn("slice", F.shiftright("c1", 22))
+    bins = _cut(binned.groupBy(*keys, "step").agg(F.count("*").alias("c")).join(over, keys), keys, F.desc("step"), "excess")
+    bins = bins.select(*keys, "step", "all", (F.col("excess") - F.col("before")).alias("missing"))
+    chosen = binned.join(bins, [*keys, "step"])
+    edge = chosen.where("not all").drop("all")
+    slices = _cut(edge.groupBy(*keys, "slice", "missing").agg(F.count("*").alias("c")), keys, F.asc("slice"), "missing")
+    slices = slices.select(*keys, "slice", "all", (F.col("missing") - F.col("before")).alias("few"))
+    last = edge.join(slices, [*keys, "slice"])
+    rank = F.row_number().over(Window.partitionBy(*keys).orderBy("c1", "vid"))
+    shed = chosen.where("all").select("vid", "parent").union(last.where("all").select("vid", "parent"))
+    shed = shed.union(last.where("not all").withColumn("r", rank).where("r <= few").select("vid", "parent"))
+    slot = numbered(shed, ["parent"], "slot")
+    run = Window.partitionBy("parent").orderBy("bucket")  # at most k rows
+    room = full.where("size < cap").withColumn("hi", F.sum(F.col("cap") - F.col("size")).over(run)).withColumn("lo", F.col("hi") - (F.col("cap") - F.col("size")))
+    # a parent's rooms as one sorted list, so that a slot finds its own without a range join
+    rooms = room.groupBy("parent").agg(F.array_sort(F.collect_list(F.struct("hi", F.col("bucket").alias("dst")))).alias("rooms"))
+    found = slot.join(rooms, "parent").withColumn("dst", F.try_element_at(F.filter("rooms", lambda x: x["hi"] > F.col("slot")), F.lit(1))["dst"])
+    return apply_moves(state, found.where("dst is not null").select("vid", "dst")).drop("moved")

@@ -20,7 +20,7 @@ from ..functions.coin import FULL, coin
 from ..functions.kernel import Kernel, pfanout_term
 from ..model import PartitionResult, PartitionSpec
 from ..operators import refine
-from ..session import BROADCAST_ROWS, forget, stored
+from ..session import forget, small, stored
 
 Node = tuple[int, int]  # first final bucket, number of final buckets
 
@@ -61,7 +61,7 @@ def _open_level(state: DataFrame, split: list[tuple[Node, list[Node]]], spec: Pa
             rows.append((first, t, c, at, at + size))
             at += size
     plan = _frame(spark, rows, "parent int, t int, child int, lo int, hi int")
-    plan = F.broadcast(plan) if len(rows) <= BROADCAST_ROWS else plan
+    plan = small(plan, len(rows))
     if spec.init == "ranked":
         from pyspark.sql import Window
 
@@ -133,7 +133,7 @@ def partition(edges: DataFrame, spec: PartitionSpec, vertices: DataFrame | None
             if any(held.get((parent, bucket), 0) > cap for parent, bucket, cap in rows):
                 caps = _frame(spark, rows, "parent int, bucket int, cap long")
                 spread = _with_t(refine.spread_counts(work, state, refine.neighbor_counts(work, state)), split, ts)
-                gains = refine.move_gains(spread, kernel, ts).groupBy("vid").agg(F.max("gain_fx").alias("gain_fx"))
+                gains = refine.best_targets(spread, kernel, True, ts=ts).select("vid", "gain_fx")
                 fixed = stored(refine.repair_to_cap(state, gains, caps, spec.seed), "repaired")
                 forget(state)
                 state = fixed
@@ -156,10 +156,13 @@ def _observed(seen: Observation, shares: DataFrame, p: float) -> tuple[int, floa
     """What the job has observed of the shares; counted anew where the optimiser had dropped that part of the plan, as it does if no proposal exists."""
     try:
         got = seen.get
-        values = [got[x] for x in ("f", "pf", "sq")]
+        return tuple(got[x] or 0 for x in ("f", "pf", "sq"))
     except (Py4JJavaError, KeyError):
-        values = list(shares.agg(*_totals(p)).first())
-    return tuple(v or 0 for v in values)
+        return _totals_of(shares, p)
+
+
+def _totals_of(shares: DataFrame, p: float) -> tuple[int, float, int]:
+    return tuple(v or 0 for v in shares.agg(*_totals(p)).first())
 
 
 def _with_t(spread: DataFrame, split, ts: list[int]) -> DataFrame:
@@ -167,35 +170,67 @@ def _with_t(spread: DataFrame, split, ts: list[int]) -> DataFrame:
     if len(ts) == 1:
         return spread
     rows = [(c, size) for _, children in split for c, size in children]
-    return spread.join(F.broadcast(_frame(spread.sparkSession, rows, "bucket int, t int")), "bucket")
+    return spread.join(small(_frame(spread.sparkSession, rows, "bucket int, t int"), len(rows)), "bucket")
+
+
+class _Kept:
+    """Shares and parts of the present state as tables, from which those of the next state follow by differences."""
+
+    def __init__(self, shares: DataFrame, parts: DataFrame):
+        self.shares, self.parts = shares, parts
+
+    def moved(self, edges, state, moves, count, kernel, spread_with, ts) -> tuple[_Kept, int]:
+        """After so many moves: only the moved vertices' edges and the members of the queries they change are read. The number of changed counts comes along."""
+        changed = stored(refine.changed_counts(self.shares, edges, moves, count), "changed")
+        rows = changed.count()
+        shares = stored(refine.updated_counts(self.shares, changed, rows), "shares")
+        parts = stored(refine.updated_parts(self.parts, edges, state, moves, changed, shares, kernel, spread_with, ts, count), "parts")
+        forget(changed)
+        self.drop()
+        return _Kept(shares, parts), rows
+
+    def drop(self) -> None:
+        forget(self.shares, self.parts)
 
 
 def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_level, base, watch):
-    """Iterations of one level."""
+    """Iterations of one level. Shares and gains are counted anew while many vertices move; from a turn that moves a share of spec.reuse or less they are kept and updated."""
     spark = state.sparkSession
     log: list[dict] = []
     best, best_value, damp, before = None, math.inf, spec.damp, None
     p = {"fanout": 1.0, "clique": spec.p}.get(spec.objective, spec.p)
-    siblings = _frame(spark, [(f, c) for (f, _), children in split for c, _ in children], "parent int, bucket int") if spec.nonpositive else None
+    siblings = _frame(spark, [(f, [c for c, _ in children]) for (f, _), children in split], "parent int, children array<int>") if spec.nonpositive else None
     caps = None
     if spec.exchange == "histogram" and spec.slack:  # parents keep their sizes while their children trade
         held = {r[0]: r[1] for r in state.groupBy("parent").count().collect()}
         caps = _frame(spark, _caps(split, held, n, spec.k, spec.eps, eps_level), "parent int, bucket int, cap long")
     pairs = sum(len(c) ** 2 for _, c in split) * (128 if spec.exchange == "histogram" else 1)
+    spread_with = lambda rows: _with_t(rows, split, ts)
+    kept: _Kept | None = None
+    few, counted = False, None
     for turn in range(1, spec.rounds + 2):
         seen = Observation()
-        plain = refine.neighbor_counts(edges, state)
-        shares = plain.observe(seen, *_totals(p))
+        plain = kept.shares if kept else refine.neighbor_counts(edges, state)
+        shares = plain if kept else plain.observe(seen, *_totals(p))
+        moves_made = None
         if turn > spec.rounds:  # the last state's objective only
-            shares.write.format("noop").mode("overwrite").save()
+            if not kept:
+                shares.write.format("noop").mode("overwrite").save()
             moved_state, moved = None, 0
         else:
-            spread = _with_t(refine.spread_counts(edges, state, shares), split, ts)
-            proposals = refine.best_targets(spread, kernel, spec.nonpositive and spec.exchange != "plain", siblings, ts, base=base, penalty_fx=int(spec.penalty * kernel.scale))
+            if kept:
+                parts = kept.parts
+            else:
+                shares = stored(shares, "shares") if few else shares
+                parts = refine.gain_parts(spread_with(refine.spread_counts(edges, state, shares)), kernel, ts)
+                if few:
+                    kept = _Kept(shares, stored(parts, "parts"))
+                    parts = kept.parts
+            proposals = refine.best_of_parts(parts, spec.nonpositive and spec.exchange != "plain", siblings, base=base, penalty_fx=int(spec.penalty * kernel.scale), rows=len(split))
             if spec.exchange == "ranked":
                 moves = refine.exchange_ranked(proposals, spec.nonpositive).select("vid", "dst")
                 if damp < 1:
-                    moves = moves.where(coin("vid", spec.seed, level, turn) < int(damp * FULL))
+                    moves = moves.where(coin("vid", spec.seed, level, turn, mode=spec.coins) < int(damp * FULL))
             else:
                 if spec.exchange == "plain":
                     exchange = refine.swap_probability(refine.exchange_matrix(proposals))
@@ -205,15 +240,19 @@ def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_
                         sizes = state.groupBy("parent", "bucket").agg(F.count("*").alias("size"))
                         room = caps.join(sizes, ["parent", "bucket"], "left").select("bucket", "cap", F.coalesce("size", F.lit(0)).alias("size"))
                         exchange = refine.slack_moves(exchange, room)
-                moves = refine.accepted(proposals, exchange, spec.seed, level, turn, damp, rows=min(pairs, n))
-            new = refine.apply_moves(state, moves)
+                moves = refine.accepted(proposals, exchange, spec.seed, level, turn, damp, spec.coins, rows=min(pairs, n))
+            new = refine.apply_moves(state.select("vid", "parent", "bucket", F.col("bucket").alias("was")), moves)
             count = Observation()
-            moved_state = stored(new.observe(count, F.count_if("moved").alias("m")).drop("moved"), "state")
+            table = stored(new.observe(count, F.count_if("moved").alias("m")).drop("moved"), "state")
             moved = count.get["m"]
-        f, pf, sq = _observed(seen, plain, p)
+            moves_made = table.where("bucket <> was").select("vid", "parent", F.col("was").alias("src"), F.col("bucket").alias("dst"))
+            moved_state = table.select("vid", "parent", "bucket")
+            moved_state._stored_path = table._stored_path
+        f, pf, sq = _totals_of(plain, p) if plain is (kept and kept.shares) else _observed(seen, plain, p)
         value = {"fanout": f, "clique": -sq, "pfanout": pf}[spec.objective]
+        rows_of = lambda: int(f if counted is None else counted)
         if log:
-            log[-1].update(fanout=(f + dead) / max(queries, 1), pfanout=(pf + dead * p) / max(queries, 1), shuffle_rows=int(f))
+            log[-1].update(fanout=(f + dead) / max(queries, 1), pfanout=(pf + dead * p) / max(queries, 1), shuffle_rows=rows_of())
         if watch and log:
             watch(log[-1])
         if spec.keep_best and value < best_value:
@@ -232,18 +271,26 @@ def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_
         log.append({"level": level, "iter": turn, "moved": int(moved), "moved_frac": float(frac), "fanout": float("nan"), "pfanout": float("nan"), "shuffle_rows": 0})
         if moved == 0:
             forget(moved_state)
-            log[-1].update(fanout=(f + dead) / max(queries, 1), pfanout=(pf + dead * p) / max(queries, 1), shuffle_rows=int(f))
+            log[-1].update(fanout=(f + dead) / max(queries, 1), pfanout=(pf + dead * p) / max(queries, 1), shuffle_rows=0)
             break
+        few, counted = frac <= spec.reuse, None
+        if kept and few:
+            kept, counted = kept.moved(edges, moved_state, moves_made, int(moved), kernel, spread_with, ts)
+        elif kept:
+            kept.drop()
+            kept = None
         state = moved_state
         if frac <= spec.tol:
-            last = refine.neighbor_counts(edges, state)
-            f, pf, sq = (v or 0 for v in last.agg(*_totals(p)).first())
-            log[-1].update(fanout=(f + dead) / max(queries, 1), pfanout=(pf + dead * p) / max(queries, 1), shuffle_rows=int(f))
+            last = kept.shares if kept else refine.neighbor_counts(edges, state)
+            f, pf, sq = _totals_of(last, p)
+            log[-1].update(fanout=(f + dead) / max(queries, 1), pfanout=(pf + dead * p) / max(queries, 1), shuffle_rows=rows_of())
             if spec.keep_best and {"fanout": f, "clique": -sq, "pfanout": pf}[spec.objective] >= best_value:
                 forget(state)
             else:
                 best = state
             break
+    if kept:
+        kept.drop()
     return (best if spec.keep_best and best is not None else state), log
 
 
@@ -262,7 +309,7 @@ def partition_recursive(edges: DataFrame, spec: PartitionSpec, arity: int, **mor
 
 
 def repartition(edges: DataFrame, former: DataFrame, spec: PartitionSpec, damp: float = 1.0, penalty: float = 0.0) -> PartitionResult:
-    """Refine a former assignment: moves are damped, and leaving the former bucket costs penalty. assign has a column moved_from_base."""
+    """Refine a former assignment: moves are damped, and leaving the former bucket costs penalty. moved_from_base() says how much has moved."""
     everyone = edges.select("vid").union(former.select("vid")).distinct()
     start = refine.init_from(former, everyone, spec.k, spec.eps, spec.seed)
     if damp == 0 or penalty == math.inf:
@@ -270,6 +317,13 @@ def repartition(edges: DataFrame, former: DataFrame, spec: PartitionSpec, damp:
     return partition(edges, spec.but(arity=None, damp=damp, penalty=penalty), vertices=everyone, start=start, base=former if penalty else None)
 
 
+def moved_from_base(assign: DataFrame, former: DataFrame) -> DataFrame:
+    """One row: vertices that both know, how many of them changed their bucket, and their share."""
+    both = assign.join(former.select("vid", F.col("bucket").alias("was")), "vid")
+    moved = F.count_if(F.col("bucket") != F.col("was"))
+    return both.agg(F.count("*").alias("known"), moved.alias("moved"), F.round(moved / F.greatest(F.count("*"), F.lit(1)), 6).alias("share"))
+
+
 def partition_weighted(edges: DataFrame, weights: DataFrame, spec: PartitionSpec) -> PartitionResult:
     """Vertices of different weight (vid, w): over-split, then merged by weight."""
     from .multidim import partition_multidim

@@ -27,12 +27,14 @@ def small(df: DataFrame, rows: int) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, which all executors share; a temporary folder only where none is set (local runs)."""
+    """spark.checkpoint.dir, which all executors share; a temporary folder only where none is set on a local master, an error elsewhere."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         done = spark.sparkContext._jsc.sc().getCheckpointDir()
         if done.isDefined():
             found = done.get()
+        elif not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         else:
             found = "file://" + tempfile.mkdtemp(prefix="shardwise-")
             spark.sparkContext.setCheckpointDir(found)

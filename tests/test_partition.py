@@ -73,6 +73,30 @@ def test_pruning_changes_nothing(carts):
     assert [(r["fanout"], r["moved"]) for r in a.progress] == [(pytest.approx(r["fanout"]), r["moved"]) for r in b.progress]
 
 
+@pytest.mark.parametrize("spec", [
+    PartitionSpec(k=4, iterations=3),
+    PartitionSpec(k=6, arity=2, iterations=2, lookahead=True, exchange="histogram", nonpositive=True, slack=True),
+])
+def test_updating_gives_what_counting_anew_gives(carts, spec):
+    """Shares and gains kept from the first turn on, against a new count in every turn."""
+    a, b = plans.partition(carts, spec.but(reuse=0.0)), plans.partition(carts, spec.but(reuse=1.0))
+    assert sorted(map(tuple, a.assign.collect())) == sorted(map(tuple, b.assign.collect()))
+    assert [(r["level"], r["iter"], r["moved"]) for r in a.progress] == [(r["level"], r["iter"], r["moved"]) for r in b.progress]
+    assert [r["fanout"] for r in a.progress] == [pytest.approx(r["fanout"]) for r in b.progress]
+
+
+def test_updates_read_less_as_fewer_vertices_move(spark):
+    edges, _ = generate.gen_planted(spark, 400, 4, 1600, 4, 0.0)
+    got = plans.partition(edges, PartitionSpec(k=2, iterations=6, reuse=1.0, keep_best=False, repair=False)).progress
+    least, most = min(got[:-1], key=lambda r: r["moved"]), max(got[:-1], key=lambda r: r["moved"])
+    assert least["moved"] < most["moved"] / 4 and least["shuffle_rows"] < most["shuffle_rows"] / 2
+
+
+def test_fast_coins(carts):
+    got = plans.partition(carts, PartitionSpec(k=4, iterations=2, coins="fast"))
+    check_feasible(carts, got, 4, 0.05)
+
+
 def test_observed_fanout_is_the_measured_one(carts):
     got = plans.partition(carts, PartitionSpec(k=4, iterations=2, keep_best=False, repair=False))
     assert got.progress[-1]["fanout"] == pytest.approx(fan(carts, got.assign), abs=1e-5)
@@ -95,6 +119,8 @@ def test_incremental_bounds(carts):
     assert sorted(map(tuple, plans.repartition(carts, base, spec, penalty=float("inf")).assign.collect())) == was
     held = plans.repartition(carts, base, spec.but(repair=False), penalty=1e6).assign
     assert sorted(map(tuple, held.collect())) == was
+    row = plans.moved_from_base(plans.repartition(carts, base, spec, damp=0.5, penalty=0.25).assign, base).first()
+    assert row.known == len(was) and 0 < row.moved < row.known
 
 
 def test_new_vertices_fill_room(spark):
@@ -110,6 +136,28 @@ def test_multidim_is_even_in_each_dimension(spark, sf, carts):
     assert all(r.imbalance < 0.35 for r in multidim.dimension_imbalance(got.assign, weights, 4).collect())
 
 
+def test_repair_of_an_overfull_bucket(spark):
+    """Exactly the excess goes, best bins first, and no bucket ends above its cap."""
+    state = spark.range(5000).select(F.col("id").alias("vid"), F.lit(0).alias("parent"), F.when(F.col("id") < 4600, 0).otherwise(1 + F.col("id") % 3).cast("int").alias("bucket"))
+    gains = spark.range(4600).select(F.col("id").alias("vid"), (F.col("id") % 50 - 20).cast("long").alias("gain_fx"))
+    caps = spark.createDataFrame([(0, b, 1300) for b in range(4)], "parent int, bucket int, cap long")
+    for g in (gains, None):
+        out = {r.vid: r.bucket for r in refine.repair_to_cap(state, g, caps).collect()}
+        held = [sum(b == x for b in out.values()) for x in range(4)]
+        assert len(out) == 5000 and max(held) <= 1300 and held[0] == 1300
+        assert all(out[v] == 1 + v % 3 for v in range(4600, 5000))
+    left = {v for v, b in {r.vid: r.bucket for r in refine.repair_to_cap(state, gains, caps).collect()}.items() if b != 0 and v < 4600}
+    assert all(v in left for v in range(4600) if v % 50 - 20 >= 16)  # the best bin
+
+
+def test_numbers_are_consecutive(spark):
+    df = spark.range(1000).select(F.col("id").alias("vid"), (F.col("id") % 3).alias("g"))
+    got = {}
+    for r in refine.numbered(df, ["g"], "n", parts=7).collect():
+        got.setdefault(r.g, []).append(r.n)
+    assert all(sorted(x) == list(range(len(x))) for x in got.values()) and len(got) == 3
+
+
 def test_too_many_buckets(carts):
     with pytest.raises(ValueError):
         plans.partition(carts, PartitionSpec(k=100_000))

@@ -14,6 +14,7 @@ from .model import PartitionSpec
 from .operators import baselines, measures, refine
 from .plans import experiments, multidim, multilevel
 from .plans import partition as plans
+from .session import stored
 from .sources import build, generate, workloads
 from .sources.workloads import graph, table
 
@@ -135,6 +136,22 @@ _DRAW = f"-ln(({coin_sql('qid', 'bucket', '42')} + 1) / 4294967297.0)"
 measured("random_sharding_latency", f"SELECT fanout, count(*) AS queries, round(avg(latency), 6) AS latency FROM (SELECT qid, count(*) AS fanout, max({_DRAW} + 0.01 * cnt) AS latency FROM share GROUP BY qid) WHERE fanout <= 35 GROUP BY fanout", lambda e, a: experiments.sharded_traffic(e, a), k=40)
 
 
+@query("store_random_k40", sql.over("cust_part", 40, f"SELECT fanout, count(*) AS queries, round(avg(latency), 6) AS latency FROM (SELECT qid, count(*) AS fanout, max({_DRAW} + 0.01 * cnt) AS latency FROM share WHERE {coin_sql('qid', '42')} < {1 << 31} GROUP BY qid) WHERE fanout <= 35 GROUP BY fanout"))
+def _store_random(s, d):
+    """Sampled traffic on 40 servers with records at random: latency by fanout."""
+    return experiments.sharded_traffic(*placed(s, d, "cust_part", 40), rate=0.5)
+
+
+@query(
+    "store_partitioned_k40",
+    sql.unrolled("cust_part", 40, 2, arity=2, lookahead=True, body=f"SELECT fanout, count(*) AS queries, round(avg(latency), 6) AS latency FROM (SELECT qid, count(*) AS fanout, max({_DRAW} + 0.01 * cnt) AS latency FROM (SELECT qid, bucket, count(*) AS cnt FROM edge JOIN assign USING (vid) WHERE {coin_sql('qid', '42')} < {1 << 31} GROUP BY qid, bucket) GROUP BY qid) WHERE fanout <= 35 GROUP BY fanout"),
+)
+def _store_partitioned(s, d):
+    """The same traffic on the same servers after a bisection of two turns a level."""
+    edges = graph(s, d, "cust_part")
+    return experiments.sharded_traffic(edges, plans.partition(edges, _BARE.but(k=40, arity=2, lookahead=True, iterations=2)).assign, rate=0.5)
+
+
 @query("partitioned_latency")
 def _partitioned_latency(s, d):
     """The same traffic after partitioning: fanout, and so latency, move down."""
@@ -197,17 +214,47 @@ def _slack(s, d):
     return refine.slack_moves(ex, sizes).select("src", "dst", "gbin", "candidates", "admitted")
 
 
-@query("delta_counts", f"{_UP}, a2 AS (SELECT s.vid, coalesce(p.dst, s.bucket) AS bucket FROM s_0 s LEFT JOIN (SELECT * FROM prop_0 WHERE vid % 7 = 0) p USING (vid)) SELECT qid, bucket, count(*) AS cnt FROM edge JOIN a2 USING (vid) GROUP BY qid, bucket")
+_MOVES = f"{_UP}, {sql.plain('0')}, {sql.moved('0', '1', SEED, 1, 1, 'plain')}, mv AS (SELECT vid, a.bucket AS src, b.bucket AS dst FROM s_0 a JOIN s_1 b USING (vid) WHERE a.bucket <> b.bucket)"
+
+
+def _moves(s, d):
+    """The moves (vid, parent, src, dst) of the first turn."""
+    proposals = _proposals(s, d)
+    taken = refine.accepted(proposals, refine.swap_probability(refine.exchange_matrix(proposals)), SEED, 1, 1).select("vid")
+    return proposals.join(taken, "vid", "left_semi").select("vid", "parent", "src", "dst")
+
+
+query("accepted_moves", f"{_MOVES} SELECT vid, src, dst FROM mv")(lambda s, d: _moves(s, d).select("vid", "src", "dst"))
+
+
+@query("delta_counts", f"{_MOVES} SELECT qid, bucket, count(*) AS cnt FROM edge JOIN s_1 USING (vid) GROUP BY qid, bucket")
 def _delta(s, d):
-    """Shares after some moves by signed deltas; the SQL counts them anew."""
+    """Shares after the first turn's moves by signed deltas; the SQL counts them anew."""
     e, st = _state(s, d)
-    moves = _proposals(s, d).where("vid % 7 = 0").select("vid", "src", "dst")
-    return refine.delta_counts(measures.share(e, st.select("vid", "bucket")), e, moves)
+    return refine.delta_counts(measures.share(e, st.select("vid", "bucket")), e, _moves(s, d))
 
 
-@query("dirty_vertices", f"{_UP} SELECT DISTINCT vid FROM edge WHERE qid IN (SELECT qid FROM edge WHERE vid IN (SELECT vid FROM prop_0 WHERE vid % 97 = 0))")
+@query("dirty_vertices", f"{_MOVES} SELECT DISTINCT vid FROM edge WHERE qid IN (SELECT qid FROM edge WHERE vid IN (SELECT vid FROM mv))")
 def _dirty(s, d):
-    return refine.dirty_vertices(graph(s, d, "order_part"), _proposals(s, d).where("vid % 97 = 0"))
+    return refine.dirty_vertices(graph(s, d, "order_part"), _moves(s, d))
+
+
+@query("changed_counts", f"{_MOVES}, n AS (SELECT qid, bucket, count(*) AS cnt FROM edge JOIN s_1 USING (vid) GROUP BY qid, bucket) SELECT qid, coalesce(o.bucket, n.bucket) AS bucket, coalesce(o.cnt, 0)::BIGINT AS old, coalesce(n.cnt, 0)::BIGINT AS new FROM share_0 o FULL JOIN n USING (qid, bucket) WHERE coalesce(o.cnt, 0) <> coalesce(n.cnt, 0)")
+def _changed(s, d):
+    e, st = _state(s, d)
+    return refine.changed_counts(refine.neighbor_counts(e, st), e, _moves(s, d)).select("qid", "bucket", "old", "new")
+
+
+@query("updated_targets", f"{_MOVES}, {sql.gains(Kernel(), '1')}, {sql.proposals('1')} SELECT vid, src, dst, gain_fx FROM prop_1")
+def _updated(s, d):
+    """Proposals after the first turn's moves from updated shares and parts; the SQL counts all anew."""
+    e, st = _state(s, d)
+    e, moves, shares = stored(e, "edges"), stored(_moves(s, d), "moves"), refine.neighbor_counts(e, st)
+    parts = refine.gain_parts(refine.spread_counts(e, st, shares), Kernel())
+    after = refine.apply_moves(st, moves.select("vid", "dst")).drop("moved")
+    changed = refine.changed_counts(shares, e, moves)
+    new = refine.updated_parts(parts, e, after, moves, changed, refine.updated_counts(shares, changed), Kernel(), lambda rows: rows)
+    return refine.best_of_parts(new).select("vid", "src", "dst", "gain_fx")
 
 
 @query("gain_state", f"WITH {sql.edge('order_part')}, {_STATE}, {sql.gains(Kernel(), '0')} SELECT vid, src, dst, round(gain_fx / 1099511627776.0 * 0.5, 6) AS gain FROM gain_0")
@@ -224,7 +271,8 @@ _BARE = PartitionSpec(k=K, repair=False, keep_best=False, prune=False)
 
 
 def unrolled(name: str, key: str, spec: PartitionSpec, turns: int, **more):
-    text = sql.unrolled(key, spec.k, turns, spec.objective, spec.p, spec.arity, spec.lookahead, spec.exchange, **more)
+    free = spec.nonpositive and spec.exchange != "plain"
+    text = sql.unrolled(key, spec.k, turns, spec.objective, spec.p, spec.arity, spec.lookahead, spec.exchange, nonpositive=free, room=spec.eps if spec.slack else None, **more)
     query(name, text)(lambda s, d: plans.partition(graph(s, d, key), spec.but(iterations=turns)).assign)
 
 
@@ -239,6 +287,20 @@ unrolled("direct_ranked_t2", "order_part", _BARE.but(exchange="ranked"), 2)
 unrolled("direct_hist_t2", "order_part", _BARE.but(exchange="histogram"), 2)
 
 
+unrolled("bisect_k6_uneven_t2", "brand_cart", _BARE.but(k=6, arity=2, lookahead=True), 2)
+unrolled("nonpositive_k4_t2", "order_part", _BARE.but(k=4, exchange="histogram", nonpositive=True), 2)
+unrolled("advanced_direct_k6_t2", "brand_cart", _BARE.but(k=6, exchange="histogram", nonpositive=True, slack=True), 2)
+unrolled("advanced_bisect_k4_t2", "brand_cart", _BARE.but(k=4, arity=2, lookahead=True, exchange="histogram", nonpositive=True, slack=True), 2)
+unrolled("advanced_bisect_k6_t1", "brand_cart", _BARE.but(k=6, arity=2, lookahead=True, exchange="histogram", nonpositive=True, slack=True), 1)
+unrolled("recursive_r3_k9_clique_t1", "order_part", _BARE.but(k=9, arity=3, objective="clique"), 1)
+
+
+@query("updates_from_the_first_turn", sql.unrolled("order_part", K, 3))
+def _reused(s, d):
+    """Three turns in which shares and gains are updated, never counted anew."""
+    return plans.partition(graph(s, d, "order_part"), _BARE.but(iterations=3, reuse=1.0)).assign
+
+
 @query("incremental_t2", sql.unrolled("order_part", K, 2, damp=0.5, penalty=1 << 38, start="home"))
 def _incremental(s, d):
     e, a = placed(s, d, "order_part")
@@ -309,7 +371,12 @@ query("convergence_trace")(lambda s, d: experiments.convergence(s, graph(s, d, "
 query("p_sweep")(lambda s, d: experiments.p_sweep(s, graph(s, d, "brand_cart"), (0.2, 0.5, 0.8, 1.0), (4,), PartitionSpec(arity=2, iterations=3, lookahead=True)))
 query("objective_ablation")(lambda s, d: experiments.objective_ablation(s, {"brand_cart": graph(s, d, "brand_cart")}, (4,), PartitionSpec(arity=2, iterations=3, lookahead=True)))
 query("exchange_ablation")(lambda s, d: experiments.exchange_ablation(s, graph(s, d, "brand_cart"), PartitionSpec(k=4, arity=2, iterations=2)))
-query("quality_grid")(lambda s, d: experiments.quality_grid(s, {"order_part": graph(s, d, "order_part"), "brand_cart": graph(s, d, "brand_cart")}, ("direct", "bisect", "clique_net", "random"), (2, 8), PartitionSpec(iterations=3)))
+def _with_relative(grid: DataFrame) -> DataFrame:
+    return grid.join(experiments.quality_relative(grid).select("graph", "method", "k", "excess", "reduction"), ["graph", "method", "k"], "left")
+
+
+query("scaling_tasks")(lambda s, d: experiments.scaling_tasks(s, graph(s, d, "brand_cart"), (1, 2, 4), PartitionSpec(k=4, arity=2, iterations=2)))
+query("quality_grid")(lambda s, d: _with_relative(experiments.quality_grid(s, {"order_part": graph(s, d, "order_part"), "brand_cart": graph(s, d, "brand_cart")}, ("direct", "bisect", "clique_net", "random"), (2, 8), PartitionSpec(iterations=3))))
 query("scaling_edges")(lambda s, d: experiments.scaling_edges(s, {x: graph(s, d, x) for x in ("hour_user", "cust_part")}, (2, 8), PartitionSpec(arity=2, iterations=2)))
 query("runtime_grid")(lambda s, d: experiments.runtime_grid(s, {"cust_part": graph(s, d, "cust_part")}, ("direct", "bisect"), (32,), PartitionSpec(iterations=2)))
 
@@ -335,10 +402,33 @@ _PAIRS = f"WITH {sql.edge('order_part')}, w AS MATERIALIZED (SELECT x.vid AS u,
 query("clique_graph_topm", f"{_PAIRS}, e AS (SELECT u, v, w, u AS e FROM w UNION ALL SELECT u, v, w, v FROM w), r AS (SELECT *, row_number() OVER (PARTITION BY e ORDER BY w DESC, u, v) AS r FROM e) SELECT DISTINCT u, v, w FROM r WHERE r <= 5")(lambda s, d: baselines.clique_graph(graph(s, d, "order_part"), top_m=5))
 query("clique_graph_sampled", f"{_PAIRS} SELECT u, v, CAST(round(w / 0.25) AS BIGINT) AS w FROM w WHERE {coin_sql('u', 'v', '42')} < {1 << 30}")(lambda s, d: baselines.clique_graph(graph(s, d, "order_part"), keep=0.25))
 query("clique_graph_min_weight", f"{_PAIRS} SELECT u, v, w FROM w WHERE w >= 2")(lambda s, d: baselines.clique_graph(graph(s, d, "order_part"), min_weight=2))
-query("kl_serial_toy")(lambda s, d: measures.avg_fanout(workloads.toy_trap(s), baselines.kl_serial(workloads.toy_trap(s), 2)))
-query("exhaustive_toy", "SELECT CAST(4 AS BIGINT) AS total")(lambda s, d: baselines.exhaustive(workloads.toy_trap(s), 2, 0.0))
-query("gen_planted_fanout")(lambda s, d: (lambda g: measures.avg_fanout(build.prune_trivial(g[0]), g[1]))(generate.gen_planted(s, 1000, 8, 4000, 6, 0.1)))
-query("gen_friendship_stats")(lambda s, d: build.graph_stats(build.prune_trivial(generate.gen_friendship(s, 1000, 30))))
+_TRAP = (
+    "WITH e(qid, vid) AS (VALUES (1, 1), (1, 2), (1, 5), (1, 6), (2, 3), (2, 4), (2, 5), (2, 6), (3, 3), (3, 4), (3, 7), (3, 8)), m AS (SELECT unnest(range(256)) AS m), "
+    "f AS (SELECT m, qid, count(DISTINCT (m >> (vid - 1)) & 1) AS f FROM m CROSS JOIN e WHERE bit_count(m) = 4 GROUP BY m, qid), t AS (SELECT sum(f) AS total FROM f GROUP BY m)"
+)
+query("kl_serial_toy", f"{_TRAP} SELECT CAST(3 AS BIGINT) AS queries, round(min(total) / 3, 6) AS fanout FROM t")(lambda s, d: measures.avg_fanout(workloads.toy_trap(s), baselines.kl_serial(workloads.toy_trap(s), 2)))
+query("exhaustive_toy", f"{_TRAP} SELECT CAST(min(total) AS BIGINT) AS total FROM t")(lambda s, d: baselines.exhaustive(workloads.toy_trap(s), 2, 0.0))
+query(
+    "gen_planted_fanout",
+    f"WITH raw AS (SELECT DISTINCT q AS qid, CASE WHEN {coin_sql('q', 'i', '42', '1')} < {int(0.1 * (1 << 32))} THEN {coin_sql('q', 'i', '42', '2')} % 1000 ELSE least(q % 8 * 125 + {coin_sql('q', 'i', '42')} % 125, 999) END AS vid FROM range(4000) a(q) CROSS JOIN range(1, 7) b(i)), "
+    "edge AS (SELECT * FROM raw WHERE qid IN (SELECT qid FROM raw GROUP BY qid HAVING count(*) > 1)) SELECT count(*) AS queries, round(avg(f), 6) AS fanout FROM (SELECT qid, count(DISTINCT least(vid // 125, 7)) AS f FROM edge GROUP BY qid)",
+)(lambda s, d: (lambda g: measures.avg_fanout(build.prune_trivial(g[0]), g[1]))(generate.gen_planted(s, 1000, 8, 4000, 6, 0.1)))
+query(
+    "gen_friendship_stats",
+    f"WITH named AS (SELECT a, CASE WHEN {coin_sql('a', 'i', '42', '2')} < {int(0.1 * (1 << 32))} THEN {coin_sql('a', 'i', '42', '1')} % 1000 ELSE least(a - a % 100 + {coin_sql('a', 'i', '42')} % 100, 999) END AS b FROM range(1000) x(a) CROSS JOIN range(1, 16) y(i)), "
+    "raw AS (SELECT DISTINCT qid, vid FROM (SELECT a AS qid, b AS vid FROM named UNION ALL SELECT b, a FROM named) WHERE qid <> vid), edge AS (SELECT * FROM raw WHERE qid IN (SELECT qid FROM raw GROUP BY qid HAVING count(*) > 1)), d AS (SELECT qid, count(*) AS d FROM edge GROUP BY qid) "
+    "SELECT count(*) AS queries, (SELECT count(DISTINCT vid) FROM edge) AS data, CAST(sum(d) AS BIGINT) AS edges, max(d) AS max_degree, round(avg(d), 6) AS avg_degree FROM d",
+)(lambda s, d: build.graph_stats(build.prune_trivial(generate.gen_friendship(s, 1000, 30))))
+query(
+    "cut_refine_t1",
+    f"{_PAIRS}, {sql.assign(8, name='a0')}, ends AS (SELECT u AS vid, v AS o, w FROM w UNION ALL SELECT v, u, w FROM w), far AS (SELECT x.vid, a.bucket AS b, sum(w) AS w FROM ends x JOIN a0 a ON a.vid = x.o GROUP BY x.vid, a.bucket), "
+    "gain AS (SELECT a.vid, a.bucket AS src, f.b AS dst, f.w - coalesce(h.w, 0) AS g FROM a0 a JOIN far f ON f.vid = a.vid AND f.b <> a.bucket LEFT JOIN far h ON h.vid = a.vid AND h.b = a.bucket), "
+    "prop AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY vid ORDER BY g DESC, dst) AS r FROM gain) WHERE r = 1 AND g > 0), ex AS (SELECT src, dst, count(*) AS c FROM prop GROUP BY src, dst), "
+    f"th AS (SELECT x.src, x.dst, (least(x.c, coalesce(y.c, 0))::HUGEINT * {1 << 32}) // x.c AS threshold FROM ex x LEFT JOIN ex y ON y.src = x.dst AND y.dst = x.src), "
+    f"a1 AS (SELECT a.vid, coalesce(m.dst, a.bucket) AS bucket FROM a0 a LEFT JOIN (SELECT p.vid, p.dst FROM prop p JOIN th USING (src, dst) WHERE {coin_sql('p.vid', '42', '1', '1')} < threshold) m USING (vid)), "
+    "cut AS (SELECT sum(w) FILTER (WHERE x0.bucket <> y0.bucket) AS before, sum(w) FILTER (WHERE x1.bucket <> y1.bucket) AS after FROM w JOIN a0 x0 ON x0.vid = u JOIN a0 y0 ON y0.vid = v JOIN a1 x1 ON x1.vid = u JOIN a1 y1 ON y1.vid = v) "
+    "SELECT a0.vid, CAST(CASE WHEN after < before THEN a1.bucket ELSE a0.bucket END AS INTEGER) AS bucket FROM a0 JOIN a1 USING (vid) CROSS JOIN cut",
+)(lambda s, d: multilevel.cut_refine(baselines.clique_graph(graph(s, d, "order_part")), PartitionSpec(k=8, iterations=1)).assign.select("vid", "bucket"))
 
 # published results as a table
 
@@ -439,7 +529,7 @@ def _bins(s, d):
     return s.range(-1000, 1001, 7).select(F.col("id").alias("g"), gain_bin(F.col("id")).alias("gbin"))
 
 
-# streams over the events, run to their end on files in the order of time
+# streams over the events, run to their end on files in the order of time; a last event without key, days later, moves the watermark past all windows but its own
 
 def _stream(s, d, plan, mode: str = "append") -> DataFrame:
     import uuid
@@ -450,8 +540,14 @@ def _stream(s, d, plan, mode: str = "append") -> DataFrame:
     root = f"{shared_dir(s)}/streams/{uuid.uuid4().hex}"
     events = table(s, d, "events").select(F.col("event_id").cast("long"), "ts", F.col("user_id").cast("long"), "event_type", "value", "props")
     events.repartitionByRange(4, "ts").sortWithinPartitions("ts").write.parquet(f"{root}/in")
+    close = events.agg((F.max("ts") + F.expr("INTERVAL 9 DAYS")).alias("ts"), F.min("user_id").alias("user_id"))
+    close.select(F.lit(None).cast("long").alias("event_id"), "ts", "user_id", F.lit(None).cast("string").alias("event_type"), F.lit(None).cast("double").alias("value"), F.lit(None).cast("string").alias("props")).coalesce(1).write.mode("append").parquet(f"{root}/in")
     out = plan(traffic, traffic.edge_stream(s, f"{root}/in", 4))
-    run = out.writeStream.format("parquet").option("path", f"{root}/out").option("checkpointLocation", f"{root}/state").outputMode(mode).trigger(availableNow=True).start()
+    sink = out.writeStream.option("checkpointLocation", f"{root}/state").outputMode(mode).trigger(availableNow=True)
+    if mode == "append":
+        run = sink.format("parquet").option("path", f"{root}/out").start()
+    else:  # a table per batch, which a batch that is run again replaces
+        run = sink.foreachBatch(lambda batch, number: batch.write.mode("overwrite").parquet(f"{root}/out/batch={number}")).start()
     run.awaitTermination()
     return s.read.schema(out.schema).parquet(f"{root}/out")
 
@@ -460,10 +556,32 @@ def _users(s, d):
     return refine.init_random(table(s, d, "events").select(F.col("user_id").cast("long").alias("vid")).distinct(), 8)
 
 
-query("stream_tumbling")(lambda s, d: _stream(s, d, lambda t, e: t.windowed_fanout(e, _users(s, d))))
-query("stream_sliding")(lambda s, d: _stream(s, d, lambda t, e: t.windowed_fanout(e, _users(s, d), "2 hours", "30 minutes")))
-query("stream_sessions")(lambda s, d: _stream(s, d, lambda t, e: t.session_edges(e)))
-query("stream_dedup")(lambda s, d: _stream(s, d, lambda t, e: t.deduplicated(e)))
+_SECONDS = "CAST(epoch(date_trunc('second', ts)) AS BIGINT)"
+_PLACED = f"p AS (SELECT {_SECONDS} AS s, ts, user_id AS vid, CAST(json_extract(props, '$.k') AS BIGINT) AS key, {coin_sql('user_id', '42')} % 8 AS bucket, event_id FROM events WHERE user_id IS NOT NULL)"
+
+
+def _windows(df: DataFrame) -> DataFrame:
+    return df.withColumn("start", F.unix_seconds("start")).withColumn("end", F.unix_seconds("end"))
+
+
+query("stream_tumbling", f"WITH {_PLACED} SELECT s // 3600 * 3600 AS start, s // 3600 * 3600 + 3600 AS end, count(DISTINCT bucket) AS fanout, count(*) AS events FROM p GROUP BY 1, 2")(
+    lambda s, d: _windows(_stream(s, d, lambda t, e: t.windowed_fanout(e, _users(s, d)))).withColumn("fanout", F.col("fanout").cast("long"))
+)
+query("stream_sliding", f"WITH {_PLACED} SELECT w AS start, w + 7200 AS end, count(DISTINCT bucket) AS fanout, count(*) AS events FROM (SELECT *, s // 1800 * 1800 - 1800 * unnest(range(4)) AS w FROM p) GROUP BY 1, 2")(
+    lambda s, d: _windows(_stream(s, d, lambda t, e: t.windowed_fanout(e, _users(s, d), "2 hours", "30 minutes"))).withColumn("fanout", F.col("fanout").cast("long"))
+)
+query(
+    "stream_sessions",
+    f"WITH {_PLACED}, g AS (SELECT *, CASE WHEN ts <= lag(ts) OVER (PARTITION BY vid ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM p), n AS (SELECT *, sum(new) OVER (PARTITION BY vid ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS number FROM g) "
+    "SELECT CAST(epoch(date_trunc('second', min(ts))) AS BIGINT) AS start, vid, string_agg(DISTINCT CAST(key AS VARCHAR), ',' ORDER BY CAST(key AS VARCHAR)) AS members FROM n GROUP BY vid, number",
+)(lambda s, d: _stream(s, d, lambda t, e: t.session_edges(e.where("vid is not null"))).select(F.unix_seconds("start").alias("start"), "vid", F.array_join(F.array_sort(F.transform("members", lambda x: x.cast("string"))), ",").alias("members")))
+query("stream_dedup", f"WITH {_PLACED} SELECT DISTINCT key, vid FROM p WHERE key IS NOT NULL")(lambda s, d: _stream(s, d, lambda t, e: t.deduplicated(e)).where("vid is not null and key is not null").select("key", "vid"))
+query("stream_state", f"WITH {_PLACED} SELECT key AS qid, count(DISTINCT bucket) AS fanout FROM p WHERE key IS NOT NULL GROUP BY key")(
+    lambda s, d: _stream(s, d, lambda t, e: t.stateful_share(e, _users(s, d)), "update").groupBy("qid").agg(F.max("fanout").alias("fanout"))
+)
+query("stream_interval_join", f"WITH {_PLACED} SELECT event_id AS a_id, event_id % 20 * 60000000 AS micros FROM p WHERE event_id % 20 <= 10")(
+    lambda s, d: _stream(s, d, lambda t, e: t.reply_latency(e.where("event_id is not null"), e.where("event_id is not null").select("event_id", (F.col("ts") + F.make_dt_interval(mins=(F.col("event_id") % 20).cast("int"))).alias("ts"))))
+)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

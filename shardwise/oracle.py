@@ -53,18 +53,34 @@ def over(key: str, k: int, body: str, *more: str, seed: int = 42) -> str:
     return "WITH " + ", ".join([edge(key), assign(k, seed), SHARE, FAN, *more]) + " " + body
 
 
-def gains(kernel: Kernel, i: str, t: int = 1) -> str:
-    """CTEs share_i, part_i and gain_i over state s_i(vid, parent, bucket)."""
+def _by_size(t: int | dict[int, int], f) -> str:
+    """f(t), or a case over buckets whose numbers of final buckets differ."""
+    if isinstance(t, int):
+        return f(t)
+    sizes = sorted(set(t.values()))
+    if len(sizes) == 1:
+        return f(sizes[0])
+    return "CASE " + " ".join(f"WHEN h.bucket IN ({', '.join(str(b) for b, x in t.items() if x == size)}) THEN {f(size)}" for size in sizes) + " END"
+
+
+def gains(kernel: Kernel, i: str, t: int | dict[int, int] = 1, children: list[tuple[int, int]] | None = None) -> str:
+    """CTEs share_i, part_i and gain_i over state s_i(vid, parent, bucket). children: (parent, bucket) of all candidates, if unused ones count too."""
     idle = kernel.idle
+    leave, arrive = _by_size(t, lambda x: kernel.leave_sql("h.cnt", x)), _by_size(t, lambda x: kernel.arrive_sql("h.cnt", x))
+    if children:
+        values = ", ".join(map(str, children))
+        gain = f"SELECT o.vid, o.parent, o.src, c.b AS dst, o.part + coalesce(p.part, 0) AS gain_fx FROM part_{i} o JOIN (VALUES {values}) c(parent, b) ON c.parent = o.parent AND c.b <> o.src LEFT JOIN part_{i} p ON p.vid = o.vid AND p.b = c.b WHERE o.b = o.src"
+    else:
+        gain = f"SELECT p.vid, p.parent, p.src, p.b AS dst, p.part + o.part AS gain_fx FROM part_{i} p JOIN part_{i} o ON o.vid = p.vid AND o.b = o.src WHERE p.b <> p.src"
     return (
         f"share_{i} AS MATERIALIZED (SELECT qid, parent, bucket, count(*) AS cnt FROM edge JOIN s_{i} USING (vid) GROUP BY qid, parent, bucket), "
-        f"part_{i} AS MATERIALIZED (SELECT e.vid, s.parent, s.bucket AS src, h.bucket AS b, CAST(sum(CASE WHEN h.bucket = s.bucket THEN {kernel.leave_sql('h.cnt', t)} - {idle} ELSE {idle} - ({kernel.arrive_sql('h.cnt', t)}) END) AS BIGINT) AS part "
+        f"part_{i} AS MATERIALIZED (SELECT e.vid, s.parent, s.bucket AS src, h.bucket AS b, CAST(sum(CASE WHEN h.bucket = s.bucket THEN {leave} - {idle} ELSE {idle} - ({arrive}) END) AS BIGINT) AS part "
         f"FROM edge e JOIN s_{i} s USING (vid) JOIN share_{i} h ON h.qid = e.qid AND h.parent = s.parent GROUP BY e.vid, s.parent, s.bucket, h.bucket), "
-        f"gain_{i} AS MATERIALIZED (SELECT p.vid, p.parent, p.src, p.b AS dst, p.part + o.part AS gain_fx FROM part_{i} p JOIN part_{i} o ON o.vid = p.vid AND o.b = o.src WHERE p.b <> p.src)"
+        f"gain_{i} AS MATERIALIZED ({gain})"
     )
 
 
-def proposals(i: str, penalty: int = 0) -> str:
+def proposals(i: str, penalty: int = 0, nonpositive: bool = False) -> str:
     source = f"gain_{i}"
     extra = ""
     if penalty:
@@ -72,7 +88,7 @@ def proposals(i: str, penalty: int = 0) -> str:
         source = f"pen_{i}"
     return extra + (
         f"prop_{i} AS MATERIALIZED (SELECT vid, parent, src, dst, gain_fx, CASE WHEN gain_fx > 0 THEN length(bin(gain_fx)) WHEN gain_fx < 0 THEN -length(bin(-gain_fx)) ELSE 0 END AS gbin FROM "
-        f"(SELECT *, row_number() OVER (PARTITION BY vid ORDER BY gain_fx DESC, dst) AS r FROM {source}) WHERE r = 1 AND gain_fx > 0)"
+        f"(SELECT *, row_number() OVER (PARTITION BY vid ORDER BY gain_fx DESC, dst) AS r FROM {source}) WHERE r = 1{'' if nonpositive else ' AND gain_fx > 0'})"
     )
 
 
@@ -83,15 +99,30 @@ def plain(i: str) -> str:
     )
 
 
-def histogram(i: str) -> str:
+def histogram(i: str, nonpositive: bool = False) -> str:
+    """Bins of opposite directions paired from the top; with nonpositive gains only pairs whose mean gains add up to more than zero."""
+    both = " AND a.g * b.c + b.g * a.c > 0" if nonpositive else ""
     return (
         f"ex_{i} AS (SELECT src, dst, gbin, count(*) AS c, sum(gain_fx)::HUGEINT AS g FROM prop_{i} GROUP BY src, dst, gbin), "
         f"iv_{i} AS (SELECT *, sum(c) OVER (PARTITION BY src, dst ORDER BY gbin DESC) AS hi FROM ex_{i}), "
-        f"ov_{i} AS (SELECT a.src, a.dst, a.gbin, sum(least(a.hi, b.hi) - greatest(a.hi - a.c, b.hi - b.c)) AS adm FROM iv_{i} a JOIN iv_{i} b ON b.src = a.dst AND b.dst = a.src AND a.hi - a.c < b.hi AND b.hi - b.c < a.hi GROUP BY a.src, a.dst, a.gbin), "
+        f"ov_{i} AS (SELECT a.src, a.dst, a.gbin, sum(least(a.hi, b.hi) - greatest(a.hi - a.c, b.hi - b.c)) AS adm FROM iv_{i} a JOIN iv_{i} b ON b.src = a.dst AND b.dst = a.src AND a.hi - a.c < b.hi AND b.hi - b.c < a.hi{both} GROUP BY a.src, a.dst, a.gbin), "
         f"th_{i} AS MATERIALIZED (SELECT e.src, e.dst, e.gbin, e.c AS candidates, e.g AS gain_sum, coalesce(o.adm, 0) AS admitted, CAST((coalesce(o.adm, 0)::HUGEINT * {FULL}) // e.c AS BIGINT) AS threshold FROM ex_{i} e LEFT JOIN ov_{i} o USING (src, dst, gbin))"
     )
 
 
+def slack(i: str, caps: list[tuple[int, int, int, int]], k: int, eps: float, eps_level: float) -> str:
+    """th_i with unpaired candidates that fill the room of their targets; caps: (parent, bucket, final buckets of the bucket, of the parent)."""
+    n = "(SELECT count(*) FROM p_1)"
+    last = f"greatest(floor(CAST({1 + eps!r} AS DOUBLE) * {n} / {k} + 1e-9), ceil({n} / {k}))"
+    cap = f"least(x * {last}, greatest(floor(CAST({1 + eps_level!r} AS DOUBLE) * {n} * x / {k} + 1e-9), ceil(coalesce(z.held, 0) * x / t)))"
+    return (
+        f"cap_{i} AS (SELECT c.b AS bucket, CAST({cap} AS BIGINT) AS cap FROM (VALUES {', '.join(map(str, caps))}) c(parent, b, x, t) LEFT JOIN (SELECT parent, count(*) AS held FROM s_{i} GROUP BY parent) z ON z.parent = c.parent), "
+        f"sp_{i} AS (SELECT h.*, greatest(c.cap - coalesce(z.size, 0), 0) AS room, CASE WHEN gbin > 0 THEN candidates - admitted ELSE 0 END AS spare FROM th0_{i} h JOIN cap_{i} c ON c.bucket = h.dst LEFT JOIN (SELECT bucket, count(*) AS size FROM s_{i} GROUP BY bucket) z ON z.bucket = h.dst), "
+        f"sq_{i} AS (SELECT *, coalesce(sum(spare) OVER (PARTITION BY dst ORDER BY gbin DESC, src ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM sp_{i}), "
+        f"th_{i} AS MATERIALIZED (SELECT src, dst, gbin, candidates, CAST(((admitted + greatest(least(spare, room - before), 0))::HUGEINT * {FULL}) // candidates AS BIGINT) AS threshold FROM sq_{i})"
+    )
+
+
 def moved(i: str, j: str, seed: int, level: int, turn: int, kind: str, damp: float = 1.0) -> str:
     """State s_j after the moves of s_i's proposals."""
     if kind == "ranked":
@@ -104,13 +135,14 @@ def moved(i: str, j: str, seed: int, level: int, turn: int, kind: str, damp: flo
     return f"s_{j} AS MATERIALIZED (SELECT s.vid, s.parent, coalesce(m.dst, s.bucket) AS bucket FROM s_{i} s LEFT JOIN ({ok}) m USING (vid))"
 
 
-def unrolled(key: str, k: int, turns: int, objective: str = "pfanout", p: float = 0.5, arity: int | None = None, lookahead: bool = False, kind: str = "plain", seed: int = 42, damp: float = 1.0, penalty: int = 0, start: str | None = None) -> str:
-    """(vid, bucket) after so many iterations per level."""
+def unrolled(key: str, k: int, turns: int, objective: str = "pfanout", p: float = 0.5, arity: int | None = None, lookahead: bool = False, kind: str = "plain", seed: int = 42, damp: float = 1.0, penalty: int = 0, start: str | None = None, nonpositive: bool = False, room: float | None = None, body: str = "SELECT vid, CAST(bucket AS INTEGER) AS bucket FROM assign") -> str:
+    """body over edge and assign(vid, bucket), the state after so many iterations per level. room: the allowance that one-way moves may use."""
     kernel = Kernel(objective, p)
     parts, state = [edge(key), "p_1 AS (SELECT DISTINCT vid, 0 AS parent FROM edge)"], None
     if penalty or start:
         parts.append(assign(k, seed, "home"))
-    for level, split in enumerate(level_plan(k, arity), start=1):
+    plan = level_plan(k, arity)
+    for level, split in enumerate(plan, start=1):
         cases = []
         for (first, t), children in split:
             at = 0
@@ -122,13 +154,21 @@ def unrolled(key: str, k: int, turns: int, objective: str = "pfanout", p: float
             parts.append(f"s_{name} AS MATERIALIZED (SELECT vid, 0 AS parent, bucket FROM home)")
         else:
             parts.append(f"s_{name} AS MATERIALIZED (SELECT vid, parent, CAST(CASE {' '.join(cases)} END AS INTEGER) AS bucket FROM (SELECT *, {coin_sql('vid', str(seed), str(level))} AS c FROM p_{level}))")
-        t = split[0][1][0][1] if lookahead else 1
+        t = {c: size for _, children in split for c, size in children} if lookahead else 1
+        every = [(first, c) for (first, _), children in split for c, _ in children] if nonpositive else None
         for turn in range(1, turns + 1):
             nxt = f"{level}_{turn}"
-            parts += [gains(kernel, name, t), proposals(name, penalty)]
-            parts += [plain(name)] if kind == "plain" else [histogram(name)] if kind == "histogram" else []
+            parts += [gains(kernel, name, t, every), proposals(name, penalty, nonpositive)]
+            if kind == "plain":
+                parts.append(plain(name))
+            elif kind == "histogram" and room is None:
+                parts.append(histogram(name, nonpositive))
+            elif kind == "histogram":
+                caps = [(first, c, size, total) for (first, total), children in split for c, size in children]
+                parts += [histogram(name, nonpositive).replace(f"th_{name} AS", f"th0_{name} AS"), slack(name, caps, k, room, room * level / len(plan))]
             parts.append(moved(name, nxt, seed, level, turn, kind, damp))
             name = nxt
         parts.append(f"p_{level + 1} AS MATERIALIZED (SELECT vid, bucket AS parent FROM s_{name})")
         state = name
-    return "WITH " + ", ".join(parts) + f" SELECT vid, CAST(bucket AS INTEGER) AS bucket FROM s_{state}"
+    parts.append(f"assign AS MATERIALIZED (SELECT vid, CAST(bucket AS INTEGER) AS bucket FROM s_{state})")
+    return "WITH " + ", ".join(parts) + " " + body

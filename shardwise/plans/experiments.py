@@ -5,6 +5,7 @@ from __future__ import annotations
 import concurrent.futures
 import math
 import time
+import uuid
 from collections.abc import Callable, Iterable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -13,22 +14,36 @@ from pyspark.sql import functions as F
 from ..functions.coin import FULL, coin
 from ..model import RESULT, PartitionResult, PartitionSpec
 from ..operators import baselines, measures, refine
-from ..session import forget
+from ..session import forget, stored
 from .multilevel import multilevel
 from .partition import partition, repartition
 
 FANOUTS = (1, 2, 5, 10, 20, 35, 40)
 
 
+def _in_parts(rows: DataFrame, value: str, parts: int = 256) -> DataFrame:
+    """Rows with a column part that grows with value, from approximate quantiles: a running sum needs no task that sees all rows."""
+    cuts = rows.agg(F.percentile_approx(value, [i / parts for i in range(1, parts)], 10_000).alias("_cuts"))
+    return rows.crossJoin(F.broadcast(cuts)).withColumn("part", F.size(F.filter("_cuts", lambda x: x < F.col(value)))).drop("_cuts")
+
+
+def _running(rows: DataFrame, order: list[str], weight) -> DataFrame:
+    """rows(part, ...) with hi, the sum of weight up to and with each row in the order of part and order: sums of parts give the offsets."""
+    sums = rows.groupBy("part").agg(F.sum(weight).alias("_s"))  # as many rows as parts
+    before = F.sum("_s").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1))
+    offsets = sums.select("part", F.coalesce(before, F.lit(0)).alias("_o"))
+    own = F.sum(weight).over(Window.partitionBy("part").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0))
+    return rows.withColumn("_own", own).join(F.broadcast(offsets), "part").withColumn("hi", F.col("_o") + F.col("_own")).drop("_own", "_o", "part")
+
+
 def latency_exact(latencies: DataFrame, fanouts: Iterable[int] = FANOUTS, percentiles: Iterable[float] = (0.5, 0.9, 0.95, 0.99)) -> DataFrame:
     """latencies(value) of single calls: exact mean and percentiles of the largest of f independent ones.
 
-    Values are grouped with their counts, so the ranks come from a running sum over distinct values.
+    Values are grouped with their counts, so the ranks come from a running sum over distinct values, part by part.
     """
     counts = latencies.where("value is not null").groupBy("value").agg(F.count("*").alias("c"))
     n = counts.agg(F.sum("c").alias("n"))
-    up = Window.orderBy("value")
-    ranked = counts.withColumn("hi", F.sum("c").over(up)).withColumn("lo", F.col("hi") - F.col("c")).crossJoin(F.broadcast(n))
+    ranked = _running(_in_parts(counts, "value"), ["value"], F.col("c")).withColumn("lo", F.col("hi") - F.col("c")).crossJoin(F.broadcast(n))
     each = ranked.withColumn("f", F.explode(F.array(*[F.lit(f) for f in fanouts])))
     power = lambda x: F.pow(F.col(x) / F.col("n"), F.col("f").cast("double"))
     cols = [F.sum(F.col("value") * (power("hi") - power("lo"))).alias("mean")]
@@ -39,7 +54,8 @@ def latency_exact(latencies: DataFrame, fanouts: Iterable[int] = FANOUTS, percen
 
 def latency_simulated(latencies: DataFrame, fanouts: Iterable[int] = FANOUTS, trials: int = 200, seed: int = 42) -> DataFrame:
     """The same by hash draws: per trial the largest of f values drawn by rank."""
-    pool = latencies.where("value is not null").select("value", (F.row_number().over(Window.orderBy("value", "event_id")) - 1).alias("i"))
+    known = _in_parts(latencies.where("value is not null").select("value", "event_id"), "value")
+    pool = _running(known, ["value", "event_id"], F.lit(1)).select("value", (F.col("hi") - 1).alias("i"))
     n = pool.agg(F.count("*").alias("n"))
     draws = latencies.sparkSession.range(trials).select(F.col("id").alias("trial"), F.explode(F.array(*[F.lit(f) for f in fanouts])).alias("fanout"))
     draws = draws.select("trial", "fanout", F.explode(F.sequence(F.lit(1), F.col("fanout"))).alias("call")).crossJoin(F.broadcast(n))
@@ -68,10 +84,13 @@ METHODS: dict[str, Callable[[PartitionSpec], Callable[[DataFrame], PartitionResu
 
 
 def run_one(name: str, edges: DataFrame, method: str, spec: PartitionSpec, timeout_s: float | None = None) -> tuple:
-    """A row of RESULT; a run that fails or takes longer than timeout_s has status 'failed'."""
+    """A row of RESULT; a run that fails or takes longer than timeout_s, when its jobs are cancelled, has status 'failed'."""
     began = time.perf_counter()
+    context, group = edges.sparkSession.sparkContext, f"run-{uuid.uuid4().hex}"
 
     def work() -> tuple[float, float]:
+        if timeout_s is not None:
+            context.setJobGroup(group, f"{name} {method} k={spec.k}", True)
         got = METHODS[method](spec)(edges)
         f = measures.avg_fanout(edges, got.assign).first()["fanout"]
         b = measures.imbalance(got.assign, spec.k).first()["imbalance"]
@@ -86,9 +105,10 @@ def run_one(name: str, edges: DataFrame, method: str, spec: PartitionSpec, timeo
             try:
                 f, b = pool.submit(work).result(timeout=timeout_s)
             finally:
-                pool.shutdown(wait=False, cancel_futures=True)
+                context._jsc.sc().cancelJobGroupAndFutureJobs(group)
+                pool.shutdown(wait=True, cancel_futures=True)
         status = "ok"
-    except (concurrent.futures.TimeoutError, ValueError):
+    except Exception:  # noqa: BLE001 - a cell of a grid, whatever went wrong in it, is 'failed'
         f = b = math.nan
         status = "failed"
     return (name, method, spec.k, spec.p, spec.eps, f, b, time.perf_counter() - began, status)
@@ -103,6 +123,13 @@ def quality_grid(spark: SparkSession, graphs: dict[str, DataFrame], methods: Ite
     return spark.createDataFrame(rows, RESULT)
 
 
+def quality_relative(results: DataFrame) -> DataFrame:
+    """Rows of a grid with the excess over the best method of each graph and k, and the share of random sharding's fanout that each saves."""
+    done = results.where("status = 'ok'").select("graph", "method", "k", "fanout")
+    saved = measures.reduction(done, "random").select("graph", "method", "k", "reduction")
+    return measures.relative_quality(done).join(saved, ["graph", "method", "k"], "left")
+
+
 def runtime_grid(spark, graphs, methods=("direct", "bisect", "multilevel"), ks=(32, 512, 8192), spec=PartitionSpec(), timeout_s: float = 600.0) -> DataFrame:
     return quality_grid(spark, graphs, methods, ks, spec, timeout_s)
 
@@ -127,6 +154,22 @@ def scaling_workers(make: Callable[[int], SparkSession], build: Callable[[SparkS
     return out
 
 
+def scaling_tasks(spark, edges: DataFrame, tasks: Iterable[int], spec=PartitionSpec(arity=2)) -> DataFrame:
+    """(tasks, run_s, total_s, speedup): the same run with at most so many tasks of a stage at once, as on so many machines."""
+    setting, rows = "spark.sql.shuffle.partitions", []
+    before = spark.conf.get(setting)
+    edges = stored(edges, "scaling")
+    try:
+        for w in tasks:
+            spark.conf.set(setting, str(w))
+            t = measures.timed(lambda w=w: forget(partition(edges.coalesce(w), spec).assign), w)
+            rows.append((w, t["run_s"], t["total_s"], rows[0][1] / t["run_s"] if rows else 1.0))
+    finally:
+        spark.conf.set(setting, before)
+    forget(edges)
+    return spark.createDataFrame(rows, "tasks int, run_s double, total_s double, speedup double")
+
+
 def p_sweep(spark, edges: DataFrame, ps: Iterable[float], ks: Iterable[int], spec=PartitionSpec(arity=2, lookahead=True)) -> DataFrame:
     """(k, p, fanout, reduction): share of random sharding's fanout that each p saves."""
     rows = []

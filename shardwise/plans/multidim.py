@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import PartitionResult, PartitionSpec
-from ..session import stored
+from ..session import small, stored
 from .partition import partition
 
 
@@ -42,7 +42,7 @@ def partition_multidim(edges: DataFrame, weights: DataFrame, spec: PartitionSpec
     """Partition into c * k pieces, then merge them into k buckets that are even in every dimension of weights (vid, dims)."""
     fine = partition(edges, spec.but(k=c * spec.k), vertices=weights)
     plan = merge_plan(bucket_loads(fine.assign, weights), c * spec.k, spec.k)
-    merged = fine.assign.join(F.broadcast(plan), "bucket").select("vid", F.col("target").alias("bucket"))
+    merged = fine.assign.join(small(plan, c * spec.k), "bucket").select("vid", F.col("target").alias("bucket"))
     return PartitionResult(stored(merged, "merged"), fine.progress, spec)
 
 

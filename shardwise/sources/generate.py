@@ -13,9 +13,9 @@ def gen_friendship(spark: SparkSession, n: int, avg_degree: int, communities: in
     """People in communities of equal size; each names friends, mostly from its own; friendship goes both ways."""
     size = max(1, n // communities)
     names = spark.range(n).select(F.col("id").alias("a"), F.explode(F.sequence(F.lit(1), F.lit(max(1, avg_degree // 2)))).alias("i"))
-    own = (F.col("a") - F.col("a") % size) + coin("a", "i", seed, mode="fast") % size
-    far = coin("a", "i", seed, 1, mode="fast") % n
-    picked = names.select("a", F.when(coin("a", "i", seed, 2, mode="fast") < int(mix * FULL), far).otherwise(F.least(own, F.lit(n - 1))).alias("b"))
+    own = (F.col("a") - F.col("a") % size) + coin("a", "i", seed) % size
+    far = coin("a", "i", seed, 1) % n
+    picked = names.select("a", F.when(coin("a", "i", seed, 2) < int(mix * FULL), far).otherwise(F.least(own, F.lit(n - 1))).alias("b"))
     return friend_edges(picked, "a", "b")
 
 

@@ -68,6 +68,14 @@ def _collapse(s, d):
     return edges.join(weights, "qid").select("qid", "qw", "vid")
 
 
+@query("collapsed_avg_fanout", sql.over("order_part", K, "SELECT count(*) AS queries, round(avg(fanout), 6) AS fanout FROM fan"))
+def _collapsed(s, d):
+    """Merged queries that count as often as they stand for give the average of all."""
+    edges, assign = placed(s, d, "order_part")
+    merged, weights = build.collapse_queries(edges)
+    return measures.avg_fanout(merged, assign, weights)
+
+
 query("sample_queries", f"WITH {sql.edge('order_part')} SELECT qid, vid FROM edge WHERE {coin_sql('qid', '42')} < {int(0.1 * (1 << 32))}")(lambda s, d: build.sample_queries(graph(s, d, "order_part"), 0.1))
 
 
@@ -295,6 +303,13 @@ unrolled("advanced_bisect_k6_t1", "brand_cart", _BARE.but(k=6, arity=2, lookahea
 unrolled("recursive_r3_k9_clique_t1", "order_part", _BARE.but(k=9, arity=3, objective="clique"), 1)
 
 
+@query("weighted_k4_t2", sql.unrolled("order_part", 4, 2, weight="SELECT p_partkey AS vid, p_size AS w FROM part"))
+def _weighted(s, d):
+    """Vertices of different size: opposite crowds move equal weight."""
+    sizes = table(s, d, "part").select(F.col("p_partkey").alias("vid"), F.col("p_size").cast("long").alias("w"))
+    return plans.partition(graph(s, d, "order_part"), _BARE.but(k=4, iterations=2), weights=sizes).assign
+
+
 @query("updates_from_the_first_turn", sql.unrolled("order_part", K, 3))
 def _reused(s, d):
     """Three turns in which shares and gains are updated, never counted anew."""
@@ -338,9 +353,7 @@ whole("fanout_p1_bisect", "brand_cart", PartitionSpec(k=8, arity=2, iterations=4
 @query("multidim_k8")
 def _multidim(s, d):
     edges = graph(s, d, "brand_cart")
-    lines = table(s, d, "lineitem").groupBy(F.col("l_partkey").alias("vid")).agg(F.count("*").cast("double").alias("n"))
-    weights = table(s, d, "part").select(F.col("p_partkey").alias("vid"), "p_size", "p_retailprice").join(lines, "vid", "left")
-    weights = weights.select("vid", F.array(F.lit(1.0), F.col("p_size").cast("double"), "p_retailprice", F.coalesce("n", F.lit(0.0))).alias("dims"))
+    weights = workloads.part_weights(s, d)
     got = multidim.partition_multidim(edges, weights, PartitionSpec(k=8, arity=2, iterations=2), c=2)
     return multidim.dimension_imbalance(got.assign, weights, 8)
 
@@ -353,9 +366,9 @@ def _multilevel(s, d):
 
 @query("explicit_clique_cut")
 def _explicit(s, d):
-    """The clique graph made explicit and thinned, refined on its cut: the baseline that the limit kernel replaces."""
+    """The clique graph made explicit, refined on its cut: the baseline that the limit kernel replaces."""
     edges = graph(s, d, "order_part")
-    got = multilevel.cut_refine(baselines.clique_graph(edges, max_degree=64, top_m=16), PartitionSpec(k=8, iterations=3))
+    got = multilevel.cut_refine(baselines.clique_graph(edges), PartitionSpec(k=8, iterations=3))
     return measures.avg_fanout(edges, got.assign)
 
 

@@ -27,9 +27,12 @@ def query_fanout(shares: DataFrame) -> DataFrame:
     return shares.groupBy("qid").agg(F.count("*").alias("fanout"))
 
 
-def avg_fanout(edges: DataFrame, assign: DataFrame) -> DataFrame:
-    """One row: average number of buckets that a query touches."""
-    return query_fanout(share(edges, assign)).agg(F.count("*").alias("queries"), F.round(F.avg("fanout"), DIGITS).alias("fanout"))
+def avg_fanout(edges: DataFrame, assign: DataFrame, weights: DataFrame | None = None) -> DataFrame:
+    """One row: average number of buckets that a query touches. weights: (qid, qw) of merged queries, each of which counts qw times."""
+    per = query_fanout(share(edges, assign))
+    if weights is None:
+        return per.agg(F.count("*").alias("queries"), F.round(F.avg("fanout"), DIGITS).alias("fanout"))
+    return per.join(weights, "qid").agg(F.sum("qw").alias("queries"), F.round(F.sum(F.col("fanout") * F.col("qw")) / F.sum("qw"), DIGITS).alias("fanout"))
 
 
 def avg_pfanout(edges: DataFrame, assign: DataFrame, p: float, t: int = 1) -> DataFrame:

@@ -132,10 +132,11 @@ def gain_from_state(state: DataFrame, assign: DataFrame, degrees: DataFrame, p:
     return own.where("bucket <> src").join(mine, "vid").select("vid", "src", F.col("bucket").alias("dst"), F.round(F.lit(p) * (F.col("ho") / (1 - p) - F.col("h")), 9).alias("gain"))
 
 
-def exchange_matrix(proposals: DataFrame, by_bin: bool = False) -> DataFrame:
-    """Third step: (src, dst[, gbin], candidates, gain_sum); sparse."""
+def exchange_matrix(proposals: DataFrame, by_bin: bool = False, weight: str | None = None) -> DataFrame:
+    """Third step: (src, dst[, gbin], candidates, gain_sum); sparse. weight: a column of whole numbers that count in place of the vertices."""
     keys = ["src", "dst", "gbin"] if by_bin else ["src", "dst"]
-    return proposals.groupBy(*keys).agg(F.count("*").alias("candidates"), F.sum(F.col("gain_fx").cast(WIDE)).cast(WIDE).alias("gain_sum"))
+    count = F.sum(weight) if weight else F.count("*")
+    return proposals.groupBy(*keys).agg(count.alias("candidates"), F.sum(F.col("gain_fx").cast(WIDE)).cast(WIDE).alias("gain_sum"))
 
 
 def swap_probability(exchange: DataFrame) -> DataFrame:

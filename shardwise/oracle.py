@@ -92,9 +92,10 @@ def proposals(i: str, penalty: int = 0, nonpositive: bool = False) -> str:
     )
 
 
-def plain(i: str) -> str:
+def plain(i: str, weight: str | None = None) -> str:
+    crowd = f"SELECT src, dst, CAST(sum(w) AS BIGINT) AS c FROM prop_{i} JOIN ({weight}) USING (vid) WHERE w > 0 GROUP BY src, dst" if weight else f"SELECT src, dst, count(*) AS c FROM prop_{i} GROUP BY src, dst"
     return (
-        f"ex_{i} AS (SELECT src, dst, count(*) AS c FROM prop_{i} GROUP BY src, dst), "
+        f"ex_{i} AS ({crowd}), "
         f"th_{i} AS MATERIALIZED (SELECT x.src, x.dst, x.c AS candidates, least(x.c, coalesce(y.c, 0)) AS admitted, CAST((least(x.c, coalesce(y.c, 0))::HUGEINT * {FULL}) // x.c AS BIGINT) AS threshold FROM ex_{i} x LEFT JOIN ex_{i} y ON y.src = x.dst AND y.dst = x.src)"
     )
 
@@ -135,7 +136,7 @@ def moved(i: str, j: str, seed: int, level: int, turn: int, kind: str, damp: flo
     return f"s_{j} AS MATERIALIZED (SELECT s.vid, s.parent, coalesce(m.dst, s.bucket) AS bucket FROM s_{i} s LEFT JOIN ({ok}) m USING (vid))"
 
 
-def unrolled(key: str, k: int, turns: int, objective: str = "pfanout", p: float = 0.5, arity: int | None = None, lookahead: bool = False, kind: str = "plain", seed: int = 42, damp: float = 1.0, penalty: int = 0, start: str | None = None, nonpositive: bool = False, room: float | None = None, body: str = "SELECT vid, CAST(bucket AS INTEGER) AS bucket FROM assign") -> str:
+def unrolled(key: str, k: int, turns: int, objective: str = "pfanout", p: float = 0.5, arity: int | None = None, lookahead: bool = False, kind: str = "plain", seed: int = 42, damp: float = 1.0, penalty: int = 0, start: str | None = None, nonpositive: bool = False, room: float | None = None, weight: str | None = None, body: str = "SELECT vid, CAST(bucket AS INTEGER) AS bucket FROM assign") -> str:
     """body over edge and assign(vid, bucket), the state after so many iterations per level. room: the allowance that one-way moves may use."""
     kernel = Kernel(objective, p)
     parts, state = [edge(key), "p_1 AS (SELECT DISTINCT vid, 0 AS parent FROM edge)"], None
@@ -160,7 +161,7 @@ def unrolled(key: str, k: int, turns: int, objective: str = "pfanout", p: float
             nxt = f"{level}_{turn}"
             parts += [gains(kernel, name, t, every), proposals(name, penalty, nonpositive)]
             if kind == "plain":
-                parts.append(plain(name))
+                parts.append(plain(name, weight))
             elif kind == "histogram" and room is None:
                 parts.append(histogram(name, nonpositive))
             elif kind == "histogram":

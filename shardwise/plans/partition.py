@@ -86,11 +86,17 @@ def _caps(split: list[tuple[Node, list[Node]]], sizes: dict[int, int], n: int, k
     return out
 
 
-def partition(edges: DataFrame, spec: PartitionSpec, vertices: DataFrame | None = None, start: DataFrame | None = None, base: DataFrame | None = None, watch: Callable[[dict], None] | None = None) -> PartitionResult:
+def partition(edges: DataFrame, spec: PartitionSpec, vertices: DataFrame | None = None, start: DataFrame | None = None, base: DataFrame | None = None, watch: Callable[[dict], None] | None = None, weights: DataFrame | None = None) -> PartitionResult:
     """Partition the data vertices of edges, and those of vertices without edges as ballast.
 
-    start: an assignment to refine (straight runs only). base: the assignment that spec.penalty holds on to.
+    start: an assignment to refine (straight runs only). base: the assignment that spec.penalty holds on to. weights: (vid, w)
+    with whole numbers that opposite crowds exchange evenly in place of their counts, with the plain exchange; vertices without a
+    weight, or of weight 0, stay where the start put them. Weighted buckets are even in expectation; repair, which counts vertices, is left out.
     """
+    if weights is not None:
+        if spec.exchange != "plain" or spec.slack:
+            raise ValueError("weights need the plain exchange")
+        spec = spec.but(repair=False)
     spark = edges.sparkSession
     edges = stored(edges.select("qid", "vid"), "edges")
     everyone = edges.select("vid").distinct()
@@ -122,7 +128,7 @@ def partition(edges: DataFrame, spec: PartitionSpec, vertices: DataFrame | None
                 forget(work)
             work = stored(tagged.where("not alone").select("qid", "vid"), "work")
             forget(tagged)
-        state, log = _refine(work, opened, split, ts, kernel, spec, number, n, queries, dead, eps_level, base, watch)
+        state, log = _refine(work, opened, split, ts, kernel, spec, number, n, queries, dead, eps_level, base, watch, weights)
         progress += log
         if spec.repair:
             held = {(r[0], r[1]): r[2] for r in state.groupBy("parent", "bucket").count().collect()}  # at most k rows
@@ -193,7 +199,7 @@ class _Kept:
         forget(self.shares, self.parts)
 
 
-def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_level, base, watch):
+def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_level, base, watch, weights=None):
     """Iterations of one level. Shares and gains are counted anew while many vertices move; from a turn that moves a share of spec.reuse or less they are kept and updated."""
     spark = state.sparkSession
     log: list[dict] = []
@@ -227,13 +233,15 @@ def _refine(edges, state, split, ts, kernel, spec, level, n, queries, dead, eps_
                     kept = _Kept(shares, stored(parts, "parts"))
                     parts = kept.parts
             proposals = refine.best_of_parts(parts, spec.nonpositive and spec.exchange != "plain", siblings, base=base, penalty_fx=int(spec.penalty * kernel.scale), rows=len(split))
+            if weights is not None:
+                proposals = proposals.join(weights.select("vid", F.col("w").cast("long").alias("w")), "vid").where("w > 0")
             if spec.exchange == "ranked":
                 moves = refine.exchange_ranked(proposals, spec.nonpositive).select("vid", "dst")
                 if damp < 1:
                     moves = moves.where(coin("vid", spec.seed, level, turn, mode=spec.coins) < int(damp * FULL))
             else:
                 if spec.exchange == "plain":
-                    exchange = refine.swap_probability(refine.exchange_matrix(proposals))
+                    exchange = refine.swap_probability(refine.exchange_matrix(proposals, weight="w" if weights is not None else None))
                 else:
                     exchange = refine.histogram_match(refine.exchange_matrix(proposals, by_bin=True), spec.nonpositive)
                     if caps is not None:
@@ -325,7 +333,7 @@ def moved_from_base(assign: DataFrame, former: DataFrame) -> DataFrame:
 
 
 def partition_weighted(edges: DataFrame, weights: DataFrame, spec: PartitionSpec) -> PartitionResult:
-    """Vertices of different weight (vid, w): over-split, then merged by weight."""
+    """Vertices of different weight (vid, w): over-split, then merged by weight. partition(weights=...) exchanges weight evenly instead."""
     from .multidim import partition_multidim
 
     return partition_multidim(edges, weights.select("vid", F.array(F.col("w").cast("double")).alias("dims")), spec, c=4)

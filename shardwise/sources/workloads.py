@@ -87,6 +87,13 @@ def vec_knn(spark, sf, k: int = 10, rows: int = 1024):
     return edges_from(ranked.where(F.col("r") <= k), "qid", "vid")
 
 
+def part_weights(spark, sf) -> DataFrame:
+    """(vid, dims) of the parts: one each, size, price, lines they are on."""
+    lines = table(spark, sf, "lineitem").groupBy(F.col("l_partkey").alias("vid")).agg(F.count("*").cast("double").alias("n"))
+    weights = table(spark, sf, "part").select(F.col("p_partkey").alias("vid"), "p_size", "p_retailprice").join(lines, "vid", "left")
+    return weights.select("vid", F.array(F.lit(1.0), F.col("p_size").cast("double"), "p_retailprice", F.coalesce("n", F.lit(0.0))).alias("dims"))
+
+
 def toy_shard(spark, sf=None):
     """Three queries over six records."""
     return _literal(spark, {1: (1, 2, 6), 2: (1, 2, 3, 4), 3: (4, 5, 6)})

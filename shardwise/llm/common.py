@@ -1,17 +1,17 @@
-"""Small helpers shared by the operators: table reading, lineage cuts, checked broadcasts."""
+"""Small helpers shared by the operators: table reading, checked broadcasts, memory; stored tables are the core's."""
 
 from __future__ import annotations
 
 import contextlib
 import ctypes
 import gc
-import tempfile
-import uuid
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import forget, shared_dir, stored  # noqa: F401
+
 #: Largest number of 8-byte keys that is sent to every executor (16 MB); above it joins shuffle.
 BROADCAST_KEYS = 2_000_000
 
@@ -31,43 +31,6 @@ def text_or_empty(column: str | Column) -> Column:
     return F.coalesce(F.col(column) if isinstance(column, str) else column, F.lit(""))
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a temporary one where it is unset (local tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        done = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if done.isDefined():
-            found = done.get()
-        else:
-            found = "file://" + tempfile.mkdtemp(prefix="shardwise-")
-            spark.sparkContext.setCheckpointDir(found)
-    return found.rstrip("/")
-
-
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """Cut the lineage: write a table in the shared folder and read it back.
-
-    The file outlives lost executors, and a retried downstream task reads the same rows again.
-    """
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/tables/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    back = spark.read.schema(df.schema).parquet(path)
-    back._stored_path = path
-    return back
-
-
-def forget(*frames: DataFrame | None) -> None:
-    """Delete tables made by stored() that nothing reads any more."""
-    for df in frames:
-        path = getattr(df, "_stored_path", None)
-        if path:
-            spark = df.sparkSession
-            jvm = spark.sparkContext._jvm
-            where = jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-
-
 def small(df: DataFrame, rows: int, limit: int = BROADCAST_KEYS) -> DataFrame:
     """Mark for broadcast only if the counted rows are within the limit; else leave a shuffle join."""
     return F.broadcast(df) if rows <= limit else df

@@ -97,7 +97,7 @@ WITH p AS (
 ), k AS (
   SELECT page_id, ts, unnest(list_distinct(
     list_transform(range(0, greatest(len(string_split(host, '.')) - 1, 1)), lambda i: array_to_string(string_split(host, '.')[i + 1:], '.'))
-    || list_transform(range(1, 1 + least(4, len(list_filter(string_split(path, '/'), lambda x: x <> '')))),
+    || list_transform(range(1, 1 + len(list_filter(string_split(path, '/'), lambda x: x <> ''))),
          lambda i: host || '/' || array_to_string(list_filter(string_split(path, '/'), lambda x: x <> '')[1:i], '/')))) AS key
   FROM p WHERE host <> ''
 ), hit AS (

@@ -380,9 +380,9 @@ def _best(s, d):
     return measures.avg_fanout(edges, got.assign)
 
 
-query("convergence_trace")(lambda s, d: experiments.convergence(s, graph(s, d, "brand_cart"), 8, (0.5, 1.0), 4))
-query("p_sweep")(lambda s, d: experiments.p_sweep(s, graph(s, d, "brand_cart"), (0.2, 0.5, 0.8, 1.0), (4,), PartitionSpec(arity=2, iterations=3, lookahead=True)))
-query("objective_ablation")(lambda s, d: experiments.objective_ablation(s, {"brand_cart": graph(s, d, "brand_cart")}, (4,), PartitionSpec(arity=2, iterations=3, lookahead=True)))
+query("convergence_trace")(lambda s, d: experiments.convergence(s, graph(s, d, "brand_cart"), 8, (0.5, 1.0), 10))
+query("p_sweep")(lambda s, d: experiments.p_sweep(s, graph(s, d, "brand_cart"), tuple(i / 10 for i in range(1, 11)), (4,), PartitionSpec(arity=2, iterations=2, lookahead=True)))
+query("objective_ablation")(lambda s, d: experiments.objective_ablation(s, {"brand_cart": graph(s, d, "brand_cart")}, (2, 8), PartitionSpec(arity=2, iterations=2, lookahead=True)))
 query("exchange_ablation")(lambda s, d: experiments.exchange_ablation(s, graph(s, d, "brand_cart"), PartitionSpec(k=4, arity=2, iterations=2)))
 def _with_relative(grid: DataFrame) -> DataFrame:
     return grid.join(experiments.quality_relative(grid).select("graph", "method", "k", "excess", "reduction"), ["graph", "method", "k"], "left")
@@ -406,7 +406,7 @@ def _study(s, d):
 # baselines
 
 query("range_sharding", f"WITH {sql.edge('order_part')} SELECT vid, CAST(ntile(8) OVER (ORDER BY vid) - 1 AS INTEGER) AS bucket FROM (SELECT DISTINCT vid FROM edge)")(lambda s, d: baselines.range_shards(everyone(graph(s, d, "order_part")), 8))
-query("range_sharding_approx")(lambda s, d: measures.imbalance(baselines.range_shards(everyone(graph(s, d, "order_part")), 8, exact=False), 8))
+query("range_sharding_approx", f"WITH {sql.edge('order_part')}, v AS (SELECT DISTINCT vid FROM edge), r AS (SELECT vid, row_number() OVER (ORDER BY vid) AS r, (SELECT count(*) FROM v) AS n FROM v), c AS (SELECT min(vid) AS cut FROM r CROSS JOIN range(1, 8) i(i) WHERE r >= i * n / 8 GROUP BY i), b AS (SELECT vid, (SELECT count(*) FROM c WHERE cut < vid) AS b FROM v), z AS (SELECT count(vid) AS n FROM range(8) k(k) LEFT JOIN b ON b.b = k GROUP BY k) SELECT max(n) AS largest, min(n) AS smallest, round(max(n) * 8 / sum(n) - 1, 6) AS imbalance FROM z")(lambda s, d: measures.imbalance(baselines.range_shards(everyone(graph(s, d, "order_part")), 8, exact=False), 8))
 query(
     "planted_truth_fanout",
     f"WITH {sql.edge('brand_cart')}, assign AS (SELECT p_partkey AS vid, dense_rank() OVER (ORDER BY p_brand) - 1 AS bucket FROM part) SELECT count(*) AS queries, round(avg(f), 6) AS fanout FROM (SELECT qid, count(DISTINCT bucket) AS f FROM edge JOIN assign USING (vid) GROUP BY qid)",

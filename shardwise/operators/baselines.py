@@ -56,7 +56,10 @@ def cut_gains(graph: DataFrame, assign: DataFrame) -> DataFrame:
     return own.where("b <> bucket").select("vid", F.col("bucket").alias("src"), F.col("b").alias("dst"), (F.col("w") - F.col("here")).alias("gain_fx"))
 
 
-def _all(edges: DataFrame) -> DataFrame:
+def _all(edges: DataFrame, limit: int) -> DataFrame:
+    """All edges as one group, after a look whether the graph is small enough for one task."""
+    if edges.select("vid").distinct().limit(limit + 1).count() > limit:
+        raise ValueError(f"more than {limit} vertices")
     return edges.groupBy(F.lit(0).alias("g"))
 
 
@@ -66,8 +69,6 @@ def kl_serial(edges: DataFrame, k: int, p: float = 0.5, limit: int = 200) -> Dat
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         queries = [set(g) for _, g in rows.groupby("qid").vid]
         vids = sorted(set(rows.vid))
-        if len(vids) > limit:
-            raise ValueError(f"more than {limit} vertices")
         place = {v: i * k // len(vids) for i, v in enumerate(vids)}
 
         def cost(touched) -> float:
@@ -98,7 +99,7 @@ def kl_serial(edges: DataFrame, k: int, p: float = 0.5, limit: int = 200) -> Dat
             place[a], place[b] = place[b], place[a]
         return pd.DataFrame({"vid": vids, "bucket": [place[v] for v in vids]})
 
-    return _all(edges).applyInPandas(run, "vid long, bucket int")
+    return _all(edges, limit).applyInPandas(run, "vid long, bucket int")
 
 
 def exhaustive(edges: DataFrame, k: int, eps: float, limit: int = 10) -> DataFrame:
@@ -107,8 +108,6 @@ def exhaustive(edges: DataFrame, k: int, eps: float, limit: int = 10) -> DataFra
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         queries = [list(g) for _, g in rows.groupby("qid").vid]
         vids = sorted(set(rows.vid))
-        if len(vids) > limit:
-            raise ValueError(f"more than {limit} vertices")
         cap = max(int((1 + eps) * len(vids) / k), -(-len(vids) // k))
         best = None
         for choice in product(range(k), repeat=len(vids)):
@@ -118,4 +117,4 @@ def exhaustive(edges: DataFrame, k: int, eps: float, limit: int = 10) -> DataFra
                 best = total if best is None else min(best, total)
         return pd.DataFrame({"total": [best]})
 
-    return _all(edges).applyInPandas(run, "total long")
+    return _all(edges, limit).applyInPandas(run, "total long")

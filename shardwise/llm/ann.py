@@ -348,35 +348,46 @@ class Index:
             # neighbours of what the walk opens: ids only
             opened = asked("ask").join(lists, "id").groupBy("query_id").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("next"))
             first = _ == 0
-            wanted = state.join(opened, "query_id").select("query_id", "q", "ids", "ask", "next")
+            # below the last of a full list no score can enter it: such scores stay where they were made
+            least = F.expr(f"CASE WHEN length(sims) < {4 * width} THEN NULL ELSE substring(sims, {4 * width - 3}, 4) END")
+            wanted = state.join(opened, "query_id").select("query_id", "q", "ids", "ask", "next", least.alias("least"))
 
             def deal(batches: Iterator[pa.RecordBatch], first: bool = first) -> Iterator[pa.RecordBatch]:
                 """Candidates that are not among the best yet, with the query's vector once per block of vectors."""
                 for b in batches:
                     for at in range(0, b.num_rows, 128):
                         part = b.slice(at, 128)
-                        rows: tuple[list, list, list, list] = ([], [], [], [])
-                        for i, q, ids, ask, nxt in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), part.column(2).to_pylist(), part.column(3).to_pylist(), part.column(4)):
+                        rows: tuple[list, ...] = ([], [], [], [], [])
+                        for i, q, ids, ask, nxt, last in zip(*(part.column(c).to_pylist() for c in range(4)), part.column(4), part.column(5).to_pylist()):
                             c = np.setdiff1d(nxt.values.to_numpy(), _longs(ids))
                             if first:
                                 c = np.union1d(c, _longs(ask))
                             c = np.sort(c)
                             home = _home(c, blocks)
                             for h in np.unique(home):
-                                for to, v in zip(rows, (int(h), i, q, c[home == h].tobytes())):
+                                for to, v in zip(rows, (int(h), i, q, c[home == h].tobytes(), last)):
                                     to.append(v)
-                        yield pa.RecordBatch.from_arrays([pa.array(rows[0], pa.int64()), pa.array(rows[1], pa.int64()), pa.array(rows[2], pa.binary()), pa.array(rows[3], pa.binary())], ["home", "query_id", "q", "c"])
+                        types = (pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.binary())
+                        yield pa.RecordBatch.from_arrays([pa.array(r, t) for r, t in zip(rows, types)], ["home", "query_id", "q", "c", "least"])
 
-            dealt = wanted.mapInArrow(deal, "home long, query_id long, q binary, c binary")
+            dealt = wanted.mapInArrow(deal, "home long, query_id long, q binary, c binary, least binary")
 
             def score(x: pa.Table, y: pa.Table) -> pa.Table:
-                if not x.num_rows or not y.num_rows:
-                    return pa.table({"query_id": pa.array([], pa.int64()), "c": pa.array([], pa.binary()), "s": pa.array([], pa.binary())})
-                ids, v = x.column("id").to_numpy(), _half(x.column("v"))
-                order = np.argsort(ids)
-                ids, v = ids[order], v[order]
-                out = [(v[np.searchsorted(ids, _longs(c))] @ np.frombuffer(q, np.float32)).astype(np.float32).tobytes() for q, c in zip(y.column("q").to_pylist(), y.column("c").to_pylist())]
-                return pa.table({"query_id": y.column("query_id"), "c": y.column("c"), "s": pa.array(out, pa.binary())})
+                rows = []
+                if x.num_rows and y.num_rows:
+                    ids, v = x.column("id").to_numpy(), _half(x.column("v"))
+                    order = np.argsort(ids)
+                    ids, v = ids[order], v[order]
+                    for i, q, c, last in zip(*(y.column(n).to_pylist() for n in ("query_id", "q", "c", "least"))):
+                        c = _longs(c)
+                        s = (v[np.searchsorted(ids, c)] @ np.frombuffer(q, np.float32)).astype(np.float32)
+                        if last:
+                            in_reach = s >= np.frombuffer(last, np.float32)[0]
+                            c, s = c[in_reach], s[in_reach]
+                        if len(c):
+                            rows.append((i, c.tobytes(), s.tobytes()))
+                columns = list(zip(*rows)) or [[]] * 3
+                return pa.table({n: pa.array(c, t) for n, c, t in zip(("query_id", "c", "s"), columns, (pa.int64(), pa.binary(), pa.binary()))})
 
             homes = near.select(_home_column("id", blocks).alias("home"), "id", "v")
             scored = homes.groupBy("home").cogroup(dealt.groupBy("home")).applyInArrow(score, "query_id long, c binary, s binary")

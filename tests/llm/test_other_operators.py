@@ -25,6 +25,35 @@ def vectors(spark):
     return spark.createDataFrame(rows, "vec_id long, embedding array<double>, score int").cache()
 
 
+def test_walk_with_full_lists_equals_a_plain_walk(vectors):
+    """Lists of 40 are full from the second hop on, so scores below their last stay behind; the walk goes as one that brings all of them."""
+    params = ann.Params(neighbours=10, target=60, chunk=64, block=64, home=100, query_block=4, width=40, beam=5)
+    index = ann.Index(ann.prepared(vectors, "vec_id", "embedding"), params).build()
+    near, v = {}, {}
+    table = index.adjacency().toArrow()
+    for i, x, others in zip(table.column("id").to_pylist(), ann._half(table.column("v")), table.column("near").to_pylist()):
+        near[i], v[i] = others, x
+    asked = index.members.where("vec_id % 20 = 0").select(F.col("vec_id").alias("query_id"), "x", F.col("id").alias("entry"))
+    got = {}
+    for r in index.search(asked, 5).collect():
+        got.setdefault(r.query_id, set()).add(r.id)
+    width, hops = params.wide(index.n)
+    for r in asked.collect():
+        q = (np.array(r.x) / index.scale).astype(np.float32)
+        kept, opened, ask = {}, set(), [r.entry]
+        for hop in range(hops):
+            for c in {o for a in ask for o in near[a]} | (set(ask) if hop == 0 else set()):
+                kept[c] = float(v[c] @ q)
+            best = sorted(kept, key=lambda c: (-kept[c], c))[:width]
+            kept = {c: kept[c] for c in best}
+            opened &= set(best)
+            ask = [c for c in best if c not in opened][: params.beam]
+            opened |= set(ask)
+            if not ask:
+                break
+        assert got[r.query_id] == set(best[:20])
+
+
 def test_neighbours(vectors):
     got = {}
     for r in ann.nearest(vectors, F.col("vec_id") % 20 == 0, k=20, params=ann.Params(neighbours=15, target=60, chunk=64, block=64, query_block=4)).collect():

@@ -278,10 +278,13 @@ def _gain_state(s, d):
 _BARE = PartitionSpec(k=K, repair=False, keep_best=False, prune=False)
 
 
-def unrolled(name: str, key: str, spec: PartitionSpec, turns: int, **more):
+def _written_out(key: str, spec: PartitionSpec, turns: int, **more) -> str:
     free = spec.nonpositive and spec.exchange != "plain"
-    text = sql.unrolled(key, spec.k, turns, spec.objective, spec.p, spec.arity, spec.lookahead, spec.exchange, nonpositive=free, room=spec.eps if spec.slack else None, **more)
-    query(name, text)(lambda s, d: plans.partition(graph(s, d, key), spec.but(iterations=turns)).assign)
+    return sql.unrolled(key, spec.k, turns, spec.objective, spec.p, spec.arity, spec.lookahead, spec.exchange, nonpositive=free, room=spec.eps if spec.slack else None, **more)
+
+
+def unrolled(name: str, key: str, spec: PartitionSpec, turns: int, **more):
+    query(name, _written_out(key, spec, turns, **more))(lambda s, d: plans.partition(graph(s, d, key), spec.but(iterations=turns)).assign)
 
 
 unrolled("direct_k8_t1", "order_part", _BARE, 1)
@@ -394,6 +397,49 @@ query("scaling_edges")(lambda s, d: experiments.scaling_edges(s, {x: graph(s, d,
 query("runtime_grid")(lambda s, d: experiments.runtime_grid(s, {"cust_part": graph(s, d, "cust_part")}, ("direct", "bisect"), (32,), PartitionSpec(iterations=2)))
 
 
+# the experiments again with one turn a level, which SQL can write out cell by cell
+
+def _measured(k: int) -> str:
+    return (
+        "SELECT (SELECT count(DISTINCT qid) FROM edge) AS queries, (SELECT round(avg(f), 6) FROM (SELECT count(DISTINCT bucket) AS f FROM edge JOIN assign USING (vid) GROUP BY qid)) AS fanout, "
+        f"(SELECT round(max(c) * {k} / sum(c) - 1, 6) FROM (SELECT count(*) AS c FROM assign GROUP BY bucket)) AS imbalance"
+    )
+
+
+def _cells(cells: list[tuple[str, str]]) -> str:
+    """One row per (columns, text of a cell): the columns and what is measured in the cell."""
+    return "cells AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT {columns}, * FROM ({text})" for columns, text in cells) + ")"
+
+
+def _cell(key: str, spec: PartitionSpec) -> str:
+    return _written_out(key, spec, 1, body=_measured(spec.k))
+
+
+_ONE = _BARE.but(iterations=1)
+_HALVES = _ONE.but(arity=2, lookahead=True)
+_TENTHS = tuple(i / 10 for i in range(1, 11))
+_OBJECTIVES = {"half": {}, "p1": {"objective": "fanout", "p": 1.0}, "clique": {"objective": "clique"}}
+_EXCHANGES = {"plain": {}, "ranked": {"exchange": "ranked"}}
+_EXCHANGES["histogram"] = {"exchange": "histogram"}
+_EXCHANGES["nonpositive"] = _EXCHANGES["histogram"] | {"nonpositive": True}
+_EXCHANGES["slack"] = _EXCHANGES["nonpositive"] | {"slack": True}
+_EXCHANGES["lookahead"] = _EXCHANGES["slack"] | {"lookahead": True}
+
+query("p_sweep_t1", "WITH " + _cells([(f"4 AS k, CAST({p} AS DOUBLE) AS p", _cell("brand_cart", _HALVES.but(k=4, p=p))) for p in _TENTHS]) + f", ref AS (WITH {sql.edge('brand_cart')} SELECT round(avg(4 * (1 - pow(0.75, d))), 6) AS r FROM (SELECT count(*) AS d FROM edge GROUP BY qid)) SELECT k, p, fanout, round(1 - fanout / r, 6) AS reduction FROM cells, ref")(
+    lambda s, d: experiments.p_sweep(s, graph(s, d, "brand_cart"), _TENTHS, (4,), _HALVES).withColumn("reduction", F.round("reduction", 6))
+)
+query(
+    "objective_ablation_t1",
+    "WITH " + _cells([(f"'brand_cart' AS graph, '{name}' AS method, {k} AS k", _cell("brand_cart", _HALVES.but(k=k, **o))) for k in (2, 8) for name, o in _OBJECTIVES.items()]) + " SELECT graph, method, k, fanout, round(fanout / max(CASE WHEN method = 'half' THEN fanout END) OVER (PARTITION BY graph, k) - 1, 6) AS excess FROM cells",
+)(lambda s, d: experiments.objective_ablation(s, {"brand_cart": graph(s, d, "brand_cart")}, (2, 8), _HALVES).withColumn("excess", F.round("excess", 6)))
+query("exchange_ablation_t1", "WITH " + _cells([(f"'{name}' AS variant", _cell("brand_cart", _ONE.but(k=4, arity=2, **x))) for name, x in _EXCHANGES.items()]) + " SELECT variant, fanout, imbalance FROM cells")(
+    lambda s, d: experiments.exchange_ablation(s, graph(s, d, "brand_cart"), _ONE.but(k=4, arity=2))
+)
+query("best_of_t1", "WITH " + _cells([(f"'{name}' AS method", _cell("brand_cart", _HALVES.but(k=4, **o))) for name, o in _OBJECTIVES.items()]) + " SELECT queries, min(fanout) AS fanout FROM cells GROUP BY queries")(
+    lambda s, d: (lambda e: measures.avg_fanout(e, plans.best_of(e, [_HALVES.but(k=4, **o) for o in _OBJECTIVES.values()]).assign))(graph(s, d, "brand_cart"))
+)
+
+
 @query("incremental_study")
 def _study(s, d):
     days = table(s, d, "orders").select(F.col("o_orderkey").alias("qid"), F.unix_date(F.col("o_orderdate").cast("date")).alias("day"))

@@ -419,6 +419,7 @@ _ONE = _BARE.but(iterations=1)
 _HALVES = _ONE.but(arity=2, lookahead=True)
 _TENTHS = tuple(i / 10 for i in range(1, 11))
 _OBJECTIVES = {"half": {}, "p1": {"objective": "fanout", "p": 1.0}, "clique": {"objective": "clique"}}
+_GRID = {"direct": _ONE, "bisect": _HALVES, "direct_p1": _ONE.but(objective="fanout", p=1.0), "clique_net": _ONE.but(arity=2, objective="clique")}
 _EXCHANGES = {"plain": {}, "ranked": {"exchange": "ranked"}}
 _EXCHANGES["histogram"] = {"exchange": "histogram"}
 _EXCHANGES["nonpositive"] = _EXCHANGES["histogram"] | {"nonpositive": True}
@@ -438,6 +439,15 @@ query("exchange_ablation_t1", "WITH " + _cells([(f"'{name}' AS variant", _cell("
 query("best_of_t1", "WITH " + _cells([(f"'{name}' AS method", _cell("brand_cart", _HALVES.but(k=4, **o))) for name, o in _OBJECTIVES.items()]) + " SELECT queries, min(fanout) AS fanout FROM cells GROUP BY queries")(
     lambda s, d: (lambda e: measures.avg_fanout(e, plans.best_of(e, [_HALVES.but(k=4, **o) for o in _OBJECTIVES.values()]).assign))(graph(s, d, "brand_cart"))
 )
+query(
+    "quality_grid_t1",
+    "WITH "
+    + _cells(
+        [(f"'{g}' AS graph, '{m}' AS method, {k} AS k", _cell(g, x.but(k=k))) for g in ("order_part", "brand_cart") for m, x in _GRID.items() for k in (4,)]
+        + [(f"'{g}' AS graph, 'random' AS method, {k} AS k", f"WITH {sql.edge(g)}, {sql.assign(k)} {_measured(k)}") for g in ("order_part", "brand_cart") for k in (4,)]
+    )
+    + " SELECT graph, method, k, fanout, imbalance, round(fanout / min(fanout) OVER (PARTITION BY graph, k) - 1, 6) AS excess, round(1 - fanout / max(CASE WHEN method = 'random' THEN fanout END) OVER (PARTITION BY graph, k), 6) AS reduction FROM cells",
+)(lambda s, d: _with_relative(experiments.quality_grid(s, {x: graph(s, d, x) for x in ("order_part", "brand_cart")}, (*_GRID, "random"), (4,), _ONE)).select("graph", "method", "k", "fanout", "imbalance", "excess", "reduction"))
 
 
 @query("incremental_study")

@@ -1,3 +1,4 @@
+import bisect
 import itertools
 import random
 
@@ -164,3 +165,17 @@ def test_all_swaps_of_small_graph_exhaustive(spark):
     queries = {1: {1, 2, 6}, 2: {1, 2, 3, 4}, 3: {4, 5, 6}}
     best = min(sum(len({v in left for v in s}) for s in queries.values()) for left in itertools.combinations(range(1, 7), 3))
     assert baselines.exhaustive(edges, 2, 0.0).first()[0] == best == 5
+
+
+@pytest.mark.parametrize("n, k", [(400_000, 8), (1003, 7), (5, 8)])
+def test_ranges_of_many_keys_are_cut_at_their_exact_quantiles(spark, n, k):
+    """More keys than approximate quantiles are exact for; and fewer keys than ranges."""
+    vertices = spark.range(n).selectExpr("id * 7919 % 1000003 AS vid")
+    keys = sorted(i * 7919 % 1000003 for i in range(n))
+    cuts = [keys[-(-i * n // k) - 1] for i in range(1, k)]
+    assert baselines.quantile_cuts(vertices, k).first()["c"] == cuts
+    want = [0] * k
+    for key in keys:
+        want[bisect.bisect_left(cuts, key)] += 1
+    got = {r["bucket"]: r["count"] for r in baselines.range_shards(vertices, k, exact=False).groupBy("bucket").count().collect()}
+    assert [got.get(b, 0) for b in range(k)] == want

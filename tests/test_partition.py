@@ -3,7 +3,7 @@ from pyspark.sql import functions as F
 
 from shardwise.model import PartitionSpec
 from shardwise.operators import measures, refine
-from shardwise.plans import multidim
+from shardwise.plans import experiments, multidim
 from shardwise.plans import partition as plans
 from shardwise.sources import generate, workloads
 
@@ -167,3 +167,34 @@ def test_level_plan_splits_evenly():
     assert plans.shares_of((0, 7), 2) == [(0, 4), (4, 3)]
     assert [len(level) for level in plans.level_plan(8, 2)] == [1, 2, 4]
     assert len(plans.level_plan(12, None)) == 1
+
+
+def test_stored_edges_are_read_in_place_and_kept(spark, carts, monkeypatch):
+    """Runs over one table do not each copy it, let alone build the graph anew, and leave it to the caller."""
+    copied = []
+    write = plans.stored
+    monkeypatch.setattr(plans, "stored", lambda df, label: copied.append(label) or write(df, label))
+    table = write(carts, "lent")
+    spec = PartitionSpec(k=4, arity=2, iterations=1)
+    a = plans.partition(table, spec)
+    assert "edges" not in copied and table.count() == carts.count()
+    assert sorted(map(tuple, a.assign.collect())) == sorted(map(tuple, plans.partition(carts, spec).assign.collect()))
+
+
+def test_experiments_build_their_graph_once(spark, carts):
+    seen = spark.sparkContext.accumulator(0)
+
+    def read(batches):
+        for b in batches:
+            seen.add(b.num_rows)
+            yield b
+
+    n = carts.count()
+    edges = carts.mapInArrow(read, carts.schema)
+    spec = PartitionSpec(k=2, arity=2, iterations=1)
+    rows = experiments.p_sweep(spark, edges, (0.3, 0.5), (2,), spec).collect()
+    assert [r.p for r in rows] == [0.3, 0.5] and seen.value == n
+    experiments.exchange_ablation(spark, edges, spec).collect()
+    assert seen.value == 2 * n
+    experiments.quality_grid(spark, {"carts": edges}, ("bisect", "random"), (2,), spec, at_once=2).collect()
+    assert seen.value == 3 * n

@@ -7,7 +7,9 @@ non-essential ones are those at the end whose bounds together do not reach the c
 row that none of the other lists has with a positive product cannot get in. So the essential lists are
 traversed, strip by strip of rows, and what they have of each row is added up; the others are probed by
 binary search for those rows only that are still competitive, that is, while what a row has plus the bounds
-still open reaches the k-th score. Equal scores stay, so ties go to the smaller id exactly.
+still open reaches the k-th score. Equal scores stay, so ties go to the smaller id exactly. Where the lists have most rows
+(dense vectors), a strip's lists lie side by side as one matrix: a block of queries, each with its own essential
+lists only, traverses them in one product, and probes are look-ups there.
 
 Rows are dealt to shards of a bounded number, and queries to blocks, by hashes of their ids, so none is hot.
 Queries meet one shard first, and the k-th score they have there is a bound that all other shards start
@@ -30,6 +32,8 @@ from pyspark.sql import functions as F
 
 from .common import forget, stored
 
+#: Share of rows times terms from which the lists are held as a matrix too, and queries that traverse it together.
+DENSE, TOGETHER = 0.25, 1024
 #: Rows of a shard, queries of a block, rows that are traversed together, lists that are probed between two looks at who is left.
 SHARD_ROWS, BLOCK_QUERIES, STRIP, PROBES = 8192, 65536, 2048, 4
 RESULT = "query_id long, vec_id long, score long"
@@ -77,6 +81,55 @@ class Shard:
         cuts = np.arange(0, len(self.ids) + STRIP, STRIP)
         self.cuts = [np.searchsorted(at, cuts) for at, _ in self.lists]
         self.touched = self.probed = 0
+        held = sum(len(at) for at, _ in self.lists)
+        self.matrix = rows.astype(self.kind) if held >= DENSE * rows.size else None
+
+    def search_all(self, query_ids: np.ndarray, queries: np.ndarray, k: int, floors: list[int | None]) -> list[tuple[np.ndarray, np.ndarray]]:
+        """search() for each of the queries; together where the lists are dense."""
+        if self.matrix is None:
+            return [self.search(*x, k, floor) for *x, floor in zip(query_ids, queries, floors)]
+        out = []
+        for i in range(0, len(query_ids), TOGETHER):
+            out += self._search_dense(query_ids[i : i + TOGETHER], queries[i : i + TOGETHER], k, floors[i : i + TOGETHER])
+        return out
+
+    def _search_dense(self, query_ids: np.ndarray, queries: np.ndarray, k: int, floors: list[int | None]) -> list[tuple[np.ndarray, np.ndarray]]:
+        kind, n, every = self.kind, len(query_ids), np.arange(len(query_ids))
+        none = -np.inf if self.exact else np.iinfo(np.int64).min
+        q = queries.astype(kind)
+        bound = np.maximum(q * self.high, q * self.low)
+        terms = np.argsort(-bound, axis=1, kind="stable")
+        place = np.argsort(terms, axis=1, kind="stable")
+        after = np.zeros((n, self.terms + 1), kind)  # bounds of the terms from here on
+        after[:, :-1] = np.cumsum(np.take_along_axis(bound, terms, 1)[:, ::-1], axis=1)[:, ::-1]
+        needed = np.array([none if f is None else f for f in floors], kind)
+        found = [(np.empty(0, np.int64), np.empty(0, kind)) for _ in range(n)]
+        for strip, at in enumerate(range(0, len(self.ids), STRIP)):
+            own, part = self.ids[at : at + STRIP], self.matrix[at : at + STRIP]
+            essential = np.where(needed > 0, (after >= needed[:, None]).sum(axis=1), self.terms)
+            used = (place < essential[:, None]) & (q != 0)
+            self.touched += int((used @ np.array([c[strip + 1] - c[strip] for c in self.cuts])).sum())
+            gained = np.where(used, q, 0) @ part.T
+            # what falls short by this is no candidate, whatever the other lists have
+            alive = gained + after[every, essential][:, None] >= needed[:, None]
+            for i in np.flatnonzero(alive.any(axis=1)):
+                keep, e = np.flatnonzero(alive[i]), int(essential[i])
+                got = gained[i, keep]
+                while e < self.terms and len(keep):
+                    t = terms[i, e : e + PROBES]
+                    got = got + part[np.ix_(keep, t)] @ q[i, t]
+                    self.probed += len(keep) * len(t)
+                    e = min(e + PROBES, self.terms)
+                    stay = got + after[i, e] >= needed[i]
+                    keep, got = keep[stay], got[stay]
+                other = own[keep] != query_ids[i]
+                ids, scores = np.concatenate([found[i][0], own[keep][other]]), np.concatenate([found[i][1], got[other]])
+                if len(ids) >= k:
+                    best = np.lexsort((ids, -scores))[:k]
+                    ids, scores = ids[best], scores[best]
+                    needed[i] = max(needed[i], scores[-1])
+                found[i] = ids, scores
+        return found
 
     def search(self, query_id: int, q: np.ndarray, k: int, floor: int | None = None) -> tuple[np.ndarray, np.ndarray]:
         """Ids and scores of the k best rows, those below floor left out; ties to the smaller id."""
@@ -144,8 +197,8 @@ def _searched(k: int, width: int, most: int):
                         continue
                     shard, held = Shard(np.concatenate([x for x, _ in held]), np.concatenate([x for _, x in held]), most), []
                 found: list[np.ndarray] = [np.empty((0, 3), np.int64)]
-                for query, q, floor in zip(part.column(2).to_pylist(), _matrix(part.column(3), width), part.column(4).to_pylist()):
-                    ids, scores = shard.search(query, q, k, floor)
+                asked = part.column(2).to_numpy()
+                for query, (ids, scores) in zip(asked, shard.search_all(asked, _matrix(part.column(3), width), k, part.column(4).to_pylist())):
                     found.append(np.stack([np.full(len(ids), query), ids, scores.astype(np.int64)], axis=1))
                 a = np.concatenate(found)
                 yield pa.RecordBatch.from_arrays([pa.array(a[:, i]) for i in range(3)], ["query_id", "vec_id", "score"])

@@ -137,6 +137,31 @@ def test_topk_prunes_and_stays_exact():
     assert not big.exact and big.search(0, np.full(2, 1 << 30, np.int64), 5)[1].tolist() == [2 << 60] * 2
 
 
+@pytest.mark.parametrize("large", [False, True])
+def test_topk_of_dense_lists_traverses_them_for_many_queries_at_once(large):
+    """A block of queries against dense lists: the rows of single searches, with pruning, ties, zeros and floors, and no list walked query by query."""
+    rng = np.random.default_rng(5)
+    rows = np.floor(256 * rng.normal(size=(5000, 24)) * np.exp(-np.arange(24) / 4)).astype(np.int64) * ((1 << 20) if large else 1)
+    rows[100:110] = rows[4000:4010]  # ties
+    shard = topk.Shard(np.arange(5000), rows)
+    asked = np.r_[np.arange(0, 5000, 50), 104]
+    queries = rows[asked].copy()
+    queries[3] = 0
+    want = []
+    for i, q in zip(asked, queries):
+        s = rows @ q
+        order = np.array([x for x in np.lexsort((np.arange(5000), -s)) if x != i][:5])
+        want.append((order.tolist(), s[order].tolist()))
+    floors = [None if i % 3 else w[1][-1] for i, w in enumerate(want)]
+    shard.search = None
+    for given in (floors, [None] * len(asked)):
+        before = shard.touched + shard.probed
+        got = shard.search_all(asked, queries, 5, given)
+        assert [(ids.tolist(), scores.tolist()) for ids, scores in got] == want
+        assert shard.touched + shard.probed - before < 0.9 * len(asked) * rows.size
+    assert shard.exact is not large
+
+
 def test_topk_all_scores_below_zero():
     rows = -np.arange(1, 3001, dtype=np.int64)[:, None] * np.ones(4, np.int64)
     ids, scores = topk.Shard(np.arange(3000), rows).search(0, np.array([1, 2, 0, 1]), 3)

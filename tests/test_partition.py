@@ -73,6 +73,48 @@ def test_pruning_changes_nothing(carts):
     assert [(r["fanout"], r["moved"]) for r in a.progress] == [(pytest.approx(r["fanout"]), r["moved"]) for r in b.progress]
 
 
+@pytest.mark.parametrize("spec", [
+    PartitionSpec(k=3, arity=2, iterations=2),
+    PartitionSpec(k=3, arity=2, iterations=1, lookahead=True, exchange="histogram", nonpositive=True),
+    PartitionSpec(k=2, iterations=1, objective="clique"),
+])
+def test_one_shuffle_for_two_children_gives_what_two_give(carts, spec, monkeypatch):
+    """Levels of two children are counted in one shuffle if no query is large; the general way gives the same bit by bit."""
+    called, plain = [], refine.pair_counts
+    monkeypatch.setattr(refine, "pair_counts", lambda *a: called.append(1) or plain(*a))
+    a = plans.partition(carts, spec)
+    assert called
+    monkeypatch.setattr(refine, "WHOLE_QUERY", 0)
+    made = len(called)
+    b = plans.partition(carts, spec)
+    assert len(called) == made
+    assert sorted(map(tuple, a.assign.collect())) == sorted(map(tuple, b.assign.collect()))
+    same = lambda r: (r["level"], r["iter"], r["moved"], pytest.approx(r["fanout"]), pytest.approx(r["pfanout"]), r["shuffle_rows"])
+    assert [(r["level"], r["iter"], r["moved"], r["fanout"], r["pfanout"], r["shuffle_rows"]) for r in a.progress] == [same(r) for r in b.progress]
+
+
+def test_scaling_reads_with_so_many_tasks(spark, carts, monkeypatch):
+    """A table that w tasks wrote is read by w tasks, not by one for each core; settings come back."""
+    names = ("spark.sql.shuffle.partitions", "spark.sql.files.maxPartitionBytes", "spark.sql.files.openCostInBytes")
+    spark.conf.set(names[2], "1")
+    before, seen = [spark.conf.get(n) for n in names], []
+
+    def run(edges, spec):
+        table = experiments.stored(edges, "seen")
+        seen.append((edges.rdd.getNumPartitions(), table.rdd.getNumPartitions(), edges.count()))
+        experiments.forget(table)
+        return plans.PartitionResult(None, [], spec)
+
+    monkeypatch.setattr(experiments, "partition", run)
+    try:
+        rows = experiments.scaling_tasks(spark, carts, (1, 2)).collect()
+        assert [spark.conf.get(n) for n in names] == before
+    finally:
+        spark.conf.unset(names[2])
+    n = carts.count()
+    assert seen == [(1, 1, n), (2, 2, n)] and [r.tasks for r in rows] == [1, 2]
+
+
 @pytest.mark.parametrize("spec", [
     PartitionSpec(k=4, iterations=3),
     PartitionSpec(k=6, arity=2, iterations=2, lookahead=True, exchange="histogram", nonpositive=True, slack=True),

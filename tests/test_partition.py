@@ -240,3 +240,24 @@ def test_experiments_build_their_graph_once(spark, carts):
     assert seen.value == 2 * n
     experiments.quality_grid(spark, {"carts": edges}, ("bisect", "random"), (2,), spec, at_once=2).collect()
     assert seen.value == 3 * n
+
+
+def test_a_failure_is_no_result(spark, carts, monkeypatch):
+    """An error in a cell is raised, with a time-out or without; only a run that is too late has a row, which says so."""
+
+    def broken(spec):
+        raise RuntimeError("broken cell")
+
+    spec = PartitionSpec(k=2, arity=2, iterations=1)
+    with monkeypatch.context() as m:
+        m.setitem(experiments.METHODS, "bisect", broken)
+        for work in (
+            lambda: experiments.p_sweep(spark, carts, (0.3, 0.5), (2,), spec),
+            lambda: experiments.quality_grid(spark, {"carts": carts}, ("random", "bisect"), (2,), spec),
+            lambda: experiments.scaling_edges(spark, {"carts": carts}, (2,), spec),
+            lambda: experiments.runtime_grid(spark, {"carts": carts}, ("bisect",), (2,), spec),
+        ):
+            with pytest.raises(RuntimeError, match="broken cell"):
+                work()
+    (late,) = experiments.runtime_grid(spark, {"carts": carts}, ("bisect",), (2,), spec.but(iterations=50), timeout_s=0.05).collect()
+    assert late.status == "failed" and late.fanout != late.fanout

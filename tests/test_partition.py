@@ -2,7 +2,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from shardwise.model import PartitionSpec
-from shardwise.operators import measures, refine
+from shardwise.operators import measures, packed, refine
 from shardwise.plans import experiments, multidim
 from shardwise.plans import partition as plans
 from shardwise.sources import generate, workloads
@@ -261,3 +261,33 @@ def test_a_failure_is_no_result(spark, carts, monkeypatch):
                 work()
     (late,) = experiments.runtime_grid(spark, {"carts": carts}, ("bisect",), (2,), spec.but(iterations=50), timeout_s=0.05).collect()
     assert late.status == "failed" and late.fanout != late.fanout
+
+
+@pytest.mark.parametrize("spec", [
+    PartitionSpec(k=6, arity=2, iterations=2, lookahead=True, exchange="histogram", nonpositive=True, slack=True),
+    PartitionSpec(k=5, arity=3, iterations=1, objective="clique", prune=False),
+    PartitionSpec(k=5, iterations=2),
+])
+def test_packed_graph_gives_what_edges_give(spark, carts, spec, monkeypatch):
+    """Placement, progress and fanout are the same bit by bit; blocks end inside batches."""
+    monkeypatch.setattr(packed, "PACK_EDGES", 0)
+    monkeypatch.setattr(packed, "BLOCK", 500)
+    edges = plans.stored(carts.select("qid", "vid"), "lent")
+    a = plans.partition(edges, spec)
+    want = fan(edges, a.assign)
+    edges._packed = packed.pack(edges)
+    b = plans.partition(edges, spec)
+    assert sorted(map(tuple, a.assign.collect())) == sorted(map(tuple, b.assign.collect()))
+    assert fan(edges, b.assign) == want
+    line = lambda got: [(x["level"], x["iter"], x["moved"], round(x["fanout"], 9), round(x["pfanout"], 9)) for x in got.progress]
+    assert line(a) == line(b)
+
+
+def test_quality_grid_does_not_send_edges_in_turns(spark, carts, monkeypatch):
+    """Turns and fanouts of a large grid read the packed graph: no edge is joined or shuffled after it is packed."""
+    monkeypatch.setattr(packed, "PACK_EDGES", 0, raising=False)
+    travelled = []
+    for place, name in ((refine, "pair_counts"), (refine, "pair_shares"), (refine, "spread_counts"), (measures, "share")):
+        monkeypatch.setattr(place, name, lambda *a, f=getattr(place, name), name=name: travelled.append(name) or f(*a))
+    rows = experiments.quality_grid(spark, {"carts": carts}, ("direct", "clique_net", "random"), (2, 3), PartitionSpec(iterations=1, repair=False), at_once=2).collect()
+    assert len(rows) == 6 and all(r.status == "ok" for r in rows) and not travelled
